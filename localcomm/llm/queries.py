@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from localcomm.llm import quality
+from localcomm.llm import audio, licenses, quality
 
 QUERIES = {
+    "op1_audio": audio.op1_audio,
     "op6_quality": quality.op6_quality,
+    "op8_licenses": licenses.op8_licenses,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op8_licenses": licenses.oracle(),
+}
