@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from localcomm.llm import audio, licenses, quality
+from localcomm.llm import audio, licenses, quality, warc
 
 QUERIES = {
     "op1_audio": audio.op1_audio,
+    "op2_warc": warc.op2_warc,
     "op6_quality": quality.op6_quality,
     "op8_licenses": licenses.op8_licenses,
 }
 
 ORACLES: dict[str, str] = {
+    "op2_warc": warc.ORACLE,
     "op8_licenses": licenses.oracle(),
 }
