@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from localcomm.llm import audio, licenses, quality, warc
+from localcomm.llm import audio, chunks, licenses, packing, quality, warc
 
 QUERIES = {
     "op1_audio": audio.op1_audio,
     "op2_warc": warc.op2_warc,
+    "op3_packing": packing.op3_packing,
     "op6_quality": quality.op6_quality,
     "op8_licenses": licenses.op8_licenses,
+    "op9_chunk_store": chunks.op9_chunk_store,
 }
 
 ORACLES: dict[str, str] = {
