@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from localcomm.llm import audio, chunks, licenses, packing, quality, warc
+from localcomm.llm import audio, chunks, licenses, packing, quality, unigram, warc
 
 QUERIES = {
     "op1_audio": audio.op1_audio,
@@ -11,6 +11,7 @@ QUERIES = {
     "op6_quality": quality.op6_quality,
     "op8_licenses": licenses.op8_licenses,
     "op9_chunk_store": chunks.op9_chunk_store,
+    "op10_unigram": unigram.op10_unigram,
 }
 
 ORACLES: dict[str, str] = {
