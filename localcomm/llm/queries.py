@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from localcomm.llm import audio, chunks, licenses, packing, quality, unigram, warc
+from localcomm.llm import audio, chunks, curves, licenses, packing, quality, templates, unigram, warc
 
 QUERIES = {
     "op1_audio": audio.op1_audio,
     "op2_warc": warc.op2_warc,
     "op3_packing": packing.op3_packing,
+    "op4_templates": templates.op4_templates,
+    "op5_curves": curves.op5_curves,
     "op6_quality": quality.op6_quality,
     "op8_licenses": licenses.op8_licenses,
     "op9_chunk_store": chunks.op9_chunk_store,
@@ -16,5 +18,6 @@ QUERIES = {
 
 ORACLES: dict[str, str] = {
     "op2_warc": warc.ORACLE,
+    "op4_templates": templates.oracle(),
     "op8_licenses": licenses.oracle(),
 }
