@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from localcomm.llm import audio, chunks, curves, licenses, packing, quality, templates, unigram, warc
+from localcomm.llm import audio, chunks, curves, licenses, packing, quality, shingles, templates, unigram, warc
 
 QUERIES = {
     "op1_audio": audio.op1_audio,
@@ -11,6 +11,7 @@ QUERIES = {
     "op4_templates": templates.op4_templates,
     "op5_curves": curves.op5_curves,
     "op6_quality": quality.op6_quality,
+    "op7_shingle_join": shingles.op7_shingle_join,
     "op8_licenses": licenses.op8_licenses,
     "op9_chunk_store": chunks.op9_chunk_store,
     "op10_unigram": unigram.op10_unigram,
