@@ -9,14 +9,14 @@ each by the library and looked up afterwards. Any other text goes to the library
 from __future__ import annotations
 
 import os
-import re
 
 import numpy as np
 
 DEFAULT = "byte_bpe_50k.json"
 #: Entries of each of the two generations of a worker's word cache.
-GENERATION = 150_000
-_ODD = re.compile(r"\s\s|^\s|\s\Z|<\||[\x1c-\x1f]")
+GENERATION = 400_000
+#: White space other than the blank and the line end; a text with any goes to the library whole.
+_OTHER_SPACE = [chr(c) for c in (9, 11, 12, 13, 28, 29, 30, 31, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
 _open: dict[str, "WordCache"] = {}
 
 
@@ -27,6 +27,8 @@ def tokenizer_path(name: str = DEFAULT) -> str:
 
 
 class WordCache:
+    """Ids of blank-led words (`young`, `old`) and of words at a line's start (`first`)."""
+
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
@@ -34,8 +36,16 @@ class WordCache:
         self.tok = Tokenizer.from_file(path)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        self.first: dict[str, bytes] = {}
+        # In byte-level vocabularies this letter stands for the blank, so it begins the first id of a blank-led word.
+        self.leads = np.array([(self.tok.id_to_token(i) or "").startswith("\u0120") for i in range(self.tok.get_vocab_size())])
+        self.line_end = self._plain(["\n"])[0]
+
+    def _plain(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _learn(self, words: set[str]) -> None:
+        """Words are encoded as one line of blank-led words, cut again where an id begins with the blank."""
         if len(self.young) > GENERATION:
             self.young, self.old = {}, self.young
         young, old, new = self.young, self.old, []
@@ -46,26 +56,50 @@ class WordCache:
                     new.append(w)
                 else:
                     young[w] = got
-        for w, e in zip(new, self.tok.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            young[w] = np.array(e.ids, "<u4").tobytes()
+        for lo in range(0, len(new), 2000):
+            part = new[lo : lo + 2000]
+            ids = np.array(self.tok.encode(" " + " ".join(part), add_special_tokens=False).ids, "<u4")
+            raw, at = ids.tobytes(), (np.append(np.flatnonzero(self.leads[ids]), len(ids)) * 4).tolist()
+            if len(at) != len(part) + 1:
+                young.update(zip(part, self._plain([" " + w for w in part]), strict=True))
+            else:
+                young.update((w, raw[i:j]) for w, i, j in zip(part, at, at[1:], strict=False))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text as little-endian unsigned 32-bit integers."""
         out: list[bytes] = []
         for lo in range(0, len(texts), 256):
             some = texts[lo : lo + 256]
-            split = [None if _ODD.search(t) else t.replace("\n", "\x1f\n\x1f").replace(" ", "\x1f ").split("\x1f") for t in some]
-            words = set()
-            for s in split:
-                if s is not None:
-                    words.update(s)
+            split = [self._split(t) for t in some]
+            words, heads = set(), set()
+            for lines in split:
+                for ws in lines or ():
+                    heads.add(ws[0])
+                    words.update(ws[1:])
             self._learn(words)
-            young = self.young
-            whole = iter(self.tok.encode_batch_fast([t for t, s in zip(some, split, strict=True) if s is None], add_special_tokens=False))
-            for s in split:
-                out.append(np.array(next(whole).ids, "<u4").tobytes() if s is None else b"".join([young[w] for w in s]))
+            if len(self.first) > GENERATION // 4:
+                self.first = {}
+            fresh = [w for w in heads if w not in self.first]
+            self.first.update(zip(fresh, self._plain(fresh), strict=True))
+            young, first = self.young, self.first
+            whole = iter(self._plain([t for t, s in zip(some, split, strict=True) if s is None]))
+            for lines in split:
+                if lines is None:
+                    out.append(next(whole))
+                else:
+                    out.append(self.line_end.join([first[ws[0]] + b"".join([young[w] for w in ws[1:]]) for ws in lines]))
         return out
 
+    @staticmethod
+    def _split(text: str) -> list[list[str]] | None:
+        """Words by line, or None for a text whose white space isn't single blanks and line ends between words."""
+        if not text or "  " in text or "\n\n" in text or " \n" in text or "\n " in text or text[0] in " \n" or text[-1] in " \n" or "<|" in text:
+            return None
+        for c in _OTHER_SPACE:
+            if c in text:
+                return None
+        return [line.split(" ") for line in text.split("\n")]
+
 
 def opened(path: str) -> WordCache:
     if path not in _open:
