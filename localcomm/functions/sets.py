@@ -26,8 +26,8 @@ def draw(*keys, salt: int = 42) -> Column:
     for k in keys:
         k = F.lit(k) if isinstance(k, int) else (F.col(k) if isinstance(k, str) else k)
         x = F.pmod(x * F.lit(48271) + F.pmod(k.cast("long"), F.lit(PRIME)), F.lit(PRIME))
-        for c in (12345, 67891, 424243):
-            x = F.pmod(x * x + x * F.lit(65537) + F.lit(c), F.lit(PRIME))
+        # A fold evaluates each round once; spelled out, every round would repeat the one before three times.
+        x = F.aggregate(F.array(*[F.lit(c).cast("long") for c in (12345, 67891, 424243)]), x, lambda a, c: F.pmod(a * a + a * F.lit(65537) + c, F.lit(PRIME)))
     return x
 
 

@@ -1 +1 @@
-"""Streaming of the local-community engine."""
+"""Streams of events."""
