@@ -343,9 +343,10 @@ def _(s, d):
     return rounded(me.classic_conductance(attributed(s, d).members, world(s, d).combined), "cut", "vol", "score")
 
 
-@query("vertex_ratio_parts", sql.query(*_A, _IN, select="SELECT seed, node, round((deg - inside) / nullif(inside, 0), 6) AS ratio, CASE WHEN inside = 0 THEN 'orphan' WHEN deg - inside < inside THEN 'inside' WHEN deg - inside > inside THEN 'outside' ELSE 'equal' END AS side FROM ins"))
+@query("vertex_ratio_parts", sql.query(*_A, _IN, select="SELECT seed, node, round((deg - inside) / nullif(inside, 0) + 1e-9, 6) AS ratio, CASE WHEN inside = 0 THEN 'orphan' WHEN deg - inside < inside THEN 'inside' WHEN deg - inside > inside THEN 'outside' ELSE 'equal' END AS side FROM ins"))
 def _(s, d):
-    return rounded(me.vertex_ratio(attributed(s, d).members, world(s, d).combined), "ratio")
+    # A nudge keeps ratios that end in a five from rounding either way.
+    return me.vertex_ratio(attributed(s, d).members, world(s, d).combined).withColumn("ratio", F.round(F.col("ratio") + 1e-9, 6))
 
 
 @query("ratio_components_parts")

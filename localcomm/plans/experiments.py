@@ -165,14 +165,14 @@ def toy(spark):
 def register(query) -> None:
     from localcomm.plans import catalogue as cat
 
-    @query("toy_ratio_cut", "SELECT * FROM (VALUES (1, 0.5), (2, 0.0), (3, 0.477273), (4, 0.0)) AS t(node, ratio)")
+    @query("toy_ratio_cut", "SELECT node, CAST(ratio AS DOUBLE) AS ratio FROM (VALUES (1, 0.5), (2, 0.0), (3, 0.477273), (4, 0.0)) AS t(node, ratio)")
     def _(s, d):
         nodes, edges = toy(s)
         c = gr.combined_graph(gr.attribute_graph(nodes, edges))
         members = s.createDataFrame([(1, n) for n in (1, 2, 3, 4)], "seed long, node long")
         return me.vertex_ratio(members, c).select(F.col("node").cast("int").alias("node"), F.round("ratio", 6).alias("ratio"))
 
-    @query("three_graphs", "SELECT * FROM (VALUES (1, 2, 0.5, 1.5), (2, 3, 0.05, 1.05), (3, 4, 0.05, 1.05), (1, 4, 1.0, 1.0)) AS t(src, dst, sim, w)")
+    @query("three_graphs", "SELECT src, dst, CAST(sim AS DOUBLE) AS sim, CAST(w AS DOUBLE) AS w FROM (VALUES (1, 2, 0.5, 1.5), (2, 3, 0.05, 1.05), (3, 4, 0.05, 1.05), (1, 4, 1.0, 1.0)) AS t(src, dst, sim, w)")
     def _(s, d):
         nodes = s.createDataFrame([(1, list("abc")), (2, list("abd")), (3, ["e"]), (4, list("abc"))], "node long, attrs array<string>")
         edges = s.createDataFrame([(1, 2), (2, 3), (3, 4)], "src long, dst long")
