@@ -30,7 +30,7 @@ def similar_pairs(nodes: DataFrame, t_e: float, strategy: str = "prefix", key: t
         met = _prefix_pairs(n, t_e, key).join(a, [*key, "src"]).join(b, [*key, "dst"])
     elif strategy == "minhash":
         tf = HashingTF(inputCol="x", outputCol="v", binary=True, numFeatures=1 << 18)
-        v = tf.transform(n)
+        v = tf.transform(staged(n, "sets"))  # written, so that empty sets are gone before any hash sees them
         lsh = MinHashLSH(inputCol="v", outputCol="h", numHashTables=16, seed=7).fit(v)
         near = lsh.approxSimilarityJoin(v, v, 1 - t_e + 1e-9, "distance").select(*[F.col(f"datasetA.{k}").alias(k) for k in key], F.col("datasetA.node").alias("src"), F.col("datasetB.node").alias("dst"), *[F.col(f"datasetB.{k}").alias(f"other_{k}") for k in key])
         for k in key:
