@@ -131,10 +131,13 @@ def fit_ordinal(rows: np.ndarray, places: np.ndarray, grades: np.ndarray, params
     if classes < 2 or len(np.unique(grades)) < 2:
         return OrdinalModel()
     used, col, held = np.unique(places, return_inverse=True, return_counts=True)
-    # Rare features, and those whose rows have about the mean grade, tell nothing beyond this sample.
-    mean = np.bincount(col, weights=grades[rows]) / held
-    z = (mean - grades.mean()) / (grades.std() + 1e-9) * np.sqrt(held)
-    often = (held >= params.min_rows) & (np.abs(z) >= params.min_z)
+    # Rare features, and those whose rows lie above each threshold about as often as all rows, tell nothing beyond this sample.
+    often = np.zeros(len(used), bool)
+    for k in range(1, classes):
+        y = (grades >= k).astype(np.float64)
+        z = (np.bincount(col, weights=y[rows]) / held - y.mean()) / (y.std() + 1e-9) * np.sqrt(held)
+        often |= np.abs(z) >= params.min_z
+    often &= held >= params.min_rows
     rows, col = rows[often[col]], (np.cumsum(often) - 1)[col[often[col]]]
     used = used[often]
     n, d, cuts = len(grades), len(used), classes - 1
