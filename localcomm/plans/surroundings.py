@@ -106,7 +106,7 @@ def register(query) -> None:
         lambda s, d: _t(s, d, e).select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy(F.unix_timestamp(F.col("ts").cast("timestamp"))).rangeBetween(-3600, 0)).alias("last_hour")),
     )
     add("topk_degree", sql.query(sql.combined(), dg, select="SELECT node, deg FROM dg ORDER BY deg DESC, node LIMIT 20"), lambda s, d: gr.degrees(edges(s, d)).orderBy(F.desc("deg"), "node").limit(20))
-    add("topk_per_seed", None, lambda s, d: cat.attributed(s, d).curve.where("position <= 20").select("seed", "position", "node"))
+    add("topk_per_seed", sql.query(*cat._A, select="SELECT seed, CAST(position AS INTEGER) AS position, node FROM ord WHERE position <= 20"), lambda s, d: cat.attributed(s, d).curve.where("position <= 20").select("seed", "position", "node"))
 
     def set_ops(s, d):
         a, b = (x.select("seed", "node") for x in (cat.attributed(s, d).members, cat.structural(s, d).members))
@@ -150,7 +150,7 @@ def register(query) -> None:
         return gr.with_sets(edges(s, d), cat.world(s, d).nodes).select("src", "dst", F.round(F.expr("jaccard_sets(xa, xb)"), 6).alias("sim"))
 
     add("udf_sql_jaccard", sql.query(sql.combined(), select="SELECT src, dst, round(j, 6) AS sim FROM sims"), udf)
-    add("udaf_curve_median", None, lambda s, d: cat.attributed(s, d).curve.groupBy("position").agg(F.round(F.percentile("score", 0.5), 6).alias("median_score")))
+    add("udaf_curve_median", sql.query(*cat._A, select="SELECT CAST(position AS INTEGER) AS position, round(median(score), 6) AS median_score FROM curve GROUP BY position"), lambda s, d: cat.attributed(s, d).curve.groupBy("position").agg(F.round(F.percentile("score", 0.5), 6).alias("median_score")))
     add(
         "length_filtered_pairs",
         sql.query(sql.PARTS, select="SELECT a.node AS src, b.node AS dst FROM attrs a JOIN attrs b ON a.node < b.node AND a.x[1] = b.x[1] AND len(b.x) >= 0.8 * len(a.x) AND len(a.x) >= 0.8 * len(b.x)"),
@@ -182,7 +182,7 @@ def register(query) -> None:
         c.createOrReplaceTempView("swept")
         return s.sql("SELECT r.seed, r.position, r.vol FROM swept, LATERAL sweep_rows(swept.seed, swept.vols) r")
 
-    add("udtf_sweep_rows", None, udtf)
+    add("udtf_sweep_rows", sql.query(*cat._A, select="SELECT seed, CAST(position AS INTEGER) AS position, round(vol, 6) AS vol FROM curve"), udtf)
     from localcomm.streaming import events as st
 
     for name, oracle, f in st.queries():
