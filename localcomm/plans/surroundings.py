@@ -94,11 +94,11 @@ def register(query) -> None:
         sql.query(sql.combined(), dg, select="SELECT brand, node, CAST(sum(deg) OVER (PARTITION BY brand ORDER BY deg DESC, node ROWS UNBOUNDED PRECEDING) AS BIGINT) AS vol FROM dg"),
         lambda s, d: gr.degrees(edges(s, d)).join(_t(s, d, "part"), F.col("node") == F.col("p_partkey")).select(F.col("p_brand").alias("brand"), "node", F.sum("deg").over(Window.partitionBy("p_brand").orderBy(F.desc("deg"), "node").rowsBetween(Window.unboundedPreceding, Window.currentRow)).alias("vol")),
     )
-    w_u = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    w_u = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")  # noqa: E731  (windows need a session)
     add(
         "lag_lead_events",
         "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
-        lambda s, d: _t(s, d, e).select("event_id", F.lag("event_id").over(w_u).alias("before"), F.lead("event_id").over(w_u).alias("after")),
+        lambda s, d: _t(s, d, e).select("event_id", F.lag("event_id").over(w_u()).alias("before"), F.lead("event_id").over(w_u()).alias("after")),
     )
     add(
         "range_frame_events",
