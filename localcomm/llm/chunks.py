@@ -41,10 +41,16 @@ class StoreParams:
     window: int = 16
 
 
+_TABLE = mixed(np.arange(1, 1 + (1 << 18), dtype=np.uint64))
+
+
 def gear(ids: np.ndarray, window: int = 16) -> np.ndarray:
-    """A rolling hash of the last `window` ids at each place, built by doubling the window."""
+    """A rolling hash of the last `window` ids at each place, built by doubling the window.
+
+    Streams may be hashed end to end: a cut lies at least `least` ids into a stream, beyond the reach of the one before.
+    """
     with np.errstate(over="ignore"):
-        h, span = mixed(ids.astype(np.uint64) + np.uint64(1)), 1
+        h, span = _TABLE[ids & 0x3FFFF], 1
         while span < window:
             moved = np.zeros_like(h)
             moved[span:] = h[:-span] << np.uint64(span)
@@ -79,7 +85,6 @@ def merkle(leaves: list[bytes]) -> bytes:
 
 
 STAGE = "row long, doc_id long, n_tokens long, root binary, chunks array<struct<digest binary, pack string, at long, size int, ids int>>"
-_CHUNK = pa.struct([("digest", pa.binary()), ("pack", pa.string()), ("at", pa.int64()), ("size", pa.int32()), ("ids", pa.int32())])
 
 
 def staged_chunks(documents: DataFrame, folder: str, params: StoreParams) -> DataFrame:
@@ -95,13 +100,18 @@ def staged_chunks(documents: DataFrame, folder: str, params: StoreParams) -> Dat
         for batch in batches:
             for lo in range(0, batch.num_rows, 512):
                 part = batch.slice(lo, 512)
-                rows = []
-                for doc_id, raw in zip(part.column("doc_id").to_pylist(), enc.encode(part.column("text").to_pylist()), strict=True):
-                    ids = np.frombuffer(raw + tail, "<u4")
-                    kept = ids.astype("<u2") if small else ids
-                    at, chunks = 0, []
-                    for end in cuts(gear(ids, params.window), params):
-                        plain = kept[at:end].tobytes()
+                raws = [raw + tail for raw in enc.encode(part.column("text").to_pylist())]
+                if not raws:
+                    continue
+                ids = np.frombuffer(b"".join(raws), "<u4")
+                hashes, width = gear(ids, params.window), 2 if small else 4
+                kept = (ids.astype("<u2") if small else ids).tobytes()
+                digests, wheres, counts, held, sizes, roots, base = [], [], [], [], [], [], 0
+                for raw in raws:
+                    n = len(raw) // 4
+                    at, mine = 0, len(digests)
+                    for end in cuts(hashes[base : base + n], params):
+                        plain = kept[width * (base + at) : width * (base + end)]
                         key = digest(plain)
                         where = seen.get(key)
                         if where is None:
@@ -109,14 +119,21 @@ def staged_chunks(documents: DataFrame, folder: str, params: StoreParams) -> Dat
                                 roll.close()
                             packed = zipper.compress(plain)
                             where = seen[key] = (*roll.write(packed), len(packed))
-                        chunks.append({"digest": key, "pack": where[0], "at": where[1], "size": where[2], "ids": end - at})
+                        digests.append(key)
+                        wheres.append(where)
+                        counts.append(end - at)
                         at = end
-                    rows.append((row, doc_id, len(ids), merkle([c["digest"] for c in chunks]), chunks))
-                    row += 1
+                    base += n
+                    sizes.append(n)
+                    held.append(len(digests))
+                    roots.append(merkle(digests[mine:]))
                 if len(seen) > 400_000:
                     seen.clear()  # a chunk met again is staged again; owners are settled over all tasks later
-                cols = list(zip(*rows, strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.binary()), pa.array(cols[4], pa.list_(_CHUNK))], ["row", "doc_id", "n_tokens", "root", "chunks"])
+                packs, ats, lengths = zip(*wheres, strict=True)
+                chunks = pa.StructArray.from_arrays([pa.array(digests, pa.binary()), pa.array(packs), pa.array(ats, pa.int64()), pa.array(lengths, pa.int32()), pa.array(counts, pa.int32())], ["digest", "pack", "at", "size", "ids"])
+                rows = np.arange(row, row + len(raws))
+                row += len(raws)
+                yield pa.RecordBatch.from_arrays([pa.array(rows), part.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(roots, pa.binary()), pa.ListArray.from_arrays(pa.array([0, *held], pa.int32()), chunks)], ["row", "doc_id", "n_tokens", "root", "chunks"])
         roll.close()
 
     return texts(documents).mapInArrow(job, STAGE)
@@ -198,18 +215,21 @@ def streams(store: Store, params: StoreParams = StoreParams(), with_ids: bool =
         small = opened(path).tok.get_vocab_size() <= 1 << 16
         kind = "<u2" if small else "<u4"
         for batch in batches:
-            out = []
-            for doc_id, part, start, count, root, chunks in zip(*[batch.column(c).to_pylist() for c in ("doc_id", "part", "start_in_part", "n_tokens", "root", "chunks")], strict=True):
-                if merkle([c["digest"] for c in chunks]) != root:
+            out, lists = [], batch.column("chunks")
+            ends, fields = np.asarray(lists.offsets).tolist(), lists.values
+            digests, packs, ats, sizes = (fields.field(c).to_pylist() for c in ("digest", "pack", "at", "size"))
+            for k, (doc_id, part, start, count, root) in enumerate(zip(*[batch.column(c).to_pylist() for c in ("doc_id", "part", "start_in_part", "n_tokens", "root")], strict=True)):
+                i, j = ends[k], ends[k + 1]
+                if merkle(digests[i:j]) != root:
                     raise ValueError(f"document {doc_id}: the recipe doesn't match its Merkle root")
                 parts = []
-                for c in chunks:
-                    plain = hot.get(c["digest"])
+                for c in range(i, j):
+                    plain = hot.get(digests[c])
                     if plain is None:
-                        plain = unzip.decompress(reader.read(c["pack"], c["at"], c["size"]))
-                        if digest(plain) != c["digest"]:
+                        plain = unzip.decompress(reader.read(packs[c], ats[c], sizes[c]))
+                        if digest(plain) != digests[c]:
                             raise ValueError(f"document {doc_id}: a chunk doesn't match its digest")
-                        hot[c["digest"]] = plain
+                        hot[digests[c]] = plain
                         if len(hot) > 2048:
                             hot.popitem(last=False)
                     parts.append(plain)
