@@ -28,9 +28,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import flat, mixed, run_hashes, slices, staged, texts
+from localcomm.llm.common import dropped, flat, mixed, run_hashes, slices, staged, texts
 
-CHUNK = 1 << 20
+CHUNK = 1 << 19
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -194,15 +194,19 @@ def linked(documents: DataFrame, pairs: DataFrame, p: JoinParams, name: str) ->
     def job(batches):
         for batch in batches:
             keep = []
-            for x, y in zip(batch.column("ma").to_pylist(), batch.column("mb").to_pylist(), strict=True):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+            (one, at_one), (two, at_two) = flat(batch.column("ma")), flat(batch.column("mb"))
+            for k in range(batch.num_rows):
+                x, y = one[at_one[k] : at_one[k + 1]].view(np.uint64), two[at_two[k] : at_two[k + 1]].view(np.uint64)
                 small, big = (x, y) if len(x) <= len(y) else (y, x)
                 at = np.searchsorted(big, small)
                 common = int(np.count_nonzero(big[np.minimum(at, len(big) - 1)] == small))
                 keep.append(100 * common >= p.percent * (len(x) + len(y) - common))
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return staged(wide.select("a", "b", "ma", "mb").mapInArrow(job, "a binary, b binary"), f"{name}-links")
+    out = staged(wide.select("a", "b", "ma", "mb").mapInArrow(job, "a binary, b binary"), f"{name}-links")
+    for done in (pairs, sets):
+        dropped(documents.sparkSession, done.staged_path)
+    return out
 
 
 def star_pairs(classes: DataFrame) -> DataFrame:
@@ -324,10 +328,12 @@ def joined(documents: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
     counts = staged(counted_members(documents, p), "member-counts")
     multi = bit_filter(counts.select("h"))
     hot_rows = counts.where(F.col("n") > p.hot).select("h")
+    made = [counts.staged_path]
     for turn in range(p.rounds):
         hot = bit_filter(hot_rows)
         index = indexed(documents, hot, multi, p).join(known, "digest", "left").withColumn("comp", F.coalesce("comp", "digest"))
         index = staged(index, "index")
+        made.append(index.staged_path)
         # A list of one component has nothing to tell: its sets are linked already.
         live = index.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("m")).where("lo <> hi")
         live = staged(live.select("token", "m"), "live")
@@ -339,6 +345,8 @@ def joined(documents: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
         hot_rows = staged(hot_rows.union(more).distinct(), "hot")
     index = index.join(live.select("token"), "token", "left_semi")
     links = linked(documents, candidate_pairs(index, p), p, "join")
+    for path in made:
+        dropped(documents.sparkSession, path)  # nothing reads the counts and the index any more
     closed = components(stars.union(links), "all").select(F.col("node").alias("digest"), F.col("root").alias("comp"))
     named = rows.join(closed, "digest", "left").withColumn("comp", F.coalesce("comp", "digest"))
     least = named.where("n > 0").groupBy("comp").agg(F.min("doc_id").alias("component_id"))
