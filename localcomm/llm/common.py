@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -56,6 +57,12 @@ def dropped(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def released(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of plans that are done: it does so only when their handles are collected."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """A string or binary Arrow array as (bytes, offsets) without copying; nulls count as empty."""
     if isinstance(arr, pa.ChunkedArray):

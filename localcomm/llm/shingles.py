@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import dropped, flat, mixed, run_hashes, slices, staged, texts
+from localcomm.llm.common import dropped, flat, mixed, released, run_hashes, slices, staged, texts
 
 CHUNK = 1 << 19
 _BLANK = np.zeros(256, bool)
@@ -43,7 +43,7 @@ class JoinParams:
     percent: int = 85
     hashes: int = 8
     hot: int = 32
-    counted: float = 0.35
+    counted: float = 0.25
     rounds: int = 3
     pairs_per_row: int = 64
 
@@ -206,6 +206,8 @@ def linked(documents: DataFrame, pairs: DataFrame, p: JoinParams, name: str) ->
     out = staged(wide.select("a", "b", "ma", "mb").mapInArrow(job, "a binary, b binary"), f"{name}-links")
     for done in (pairs, sets):
         dropped(documents.sparkSession, done.staged_path)
+    del wide, sets, pairs
+    released(documents.sparkSession)
     return out
 
 
@@ -326,6 +328,7 @@ def joined(documents: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
     stars = linked(documents, star_pairs(classes), p, "star")
     known = components(stars, "star").select(F.col("node").alias("digest"), F.col("root").alias("comp"))
     counts = staged(counted_members(documents, p), "member-counts")
+    released(documents.sparkSession)  # the counting shuffle is the largest of all
     multi = bit_filter(counts.select("h"))
     hot_rows = counts.where(F.col("n") > p.hot).select("h")
     made = [counts.staged_path]
@@ -334,6 +337,7 @@ def joined(documents: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
         index = indexed(documents, hot, multi, p).join(known, "digest", "left").withColumn("comp", F.coalesce("comp", "digest"))
         index = staged(index, "index")
         made.append(index.staged_path)
+        released(documents.sparkSession)
         # A list of one component has nothing to tell: its sets are linked already.
         live = index.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("m")).where("lo <> hi")
         live = staged(live.select("token", "m"), "live")
