@@ -29,8 +29,11 @@ def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All that is left, packed into sequences of 2048 tokens: one row per piece."""
-    return packing.packed_documents(docs)
+    """All that is left, packed into sequences of 2048 tokens: one row per piece.
+
+    Passages shared by documents that are no near copies go first: before that stage they would leave scraps of copies.
+    """
+    return packing.packed_documents(templates.deduplicated(docs, templates.ONLY_PASSAGES))
 
 
 STAGES = [("quality", quality_stage), ("line dedup", line_stage), ("near copies", near_copy_stage), ("packing", packing_stage)]

@@ -5,6 +5,11 @@ count, then the first `lead` tokens; lines of one leaf are of one template when
 `segments` stretches (which becomes variable), or wholly if the rest is short. A template that occurs in at
 least `min_docs` documents recurs: its lines are dropped from every document but the one with the smallest doc_id.
 
+With `passage_words`, passages recur too, from `passage_docs` documents on and word for word (digits count): from each
+line the shortest stretch of lines of at least that many words, and the shortest that ends with it. A shared run of lines
+of so many words is covered by such stretches. Lines between two of a stretch that hold no word stay.
+Both are found in the texts as they come in, so that neither hides the other.
+
 Python hashes the tokens of many texts at once and emits one row per (template, document) pre-aggregated; counts
 are summed by Spark. Recurring templates are few; up to `broadcast_most` of them are sent to all tasks, beyond
 that lines are joined with them.
@@ -24,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import flat, mixed, run_hashes, slices, staged, texts
+from localcomm.llm.common import MULT, flat, mixed, run_hashes, slices, staged, texts
 
 CHUNK = 1 << 20
 _BLANK = np.zeros(256, bool)
@@ -42,6 +47,16 @@ class TemplateParams:
     min_tokens: int = 4
     min_docs: int = 10
     broadcast_most: int = 500_000
+    passage_words: int = 0  # 0: no passages
+    passage_docs: int = 2
+    templates: bool = True
+
+
+#: What production runs with: templates and passages; and passages alone, for texts whose templates are gone.
+PASSAGES = TemplateParams(passage_words=50)
+ONLY_PASSAGES = TemplateParams(passage_words=50, templates=False)
+#: Odd, so that they have an inverse and a stretch has the same key at any place of a text.
+_STEPS = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
 
 
 def line_keys(b: np.ndarray, offs: np.ndarray, p: TemplateParams) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -98,8 +113,72 @@ def line_keys(b: np.ndarray, offs: np.ndarray, p: TemplateParams) -> tuple[np.nd
     return np.concatenate([x[0] for x in out]), np.concatenate([x[1] for x in out]), np.concatenate([x[2] for x in out]), line_row, ends
 
 
+def passage_keys(b: np.ndarray, offs: np.ndarray, p: TemplateParams) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(first line, last line, key a, key b) of the shortest stretches of `passage_words` words of some texts; lines are numbered as above."""
+    ends = np.sort(np.concatenate([np.flatnonzero(b == 10), offs[1:]]))
+    none = tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.uint64, np.uint64))
+    if not len(b):
+        return none
+    blank = _BLANK[b]
+    edge = np.ones(len(b), bool)
+    edge[1:] = blank[1:] != blank[:-1]
+    edge[offs[:-1][offs[:-1] < len(b)]] = True
+    starts = np.flatnonzero(edge)
+    h = run_hashes(b, starts, np.diff(np.append(starts, len(b))))
+    token = ~blank[starts]
+    starts, h = starts[token], h[token]
+    if not len(h):
+        return none
+    line = np.searchsorted(ends, starts, side="right")
+    cut = np.flatnonzero(np.append(True, line[1:] != line[:-1]))
+    held = line[cut]  # the lines with words, in order
+    before = np.append(cut, len(h))  # words before each of them
+    row = np.searchsorted(offs, starts[cut], side="right")
+    opens = np.searchsorted(row, row, side="left")
+    closes = np.searchsorted(row, row, side="right")
+    k = np.arange(len(held))
+    ahead = np.searchsorted(before, before[:-1] + p.passage_words) - 1
+    back = np.searchsorted(before, before[1:] - p.passage_words, side="right") - 1
+    fits, fits_back = ahead < closes, back >= opens
+    lo, hi = np.append(k[fits], back[fits_back]), np.append(ahead[fits], k[fits_back])
+    both = np.unique(lo * len(held) + hi)
+    lo, hi = both // len(held), both % len(held)
+    keys = []
+    with np.errstate(over="ignore"):
+        h = mixed(h + (np.arange(len(h)) - np.repeat(cut, np.diff(before))).astype(np.uint64) * MULT)
+        whole = mixed(np.add.reduceat(h, cut))
+        for i, step in enumerate(_STEPS):
+            up = np.cumprod(np.append(np.uint64(1), np.full(len(held) - 1, step, np.uint64)), dtype=np.uint64)
+            down = np.cumprod(np.append(np.uint64(1), np.full(len(held) - 1, pow(step, -1, 1 << 64), np.uint64)), dtype=np.uint64)
+            sums = np.append(np.uint64(0), np.cumsum(mixed(whole + np.uint64(i + 1)) * up, dtype=np.uint64))
+            keys.append(mixed((sums[hi + 1] - sums[lo]) * down[lo] + (before[hi + 1] - before[lo]).astype(np.uint64)))
+    return held[lo], held[hi], keys[0], keys[1]
+
+
+def spans(b: np.ndarray, offs: np.ndarray, p: TemplateParams) -> tuple[np.ndarray, ...]:
+    """(first line, last line, key a, key b) of all that may recur, and each line's row and end; key a is odd for passages."""
+    line, a, key, line_row, ends = line_keys(b, offs, p)
+    if not p.templates:
+        line, a, key = line[:0], a[:0], key[:0]
+    last, a = line, a & ~np.uint64(1)
+    if p.passage_words:
+        lo, hi, pass_a, pass_b = passage_keys(b, offs, p)
+        line, last, a, key = np.append(line, lo), np.append(last, hi), np.append(a, pass_a | np.uint64(1)), np.append(key, pass_b)
+    return line, last, a, key, line_row, ends
+
+
+def _gone(first: np.ndarray, last: np.ndarray, buf: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Which lines lie in some of the spans and hold a word."""
+    depth = np.zeros(len(ends) + 1, np.int64)
+    np.add.at(depth, first, 1)
+    np.add.at(depth, last + 1, -1)
+    gone = np.cumsum(depth[:-1]) > 0
+    words = np.append(0, np.cumsum(~_BLANK[buf]))
+    return gone & (np.diff(words[np.append(0, ends)]) > 0)
+
+
 def _counts(params: TemplateParams):
-    """Templates of each stretch of texts: key, number of rows that hold it, smallest id."""
+    """Templates and passages of each stretch of texts: key, number of rows that hold it, smallest id."""
 
     def job(batches):
         for batch in batches:
@@ -107,7 +186,7 @@ def _counts(params: TemplateParams):
             docs = batch.column("doc_id").to_numpy(zero_copy_only=False).astype(np.float64) if batch.column("doc_id").null_count else np.asarray(batch.column("doc_id"))
             ids = np.where(np.isnan(docs), np.iinfo(np.int64).max, docs).astype(np.int64) if docs.dtype.kind == "f" else docs
             for i, j in slices(offs, CHUNK):
-                line, a, b, line_row, _ = line_keys(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i], params)
+                line, _, a, b, line_row, _ = spans(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i], params)
                 if not len(line):
                     continue
                 row = line_row[line]
@@ -124,9 +203,9 @@ def _counts(params: TemplateParams):
 
 
 def recurring(documents: DataFrame, params: TemplateParams = TemplateParams()) -> DataFrame:
-    """a, b, n, first: the templates of at least `min_docs` documents, by key."""
+    """a, b, n, first: the templates of at least `min_docs` documents and the passages of `passage_docs`, by key."""
     rows = texts(documents, binary=True).mapInArrow(_counts(params), "a long, b long, n long, first long")
-    return rows.groupBy("a", "b").agg(F.sum("n").alias("n"), F.min("first").alias("first")).where(F.col("n") >= params.min_docs)
+    return rows.groupBy("a", "b").agg(F.sum("n").alias("n"), F.min("first").alias("first")).where(F.col("n") >= F.when(F.col("a").bitwiseAND(1) == 1, params.passage_docs).otherwise(params.min_docs))
 
 
 def _stripped(buf, offs, gone, line_row, ends):
@@ -181,13 +260,13 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
 
         def mark(batch, buf, offs):
             both, second, first = sent.value
-            line, a, b, line_row, ends = line_keys(buf, offs, params)
+            line, last, a, b, line_row, ends = spans(buf, offs, params)
             gone = np.zeros(len(ends), bool)
             if len(both) and len(line):
                 at = np.minimum(np.searchsorted(both, mixed(a) ^ b), len(both) - 1)
                 ids = np.asarray(batch.column("_key"))[line_row[line]]
                 hit = (both[at] == (mixed(a) ^ b)) & (second[at] == b) & (first[at] < ids)
-                gone[line[hit]] = True
+                gone = _gone(line[hit], last[hit], buf, ends)
             return _stripped(buf, offs, gone, line_row, ends)
 
         source = wide
@@ -200,23 +279,22 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
             for batch in batches:
                 buf, offs = flat(batch.column("text"))
                 for i, j in slices(offs, CHUNK):
-                    line, a, b, line_row, ends = line_keys(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i], params)
+                    line, last, a, b, line_row, ends = spans(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i], params)
                     row = line_row[line]
                     start = np.searchsorted(line_row, np.arange(j - i))
                     take = pa.array(row + i)
-                    yield pa.RecordBatch.from_arrays([batch.column("_key").take(take), batch.column("h").take(take), pa.array((line - start[row]).astype(np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["_key", "h", "line", "a", "b"])
+                    yield pa.RecordBatch.from_arrays([batch.column("_key").take(take), batch.column("h").take(take), pa.array((line - start[row]).astype(np.int32)), pa.array((last - start[row]).astype(np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["_key", "h", "line", "last", "a", "b"])
 
-        flat_keys = own.select("_key", F.col("_row.h").alias("h"), F.col("text").cast("binary").alias("text")).mapInArrow(keys, "_key long, h string, line int, a long, b long")
-        hits = flat_keys.join(found, ["a", "b"]).where("first < _key").groupBy("_key", "h").agg(F.collect_set("line").alias("_gone"))
+        flat_keys = own.select("_key", F.col("_row.h").alias("h"), F.col("text").cast("binary").alias("text")).mapInArrow(keys, "_key long, h string, line int, last int, a long, b long")
+        hits = flat_keys.join(found, ["a", "b"]).where("first < _key").groupBy("_key", "h").agg(F.collect_set(F.struct("line", "last")).alias("_gone"))
         source = wide.withColumn("_h", F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256)).join(hits.withColumnRenamed("h", "_h"), ["_key", "_h"], "left").drop("_h")
 
         def mark(batch, buf, offs):
-            _, _, _, line_row, ends = line_keys(buf, offs, params)
-            gone = np.zeros(len(ends), bool)
+            _, _, _, _, line_row, ends = spans(buf, offs, params)
             start = np.searchsorted(line_row, np.arange(len(offs) - 1))
-            for r, numbers in enumerate(batch.column("_gone").to_pylist()):
-                if numbers:
-                    gone[start[r] + np.array(numbers)] = True
+            hits = [(start[r] + x["line"], start[r] + x["last"]) for r, found in enumerate(batch.column("_gone").to_pylist()) for x in found or ()]
+            first, last = np.array(hits, np.int64).reshape(-1, 2).T
+            gone = _gone(first, last, buf, ends)
             return _stripped(buf, offs, gone, line_row, ends)
 
     run = _cleaned_batches(mark)
@@ -248,8 +326,18 @@ def deduplicated(documents: DataFrame, params: TemplateParams = TemplateParams()
 
 
 def op4_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Templates alone, as its SQL twin says them."""
+    return _told(spark, sf_dir, TemplateParams())
+
+
+def op4_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole job: templates, and passages of 50 words from two documents on."""
+    return _told(spark, sf_dir, PASSAGES)
+
+
+def _told(spark: SparkSession, sf_dir: str, params: TemplateParams) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    out = cleaned(docs)
+    out = cleaned(docs, params)
     return out.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("_lines").cast("long").alias("n_lines"), F.col("_lost").cast("long").alias("n_dropped"), F.coalesce("text", F.lit("")).alias("text"))
 
 
@@ -272,3 +360,20 @@ kept AS (SELECT l.rn, count(*) AS n_lines, count(g.place) AS n_dropped, string_a
   FROM lines l LEFT JOIN gone g ON g.rn = l.rn AND g.place = l.place GROUP BY l.rn)
 SELECT b.doc_id, n_lines, n_dropped, coalesce(k.text, '') AS text FROM base b JOIN kept k USING (rn)
 """
+
+
+def passages_oracle(p: TemplateParams = PASSAGES, source: str = "documents") -> str:
+    """Templates as above, and passages by comparing the words of stretches of lines."""
+    before, after = oracle(p, source).split("gone AS (")
+    templates, rest = after.split("),\nkept AS", 1)
+    stretches = f"""
+held AS (SELECT *, row_number() OVER o AS k, sum(words) OVER o - words AS c FROM (SELECT rn, doc_id, place, len(list_filter(regexp_split_to_array(line, '[\\t\\x0B\\f\\r ]+'), lambda x: x <> '')) AS words, array_to_string(list_filter(regexp_split_to_array(line, '[\\t\\x0B\\f\\r ]+'), lambda x: x <> ''), ' ') AS line FROM lines) WHERE words > 0 WINDOW o AS (PARTITION BY rn ORDER BY place)),
+stretches AS (
+  SELECT f.rn, f.k AS lo, min(g.k) AS hi FROM held f JOIN held g ON g.rn = f.rn AND g.k >= f.k AND g.c + g.words - f.c >= {p.passage_words} GROUP BY f.rn, f.k
+  UNION
+  SELECT g.rn, max(f.k), g.k FROM held f JOIN held g ON g.rn = f.rn AND g.k >= f.k AND g.c + g.words - f.c >= {p.passage_words} GROUP BY g.rn, g.k
+),
+passages AS (SELECT s.rn, s.lo, s.hi, any_value(h.doc_id) AS doc_id, string_agg(h.line, chr(10) ORDER BY h.k) AS passage FROM stretches s JOIN held h ON h.rn = s.rn AND h.k BETWEEN s.lo AND s.hi GROUP BY s.rn, s.lo, s.hi),
+shared AS (SELECT passage, min(doc_id) AS first_of FROM passages GROUP BY passage HAVING count(DISTINCT rn) >= {p.passage_docs}),
+gone AS ({templates} UNION SELECT h.rn, h.place FROM passages q JOIN shared USING (passage) JOIN held h ON h.rn = q.rn AND h.k BETWEEN q.lo AND q.hi WHERE first_of < q.doc_id)"""
+    return f"{before.rstrip()}{stretches},\nkept AS{rest}"

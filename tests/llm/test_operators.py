@@ -134,6 +134,27 @@ def test_templates_against_strings(spark, docs):
     assert kept.columns == docs.columns
 
 
+def test_passages_with_production_parameters(spark, docs):
+    import duckdb
+
+    words = [f"word{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(60)]
+    line = " ".join(words)
+    stretch = "\n".join([" ".join(words[:30]), "", " ".join(words[30:55]), "7 8", " ".join(words[55:])])
+    rows = [(1, f"first own line here\n{line}"), (2, f"{line}\nsecond own line"), (3, f"third\n{stretch}\nand its end"), (4, f"fourth\n{stretch}\nother end"), (5, line.replace("wordaa", "Wordaa")), (6, " ".join(words[:49])), (7, " ".join(words[:49])), (8, line.replace("wordab", "w1")), (9, line.replace("wordab", "w2"))]
+    d = spark.createDataFrame(rows, "doc_id long, text string").unionByName(docs.select("doc_id", "text").where("doc_id > 10 OR doc_id IS NULL").withColumn("doc_id", F.col("doc_id") + 100))
+    con = duckdb.connect()
+    con.register("docs_in", d.toArrow())
+    want = sorted(con.execute(templates.passages_oracle(templates.PASSAGES, "docs_in")).fetchall(), key=str)
+    for most in (templates.PASSAGES.broadcast_most, 0):
+        p = templates.TemplateParams(passage_words=templates.PASSAGES.passage_words, broadcast_most=most)
+        out = templates.cleaned(d, p).select("doc_id", F.col("_lines").cast("long"), F.col("_lost").cast("long"), F.coalesce("text", F.lit(""))).collect()
+        assert sorted((tuple(r) for r in out), key=str) == want
+    text = {r[0]: r[3] for r in want}
+    assert text[1] == rows[0][1] and text[2] == "second own line"
+    assert text[3] == rows[2][1] and text[4] == "fourth\n\nother end"
+    assert all(text[i] == t for i, t in rows[4:])
+
+
 def test_curves_against_brute_force(spark):
     rng = np.random.default_rng(2)
     x = rng.normal(size=(600, 16)).astype(np.float32)
