@@ -1,7 +1,9 @@
 """Licence scan by sentence rules, in DataFrame functions only.
 
-Texts are cut into sentences, sentences normalised (lower case, runs of other characters than letters and digits
-become one blank), and looked up among known licence sentences. The identifiers, in text order, form a sequence;
+Texts are normalised (lower case, runs of other characters than letters and digits become one blank) and known licence
+sentences looked up in them. A sentence starts and ends at a line end, a blank line, a stop, colon or semicolon. It may
+run over single line ends, with or without comment marks, and over colons, semicolons and the stop of "v."; stops and
+blank lines always cut. Of sentences that start at one place the longest counts. The identifiers, in text order, form a sequence;
 ordered rules then consume it, the longest grants first, and name the licences. The plan is one projection over
 the scan: no shuffle, no Python.
 
@@ -84,7 +86,7 @@ RULES: list[tuple[str, str]] = [
     (",(PublicDomain|Unlicense),", "Public-Domain"),
 ]
 
-#: Where a sentence ends: a line end, or a stop, colon or semicolon before a blank or the end.
+#: Where a sentence ends for the SQL twin, which knows sentences on one line only: a line end, or a stop, colon or semicolon before a blank or the end.
 SPLIT = r"\n|[.!?;:]+(?:[ \t\r\n]+|$)"
 OTHER = r"[^a-z0-9]+"
 
@@ -98,16 +100,32 @@ def sentence_ids() -> dict[str, str]:
 
 
 #: A text without any of these words holds no known sentence; found from the sentences themselves.
-ANCHOR = r"licen|permission|copyright|redistribut|warrant|public domain|rights reserved"
+ANCHOR = r"licen|permission|copyright|redistribut|warrant|public[^a-z0-9]+domain|rights[^a-z0-9]+reserved"
+
+
+#: Marks in a lower-case text, by order: line ends lose the comment marks after them; S cuts always, L may stand inside a sentence.
+MARKS = [
+    (r"\r\n?", "\n"),
+    (r"\n[^a-z0-9\n]*", "\n"),
+    (r"(?:(?<=\bv)[.]|[;:])(?:[ \t\n]++|$)(?<!\n\n)", "L"),
+    (r"[.!?;:]+(?:[ \t\n]+|$)|\n\n+", "S"),
+    (r"\n", "L"),
+    (r"[^a-z0-9SL]+", " "),
+    (r"[ L]*S[ LS]*", "S"),
+    (r" ?L[ L]*", "L"),
+]
 
 
 def identified(text: Column) -> Column:
     """The identifiers of the known sentences of a text, in text order."""
     known = sentence_ids()
     table = F.create_map(*[F.lit(x) for kv in known.items() for x in kv])
-    parts = F.filter(F.split(F.lower(text), SPLIT), lambda s: s.rlike("licen|permission|copyright|redistribut|warrant|public|rights"))
-    found = F.transform(parts, lambda s: table[F.trim(F.regexp_replace(s, OTHER, " "))])
-    return F.filter(found, lambda s: s.isNotNull())
+    marked = F.lower(text)
+    for pattern, mark in MARKS:
+        marked = F.regexp_replace(marked, pattern, mark)
+    any_of = "|".join(k.replace(" ", "[ L]") for k in sorted(known, key=len, reverse=True))
+    found = F.regexp_extract_all(F.concat(F.lit("S"), F.trim(marked), F.lit("S")), F.lit(f"(?<=[SL])(?:{any_of})(?=[SL])"), F.lit(0))
+    return F.transform(found, lambda s: table[F.translate(s, "L", " ")])
 
 
 def scanned(documents: DataFrame) -> DataFrame:

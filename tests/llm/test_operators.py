@@ -308,3 +308,48 @@ def test_pipeline_stages(spark, docs, tmp_path):
         assert d.columns == docs.columns, name
     last = cp.STAGES[-1][1](spark, d, str(tmp_path))
     assert last.count() >= d.count() > 0
+
+
+MIT = """Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software."""
+BSD = """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+1. Redistributions of source code must retain the above copyright notice,
+   this list of conditions and the following disclaimer.
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution."""
+GPL = """This program is free software: you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation, either version 3 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the"""
+MPL = "This Source Code Form is subject to the terms of the Mozilla Public\nLicense, v. 2.0."
+
+
+@pytest.mark.parametrize("mark", ["", "# ", "// ", " * ", ";; "])
+def test_wrapped_licence_notices(spark, mark):
+    texts = [MIT, BSD, GPL, MPL, MIT.replace("deal\nin", "deal\n\nin"), MIT.replace("copy\nof", "copy.\nof"), "foo\nReleased under the MIT License\nbar", "MIT License\n\n" + MIT]
+    rows = [(i, end.join(mark + x for x in t.split("\n"))) for i, (t, end) in enumerate([*((t, "\n") for t in texts), (GPL, "\r\n")])]
+    got = [(r["sentences"], r["licenses"]) for r in licenses.scanned(spark.createDataFrame(rows, "doc_id long, text string")).orderBy("doc_id").collect()]
+    assert got == [
+        ("MitGrant,MitNotice", "MIT"),
+        ("BsdGrant,BsdSource,BsdBinary", "BSD-2-Clause"),
+        ("GplLater-3,GplHope", "GPL-3.0-or-later"),
+        ("MplRef", "MPL-2.0"),
+        ("MitNotice", ""),
+        ("MitNotice", ""),
+        ("MitRef", "MIT"),
+        ("MitTitle,MitGrant,MitNotice", "MIT MIT"),
+        ("GplLater-3,GplHope", "GPL-3.0-or-later"),
+    ]
