@@ -62,11 +62,14 @@ def structural_partition(edges: DataFrame, seeds: DataFrame, n: int, p: Params =
     return attributed_partition(plain_graph(edges), seeds, n, p.but(measure="classic"), use_proximity=False)
 
 
-def truncated_walk_partition(edges: DataFrame, seeds: DataFrame, n: int, p: Params = Params(), t_cap: int = 40) -> PartitionResult:
-    """The older baseline: lazy walk without restart, truncated in every step, classic sweep; at most t_cap steps."""
+def truncated_walk_partition(edges: DataFrame, seeds: DataFrame, n: int, p: Params = Params(), t_cap: int | None = None) -> PartitionResult:
+    """The older baseline: lazy walk without restart, truncated in every step, classic sweep.
+
+    It takes all t_last steps of the bound unless `t_cap` is given; without a restart nothing contracts earlier.
+    """
     m = edges.count()
     d = derive_params(m, p)
-    d = Derived(d.l, d.t_last, d.b, d.eps, min(d.t_last, t_cap))
+    d = Derived(d.l, d.t_last, d.b, d.eps, d.t_last if t_cap is None else min(d.t_last, t_cap))
     g = plain_graph(edges)
     return ranked_and_swept(_whole(g, seeds), seeds.select("seed", F.col("seed").alias("node")), degrees(g, "w"), seeds, p.but(alpha_n=0.0, measure="classic", stop="fixed", truncate="feedback"), d, 2.0 * m)
 

@@ -39,6 +39,8 @@ def rank_vector(src, dst, w, n: int, seed: int, p: Params, d: Derived) -> tuple[
         new[seed] += p.alpha_n
         if p.truncate == "feedback":
             new[new <= d.eps * deg] = 0.0
+        if np.array_equal(new, q):  # a fixed point: all further steps give the same
+            break
         change = abs(new.sum() - q.sum()) if p.stop == "mass" else np.abs(new - q).sum()
         q = new
         if p.stop != "fixed" and change < p.eps_t:

@@ -142,3 +142,22 @@ def test_components_and_stats(spark):
 def test_removing_nothing_gains_nothing(spark):
     e = spark.createDataFrame([(1, 2), (2, 3)], "src long, dst long")
     assert gr.drop_edges(e, 0.0).count() == 2 and gr.edge_fraction(e, 10).count() == 2
+
+
+def test_truncated_walk_is_not_cut(spark):
+    # Two cliques at the ends of a long path: rank needs far more than 40 steps to get across.
+    pairs = [(o + i, o + j) for o in (0, 100) for i in range(6) for j in range(i)] + [(k, k + 1) for k in range(5, 60)] + [(60, 100)]
+    e = gr.structure_graph(spark.createDataFrame(pairs, "src long, dst long"))
+    r = pa.truncated_walk_partition(e, spark.createDataFrame([(2,)], "seed long"), 67, Params(stop="fixed", phi_o=0.5))
+    nodes = sorted({x for p in pairs for x in p})
+    at, d = {v: i for i, v in enumerate(nodes)}, derive_params(len(pairs), Params(phi_o=0.5))
+    a = np.zeros((len(nodes), len(nodes)))
+    for x, y in pairs:
+        a[at[x], at[y]] = a[at[y], at[x]] = 1
+    deg, q = a.sum(1), np.eye(len(nodes))[at[2]]
+    for _ in range(d.t_last):
+        q = 0.5 * (q + a @ (q / deg))
+        q[q <= d.eps * deg] = 0
+    got = {x["node"]: x["rank"] for x in r.curve.collect()}
+    assert set(got) == {v for v in nodes if q[at[v]] > 0} and 100 in got
+    assert np.allclose([got[v] for v in sorted(got)], [q[at[v]] for v in sorted(got)], rtol=1e-9, atol=0)
