@@ -14,14 +14,14 @@ from localcomm.operators import graph as gr
 from localcomm.operators import metrics as me
 from localcomm.operators import partition as pa
 from localcomm.operators import walks as wa
-from localcomm.params import Params
+from localcomm.params import FORECAST, Params
 from localcomm.plans import oracle as sql
 from localcomm.plans.stages import staged
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 
-#: What the catalogue runs with: a fixed number of rank steps, so that SQL can follow; fewer trials than production.
+#: What the catalogue runs with: a fixed number of rank steps, so that SQL can follow; fewer trials than the production queries at the end.
 P = Params(stop="fixed", n_w=2000)
 FORE = P.but(t_s=5.0, t_e=0.3)
 SEEDS = 5
@@ -435,6 +435,25 @@ def _(s, d):
     return fc.ego_network(w.edges, w.seeds(), 2)
 
 
+# Production parameters: 10,000 trials and all hops, too slow for SQL ----------------------------------------------------
+
+
+@query("walk_visits_production")
+def _(s, d):
+    return _sub(s, d, p=Params()).visits
+
+
+@query("walk_visits_relational_production")
+def _(s, d):
+    w = world(s, d)
+    return wa.walk_visits(w.combined, w.seeds(), Params(engine="relational"))
+
+
+for _g in ("parts", "docs"):
+    query(f"attributed_partition_production_{_g}")(lambda s, d, g=_g: rounded(attributed(s, d, g, Params()).summary, "score"))
+    query(f"structural_partition_production_{_g}")(lambda s, d, g=_g: rounded(structural(s, d, g, Params()).summary, "score"))
+    query(f"forecast_partition_production_{_g}")(lambda s, d, g=_g: rounded(_forecast(s, d, g, FORECAST).summary, "score"))
+
 from localcomm.plans import experiments, surroundings  # noqa: E402
 
 experiments.register(query)

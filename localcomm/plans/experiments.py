@@ -1,4 +1,4 @@
-"""The experiment workloads: parameter sweeps, method comparison, scaling, forecasts, with small grids by default.
+"""The experiment workloads: parameter sweeps, method comparison, scaling, forecasts.
 
 Walks depend on (graph, seeds, alpha_r, n_w) only, so rows of a sweep that share them share one set of visits.
 Full grids are the constants below; `grid` arguments take any subset.
@@ -17,7 +17,7 @@ from localcomm.operators import graph as gr
 from localcomm.operators import metrics as me
 from localcomm.operators import partition as pa
 from localcomm.operators import walks as wa
-from localcomm.params import Params, derive_params
+from localcomm.params import EFFECTIVENESS, Params, derive_params
 from localcomm.plans.stages import staged
 
 ALPHAS = tuple(round(0.1 * i, 1) for i in range(1, 8))
@@ -179,13 +179,18 @@ def register(query) -> None:
         c = gr.combined_graph(gr.attribute_graph(nodes, edges, t_e=0.7))
         return c.select(F.col("src").cast("int").alias("src"), F.col("dst").cast("int").alias("dst"), F.round("w_a", 6).alias("sim"), F.round("w", 6).alias("w"))
 
-    q = Params(stop="fixed", n_w=2000)
-    query("experiment_accuracy_parts")(lambda s, d: subgraph_accuracy(cat.world(s, d), (("t_s", 2.0), ("t_s", 5.0), ("alpha_r", 0.5)), 3, q))
-    query("experiment_trials_parts")(lambda s, d: trial_insensitivity(cat.world(s, d), (300, 1000, 3000), 3))
-    query("experiment_size_parts")(lambda s, d: size_independence(cat.world(s, d), (2, 6, 10), 3, q))
-    query("experiment_effectiveness_docs")(lambda s, d: effectiveness(cat.world(s, d, "docs"), 10, q.but(phi_o=0.05)))
-    query("experiment_forecast_t_e_parts")(lambda s, d: forecast_sweep(cat.world(s, d), "t_e", (0.3, 0.6), 5, q.but(t_s=5.0, t_e=0.7)))
-    query("experiment_forecast_phi_docs")(lambda s, d: forecast_sweep(cat.world(s, d, "docs"), "phi_o", (0.1, 0.5), 5, q.but(t_s=5.0, t_e=0.6)))
+    # Whole grids, seeds and numbers of trials; they take long on large graphs.
+    for g in ("parts", "docs"):
+        query(f"experiment_accuracy_{g}")(lambda s, d, g=g: subgraph_accuracy(cat.world(s, d, g)))
+        query(f"experiment_rank_times_{g}")(lambda s, d, g=g: rank_times(cat.world(s, d, g)))
+        query(f"experiment_forecast_t_e_{g}")(lambda s, d, g=g: forecast_sweep(cat.world(s, d, g), "t_e", T_E))
+        query(f"experiment_forecast_phi_{g}")(lambda s, d, g=g: forecast_sweep(cat.world(s, d, g), "phi_o", PHI_FORECAST, p=Params(t_s=5.0, t_e=0.6, stop="fixed")))
+    query("experiment_trials_parts")(lambda s, d: trial_insensitivity(cat.world(s, d)))
+    query("experiment_size_parts")(lambda s, d: size_independence(cat.world(s, d)))
+    for g, k in (("parts", 20), ("pages", 20), ("docs", 100)):
+        query(f"experiment_effectiveness_{g}")(lambda s, d, g=g, k=k: effectiveness(cat.world(s, d, g), k, EFFECTIVENESS))
+    query("experiment_scalability_parts")(lambda s, d: scalability(cat.world(s, d)))
+    query("experiment_seed_latency_parts")(lambda s, d: seed_latency(cat.world(s, d), p=Params(stop="fixed")))
     query("temporal_snapshot_users")(lambda s, d: temporal(s, d))
     query("graph_vectors")(lambda s, d: sources.vectors(s, d).edges)
     query(

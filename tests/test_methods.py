@@ -161,3 +161,31 @@ def test_truncated_walk_is_not_cut(spark):
     got = {x["node"]: x["rank"] for x in r.curve.collect()}
     assert set(got) == {v for v in nodes if q[at[v]] > 0} and 100 in got
     assert np.allclose([got[v] for v in sorted(got)], [q[at[v]] for v in sorted(got)], rtol=1e-9, atol=0)
+
+
+def test_experiments_are_registered_whole(monkeypatch):
+    import inspect
+
+    from localcomm.plans import catalogue as cat
+    from localcomm.plans import experiments as ex
+
+    calls = {}
+    monkeypatch.setattr(cat, "world", lambda s, d, name="parts": name)
+    for f in ("subgraph_accuracy", "trial_insensitivity", "size_independence", "effectiveness", "forecast_sweep", "rank_times", "scalability", "seed_latency"):
+        sig = inspect.signature(getattr(ex, f))
+
+        def note(*a, f=f, sig=sig, **k):
+            bound = sig.bind(*a, **k)
+            bound.apply_defaults()
+            calls.setdefault(f, []).append(bound.arguments)
+
+        monkeypatch.setattr(ex, f, note)
+    for name, run in cat.QUERIES.items():
+        if name.startswith("experiment_"):
+            run(None, "")
+    assert all(c["p"].n_w == 10_000 and c["p"].max_hops == 50 for cs in calls.values() for c in cs)
+    assert len(calls) == 8 and all(len(c["grid"]) == 31 and c["k"] == 10 for c in calls["subgraph_accuracy"])
+    assert [len(c["trials"]) for c in calls["trial_insensitivity"]] == [7] and calls["trial_insensitivity"][0]["k"] == 10
+    assert [list(c["tenths"]) for c in calls["size_independence"] + calls["scalability"]] == [list(range(1, 11))] * 2
+    assert {(c["w"], c["k"], c["p"].phi_o) for c in calls["effectiveness"]} == {("parts", 20, 0.05), ("pages", 20, 0.05), ("docs", 100, 0.05)}
+    assert {(c["w"], c["name"], len(c["values"]), c["k"]) for c in calls["forecast_sweep"]} == {(g, n, v, 20) for g in ("parts", "docs") for n, v in (("t_e", 9), ("phi_o", 6))}
