@@ -59,6 +59,11 @@ def register(query) -> None:
         "SELECT a.event_id AS first_event, b.event_id AS second_event FROM events a JOIN events b ON a.props = b.props AND a.user_id < b.user_id AND abs(epoch(a.ts) - epoch(b.ts)) <= 60",
         lambda s, d: _interval(_t(s, d, e)),
     )
+    add(
+        "interval_pairs_events_ten_minutes",
+        "SELECT a.event_id AS first_event, b.event_id AS second_event FROM events a JOIN events b ON a.props = b.props AND a.user_id < b.user_id AND abs(epoch(a.ts) - epoch(b.ts)) <= 600",
+        lambda s, d: _interval(_t(s, d, e), 600),
+    )
     add(
         "asof_events",
         "SELECT event_id, (SELECT max(p.ts) FROM events p WHERE p.user_id = x.user_id AND p.event_type = 'purchase' AND p.ts <= x.ts) AS last_purchase FROM events x WHERE event_type = 'error'",

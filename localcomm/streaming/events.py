@@ -91,21 +91,25 @@ def degree_state(s, d):
 
 
 def refresh_seeds(s, d):
-    """Ego networks of the users of each micro-batch, from the graph so far."""
+    """Partitions of the users of each micro-batch, on the graph of all events so far; a user's latest one stays."""
     from localcomm import sources
-    from localcomm.operators.forecast import ego_network
+    from localcomm.operators.partition import attributed_partition
+    from localcomm.params import Params
     from localcomm.plans.stages import staged
 
-    edges = staged(sources.users(s, d).edges, "users")
     root = f"{shared_root(s)}/refresh-{uuid.uuid4().hex}"
 
     def touched(batch: DataFrame, number: int) -> None:
-        seeds = batch.select(F.col("user_id").alias("seed")).distinct()
-        ego_network(edges, seeds, 1).groupBy("seed").agg(F.count(F.lit(1)).alias("size")).write.mode("append").parquet(f"{root}/out")
+        batch.withColumn("ts", F.col("ts").cast("timestamp_ntz")).write.mode("overwrite").parquet(f"{root}/seen/events.parquet/batch={number}")
+        g = sources.users(batch.sparkSession, f"{root}/seen")
+        seeds = staged(batch.select(F.col("user_id").alias("seed")).where("seed IS NOT NULL").distinct(), "touched")
+        found = attributed_partition(staged(g.combined(), "so-far"), seeds, g.nodes.count(), Params(stop="fixed"))
+        found.summary.withColumn("batch", F.lit(number)).write.mode("append").parquet(f"{root}/out")
 
     q = source(s, d).writeStream.foreachBatch(touched).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return s.read.parquet(f"{root}/out").groupBy("seed").agg(F.max("size").alias("size"))
+    latest = F.max_by(F.struct("size", "score", "target_met"), "batch").alias("r")
+    return s.read.parquet(f"{root}/out").groupBy("seed").agg(latest).select("seed", "r.size", F.round("r.score", 6).alias("score"), "r.target_met")
 
 
 def queries():
