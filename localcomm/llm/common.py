@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -23,12 +23,14 @@ with np.errstate(over="ignore"):
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share: spark.checkpoint.dir, else a folder of our own (tests)."""
+    """The folder that the driver and all executors share: spark.checkpoint.dir, or in one process a folder of our own (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         known = spark.sparkContext.getCheckpointDir()
         if known:
             return known
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = tempfile.mkdtemp(prefix="localcomm-shared-")
         spark.sparkContext.setCheckpointDir(f"file://{root}")
         root = spark.sparkContext.getCheckpointDir()
@@ -57,10 +59,30 @@ def dropped(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
-def released(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of plans that are done: it does so only when their handles are collected."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+class Scratch:
+    """Tables staged on the way to one result, dropped when it has been written."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.held = spark, {}
+
+    def staged(self, df: DataFrame, name: str) -> DataFrame:
+        out = staged(df, name)
+        self.held[out.staged_path] = True
+        return out
+
+    def drop(self, *tables: DataFrame) -> None:
+        """Tables that nothing reads any more."""
+        for t in tables:
+            if self.held.pop(t.staged_path, False):
+                dropped(self.spark, t.staged_path)
+
+    def last(self, df: DataFrame, name: str, keep: list[DataFrame] = ()) -> DataFrame:
+        """Write the result and drop all that led to it, but for tables that are results too."""
+        out = staged(df, name)
+        for path in [x for x in self.held if x not in {k.staged_path for k in keep}]:
+            del self.held[path]
+            dropped(self.spark, path)
+        return out
 
 
 def flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:

@@ -243,12 +243,74 @@ def test_shingle_join_against_all_pairs(spark, docs):
                 t[int(rng.integers(len(t)))] = str(rng.choice(vocab))
             rows.append((100 + 10 * g + c, " ".join(t)))
     d = spark.createDataFrame(rows, "doc_id long, text string").withColumn("digest", F.lit("clash")).withColumn("n", F.lit(0))
-    for p in (shingles.JoinParams(), shingles.JoinParams(hot=2, counted=0.2, pairs_per_row=0, rounds=2)):
+    # Small levels, stretches and groups, and families that are given up, leave all the work to the index and its blocks.
+    for p in (shingles.JoinParams(), shingles.JoinParams(levels=(1, 2, 4), counted=0.3, small=4, agree=9), shingles.JoinParams(group=3, agree=6)):
         got = sorted((tuple(r) for r in shingles.joined(d, p).collect()), key=str)
         assert got == _brute(rows, 4, 85)
     assert shingles.joined(d.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize(("words", "percent"), [(4, 85), (5, 80)])
+def test_all_links_between_classes(spark, docs, words, percent):
+    rng = np.random.default_rng(8)
+    rows = by_row(docs)
+    for g in range(12):
+        base = [f"w{i}" for i in rng.integers(0, 200, int(rng.integers(30, 90)))]
+        for c in range(int(rng.integers(1, 12))):
+            t = list(base)
+            for _ in range(int(rng.integers(0, 4))):
+                t[int(rng.integers(len(t)))] = f"w{rng.integers(200)}"
+            rows.append((100 + 20 * g + c, " ".join(t)))
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    low = str.maketrans({chr(c): chr(c + 32) for c in range(65, 91)})
+    sets = {}
+    for i, t in rows:
+        w = WORD.findall(t.translate(low))
+        s = frozenset(tuple(w[k : k + words]) for k in range(len(w) - words + 1)) if len(w) >= words else frozenset([tuple(w)] if w else [])
+        if s:
+            sets.setdefault(s, set()).add(i)
+    want = {frozenset((min(sets[x], key=str), min(sets[y], key=str))) for x in sets for y in sets if x != y and 100 * len(x & y) >= percent * len(x | y)}
+    for p in (shingles.JoinParams(words=words, percent=percent), shingles.JoinParams(words=words, percent=percent, group=2), shingles.JoinParams(words=words, percent=percent, agree=9)):
+        members, links = shingles.linked_classes(d, p)
+        name = {}
+        for r in members.collect():
+            if r["class_id"] is not None:
+                name.setdefault(bytes(r["class_id"]), set()).add(r["doc_id"])
+        assert sorted(map(sorted, (map(str, v) for v in name.values()))) == sorted(map(sorted, (map(str, v) for v in sets.values())))
+        got = [frozenset(min(name[bytes(r[k])], key=str) for k in "ab") for r in links.collect()]
+        assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_near_sets_decide_pairs(spark):
+    """Pairs that the answers of near sets decide are decided rightly, and some are left open."""
+    from localcomm.llm.common import Scratch
+
+    rng = np.random.default_rng(9)
+    anchors = [frozenset(rng.choice(400, 100, replace=False).tolist()) for _ in range(3)]
+    anchors[1] = frozenset(list(anchors[0])[:94]) | frozenset(range(1000, 1006))
+    sets = {f"x{k}": a for k, a in enumerate(anchors)}
+    star, pairs = [], []
+    for k, a in enumerate(anchors):
+        for c in range(10):
+            s = frozenset(rng.permutation(sorted(a))[: 100 - int(rng.integers(0, 8))].tolist()) | frozenset(rng.integers(2000, 2010, int(rng.integers(0, 6))).tolist())
+            sets[f"m{k}{c}"] = s
+            star.append((f"m{k}{c}".encode(), f"x{k}".encode(), len(s & a), 100))
+    names = sorted(sets)
+    for i, x in enumerate(names):
+        for y in names[:i]:
+            big, small = sorted((x, y), key=lambda z: (-len(sets[z]), z))
+            pairs.append((big.encode(), small.encode(), len(sets[big]), len(sets[small])))
+    answers = lambda df: spark.createDataFrame([(r["a"], r["b"], len(sets[r["a"].decode()] & sets[r["b"].decode()])) for r in df.collect()], "a binary, b binary, common long")
+    p = shingles.JoinParams()
+    got = shingles.derived(spark.createDataFrame(pairs, "a binary, b binary, na long, nb long"), spark.createDataFrame(star, "digest binary, anchor binary, common long, size long"), answers, p, Scratch(spark)).collect()
+    seen = set()
+    for r in got:
+        x, y = sets[r["a"].decode()], sets[r["b"].decode()]
+        assert r["linked"] is None or r["linked"] == (100 * len(x & y) >= 85 * len(x | y))
+        seen.add(r["linked"])
+    assert len(got) == len(pairs) and seen == {True, False, None}
+
+
 def test_licenses(docs, empty):
     got = {r["doc_id"]: (r["n_sentences"], r["licenses"]) for r in licenses.scanned(docs).collect()}
     assert got[12] == (1, "MIT") and got[0] == (0, "") and licenses.scanned(empty).count() == 0
