@@ -3,8 +3,8 @@
 Sets with equal members form one class; the join works on classes, each represented by one document.
 
 1. Families. Min-hashes name, for each class, the anchor with which it most likely agrees. The classes of one anchor meet in
-   groups of bounded size, together with the anchor: each set travels once, a set that agrees with the anchor takes over the
-   component of the anchor, and the others are compared with all of the group.
+   groups of bounded size, together with the anchor: a set travels once for each group, one that agrees with the anchor takes
+   over the component of the anchor, and the others are compared with all of the group.
 2. Prefix index. Any two similar sets share a member among the first few in a common order. Members that one text
    alone holds come first and need no index row; members that more texts hold come later. How many texts
    hold a member is counted exactly over the stretch of the hash range in which prefixes lie.
@@ -46,6 +46,8 @@ _LOWER[65:91] += 32
 SEND_MOST = 200_000
 #: Classes, and members of all its sets together, that meet in one group.
 GROUP_MOST, GROUP_MEMBERS = 1024, 1 << 21
+#: Parts up to which all parts of a family meet.
+PARTS_MOST = 32
 #: A member that more texts than these hold moves one level back in the common order each.
 LEVELS = (32, 256, 2048, 16384)
 
@@ -301,21 +303,28 @@ class Sets:
         return 100 * common >= percent * (self.sizes + self.sizes[i] - common)
 
 
-def group_links(digests: list[bytes], sets: list[np.ndarray], anchor: int, percent: int, whole: bool) -> list[tuple[bytes, bytes, int]]:
-    """(a, b, common): links of a group that close its components, b nearer to the anchor; or with `whole` all its links."""
-    x, out, k = Sets(sets), [], len(sets)
+def group_links(digests: list[bytes], sets: list[np.ndarray], own: list[int], percent: int, whole: bool) -> list[tuple[bytes, bytes, int]]:
+    """(a, b, common): links that close the components of a group, or with `whole` all its links; `own` is -1 for the anchor.
+
+    Classes of one part are compared with each other and the anchor, those of two parts across.
+    """
+    x, out, k, own = Sets(sets), [], len(sets), np.array(own)
+    anchor, cross = int(np.argmin(own)), len(np.unique(own)) > 2
     common = x.common(anchor)
     near = x.similar(anchor, common, percent)
     near[anchor] = True
-    out += [(digests[i], digests[anchor], int(common[i])) for i in np.flatnonzero(near) if i != anchor]
+    if not cross:
+        out += [(digests[i], digests[anchor], int(common[i])) for i in np.flatnonzero(near) if i != anchor]
     root = np.where(near, anchor, np.arange(k))
     for i in range(k):
         if i == anchor or (near[i] and not whole):
             continue
         common = x.common(i)
-        for t in np.flatnonzero(x.similar(i, common, percent)):
+        other = (own != own[i]) if cross else np.ones(k, bool)
+        other[anchor] = False
+        for t in np.flatnonzero(other & x.similar(i, common, percent)):
             if whole:
-                if t < i and t != anchor:
+                if t < i:
                     out.append((digests[i], digests[t], int(common[t])))
             elif root[t] != root[i]:
                 out.append((digests[i], digests[t], int(common[t])))
@@ -324,18 +333,19 @@ def group_links(digests: list[bytes], sets: list[np.ndarray], anchor: int, perce
 
 
 def family_links(documents: DataFrame, members: DataFrame, ends: DataFrame, p: JoinParams, scratch: Scratch, whole: bool) -> DataFrame:
-    """a, b, common: links inside the groups of families; `members` has digest, anchor and part, the anchors in each part too."""
+    """a, b, common: links inside the groups of families; `members` has digest, anchor, lo, hi and own, the anchors in each group too."""
+    keys = ["anchor", "lo", "hi"]
 
     def job(batches):
-        for (anchor, _), rows in _grouped(batches, ["anchor", "part"], ["digest"]):
-            digests = [r[0] for r in rows]
-            out = group_links(digests, [r[1] for r in rows], digests.index(anchor), p.percent, whole)
+        for _, rows in _grouped(batches, keys, ["own", "digest"]):
+            own, digests, sets = zip(*rows, strict=True)
+            out = group_links(digests, sets, own, p.percent, whole)
             if out:
                 yield _overlap_rows(out)
 
-    found = fetched(documents, ends, members, p).repartition("anchor", "part").sortWithinPartitions("anchor", "part", "digest")
+    found = fetched(documents, ends, members, p).repartition(*keys).sortWithinPartitions(*keys, "own", "digest")
     with _batches_of(documents.sparkSession, 500):
-        return scratch.staged(found.select("anchor", "part", "digest", "members").mapInArrow(job, OVERLAPS), "family-links")
+        return scratch.staged(found.select(*keys, "own", "digest", "members").mapInArrow(job, OVERLAPS), "family-links")
 
 
 OVERLAPS = "a binary, b binary, common long"
@@ -387,7 +397,7 @@ def similar(common: Column, na: Column, nb: Column, percent: int) -> Column:
 
 
 def families(classes: DataFrame, p: JoinParams) -> DataFrame:
-    """digest, anchor, part: for each class the anchor that it shares most min-hashes with (the smallest class of a bucket is its anchor).
+    """digest, anchor, part, parts: for each class the anchor that it shares most min-hashes with (the smallest class of a bucket is its anchor).
 
     A family is dealt to as many parts as its size asks for; classes without an anchor have no row.
     """
@@ -397,7 +407,18 @@ def families(classes: DataFrame, p: JoinParams) -> DataFrame:
     best = shared.groupBy("digest").agg(F.max(F.struct("m", "anchor")).alias("x")).select("digest", "x.anchor")
     best = best.join(classes.select("digest", "n"), "digest")
     size = best.groupBy("anchor").agg(F.greatest(F.ceil(F.count(F.lit(1)) / p.group), F.ceil(F.sum("n") / GROUP_MEMBERS)).cast("int").alias("parts"))
-    return best.join(size, "anchor").select("digest", "anchor", F.pmod(F.xxhash64("digest"), F.col("parts")).cast("int").alias("part"))
+    return best.join(size, "anchor").select("digest", "anchor", F.pmod(F.xxhash64("digest"), F.col("parts")).cast("int").alias("part"), "parts")
+
+
+def meetings(groups: DataFrame) -> DataFrame:
+    """digest, anchor, lo, hi, own: which groups a class is sent to: each two parts of a family, unless it has more than PARTS_MOST.
+
+    Of a larger family only the parts themselves meet; the index finds what lies across. The anchor is in each group, its own is -1.
+    """
+    i, j = F.col("part"), F.col("j")
+    others = F.when(F.col("parts") <= PARTS_MOST, F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array(i))
+    sent = groups.withColumn("j", F.explode(others)).select("digest", "anchor", F.least(i, j).alias("lo"), F.greatest(i, j).alias("hi"), i.alias("own"))
+    return sent.unionByName(sent.select(F.col("anchor").alias("digest"), "anchor", "lo", "hi", F.lit(-1).alias("own")).distinct())
 
 
 def components(links: DataFrame, scratch: Scratch, most_rounds: int = 60) -> DataFrame:
@@ -545,8 +566,7 @@ class Join:
         held = self.rows.where("n > 0").groupBy("digest").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"), F.max("mins").alias("mins"))
         self.classes = self.scratch.staged(held, "classes")
         self.groups = self.scratch.staged(families(self.classes, p), "families")
-        members = self.groups.unionByName(self.groups.select(F.col("anchor").alias("digest"), "anchor", "part")).distinct()
-        members = self.scratch.staged(members, "members")
+        members = self.scratch.staged(meetings(self.groups), "members")
         ends = members.select("digest").distinct().join(self.classes.select("digest", "rep"), "digest")
         self.near = family_links(documents, members, self.scratch.staged(ends, "ends"), p, self.scratch, whole)
 
@@ -566,7 +586,7 @@ class Join:
         multi = bit_filter(counts.select("h"))
         levels = [bit_filter(counts.where(F.col("n") > k).select("h")) for k in p.levels]
         self.scratch.drop(counts)
-        label = self.groups.select("digest", F.xxhash64("anchor", "part").alias("met"))
+        label = self.groups.select("digest", F.when(F.col("parts") <= PARTS_MOST, F.xxhash64("anchor")).otherwise(F.xxhash64("anchor", "part")).alias("met"))
         if comp is None:
             label = label.withColumn("comp", F.lit(None).cast("long"))
         else:

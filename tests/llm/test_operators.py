@@ -244,7 +244,7 @@ def test_shingle_join_against_all_pairs(spark, docs):
             rows.append((100 + 10 * g + c, " ".join(t)))
     d = spark.createDataFrame(rows, "doc_id long, text string").withColumn("digest", F.lit("clash")).withColumn("n", F.lit(0))
     # Small levels, stretches and groups, and families that are given up, leave all the work to the index and its blocks.
-    for p in (shingles.JoinParams(), shingles.JoinParams(levels=(1, 2, 4), counted=0.3, small=4, agree=9), shingles.JoinParams(group=3, agree=6)):
+    for p in (shingles.JoinParams(), shingles.JoinParams(levels=(1, 2, 4), counted=0.3, small=4, agree=9), shingles.JoinParams(group=3)):
         got = sorted((tuple(r) for r in shingles.joined(d, p).collect()), key=str)
         assert got == _brute(rows, 4, 85)
     assert shingles.joined(d.limit(0)).count() == 0
@@ -270,7 +270,7 @@ def test_all_links_between_classes(spark, docs, words, percent):
         if s:
             sets.setdefault(s, set()).add(i)
     want = {frozenset((min(sets[x], key=str), min(sets[y], key=str))) for x in sets for y in sets if x != y and 100 * len(x & y) >= percent * len(x | y)}
-    for p in (shingles.JoinParams(words=words, percent=percent), shingles.JoinParams(words=words, percent=percent, group=2), shingles.JoinParams(words=words, percent=percent, agree=9)):
+    for p in (shingles.JoinParams(words=words, percent=percent, group=3), shingles.JoinParams(words=words, percent=percent, agree=9)):
         members, links = shingles.linked_classes(d, p)
         name = {}
         for r in members.collect():
