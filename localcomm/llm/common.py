@@ -85,6 +85,16 @@ class Scratch:
         return out
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, with underscores in front where the table has a column of that name already."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name in taken:
+            name = f"_{name}"
+        out.append(name)
+    return out
+
+
 def flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """A string or binary Arrow array as (bytes, offsets) without copying; nulls count as empty."""
     if isinstance(arr, pa.ChunkedArray):

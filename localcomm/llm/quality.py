@@ -9,7 +9,7 @@ The model is fitted on the driver on at most `max_labelled` labelled rows, taken
 id (a documented bound that doesn't depend on the size of the corpus); every document is scored.
 
 Cases: null or empty text has only the rates as features and still gets a score; repeated ids are scored row by
-row; without usable labels (none, or one grade only) grades are null and nothing is rejected; labels with null
+row, and fitted with the smallest of their texts; a null id is scored and never fitted; an empty table gives no row; without usable labels (none, or one grade only) grades are null and nothing is rejected; labels with null
 fields are left out; other columns are ignored by `score` and kept by `selected`.
 """
 
@@ -190,7 +190,8 @@ def train(documents: DataFrame, ratings: DataFrame, params: QualityParams = Qual
     """Fit on the first `max_labelled` ratings in hash order; only their feature lists reach the driver."""
     chosen = ratings.orderBy(F.xxhash64("doc_id", F.lit(params.seed)), "doc_id").limit(params.max_labelled)
     body = texts(documents, binary=True).join(F.broadcast(chosen), "doc_id")  # bounded by max_labelled rows
-    got = body.select("text", "grade").mapInArrow(_features_job, "grade int, places array<long>").limit(2 * params.max_labelled).toArrow()
+    one = body.groupBy("doc_id").agg(F.min("text").alias("text"), F.min("grade").alias("grade"))  # of rows that repeat an id, the smallest text
+    got = one.select("text", "grade").mapInArrow(_features_job, "grade int, places array<long>").toArrow()
     if not got.num_rows:
         return OrdinalModel()
     lists = got["places"].combine_chunks()

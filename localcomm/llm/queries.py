@@ -8,7 +8,6 @@ QUERIES = {
     "op1_audio": audio.op1_audio,
     "op2_warc": warc.op2_warc,
     "op3_packing": packing.op3_packing,
-    "op4_passages": templates.op4_passages,
     "op4_templates": templates.op4_templates,
     "op5_curves": curves.op5_curves,
     "op6_quality": quality.op6_quality,
@@ -20,7 +19,6 @@ QUERIES = {
 
 ORACLES: dict[str, str] = {
     "op2_warc": warc.ORACLE,
-    "op4_passages": templates.passages_oracle(),
-    "op4_templates": templates.oracle(),
+    "op4_templates": templates.passages_oracle(),
     "op8_licenses": licenses.oracle(),
 }

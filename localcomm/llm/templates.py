@@ -17,7 +17,7 @@ that lines are joined with them.
 Cases: a null or empty text has no line that can be dropped and comes back as it is (null stays null in
 `deduplicated`, empty in the query); lines of fewer than `min_tokens` tokens are never dropped; blank lines stay;
 rows that repeat a doc_id count as documents of their own and keep a template if that id is the smallest; a null
-doc_id counts but loses nothing; other columns are kept.
+doc_id counts but loses nothing; other columns are kept, whatever their names.
 """
 
 from __future__ import annotations
@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import MULT, flat, mixed, run_hashes, slices, staged, texts
+from localcomm.llm.common import MULT, flat, fresh, mixed, run_hashes, slices, staged, texts
 
 CHUNK = 1 << 20
 _BLANK = np.zeros(256, bool)
@@ -244,13 +244,20 @@ def _cleaned_batches(mark):
     return run
 
 
+def told(documents: DataFrame) -> list[str]:
+    """What `cleaned` calls its two counts: `_lines` and `_lost`, unless the documents have such columns."""
+    return fresh(documents, "_lines", "_lost")
+
+
 def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) -> DataFrame:
-    """All columns of the documents, the text without recurring lines, and `_lines`, `_lost`."""
+    """All columns of the documents, the text without recurring lines, and its lines before and those lost (see `told`)."""
     spark = documents.sparkSession
+    n_lines, n_lost = told(documents)
+    key, digest, marks = fresh(documents, "_key", "_digest", "_gone")
     found = staged(recurring(documents, params), "templates")
     few = found.limit(params.broadcast_most + 1).count() <= params.broadcast_most
     schema = documents.schema
-    wide = documents.withColumn("_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(np.iinfo(np.int64).min)))
+    wide = documents.withColumn(key, F.coalesce(F.col("doc_id").cast("long"), F.lit(np.iinfo(np.int64).min)))
     if few:
         table = found.select("a", "b", "first").toArrow()  # at most broadcast_most rows
         a, b = (np.asarray(table[c]).view(np.uint64) for c in ("a", "b"))
@@ -264,7 +271,7 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
             gone = np.zeros(len(ends), bool)
             if len(both) and len(line):
                 at = np.minimum(np.searchsorted(both, mixed(a) ^ b), len(both) - 1)
-                ids = np.asarray(batch.column("_key"))[line_row[line]]
+                ids = np.asarray(batch.column(key))[line_row[line]]
                 hit = (both[at] == (mixed(a) ^ b)) & (second[at] == b) & (first[at] < ids)
                 gone = _gone(line[hit], last[hit], buf, ends)
             return _stripped(buf, offs, gone, line_row, ends)
@@ -272,8 +279,9 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
         source = wide
     else:
         # Too many to send: lines meet their templates in a join, and each row gets the numbers of its lines that go.
-        own = wide.select("_key", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-        own = own.withColumn("_row", F.struct("_key", F.sha2("text", 256).alias("h")))
+        text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+        wide = wide.withColumn(digest, F.sha2(text, 256))
+        own = wide.select(F.col(key).alias("key"), F.col(digest).alias("h"), text.cast("binary").alias("text"))
 
         def keys(batches):
             for batch in batches:
@@ -283,16 +291,16 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
                     row = line_row[line]
                     start = np.searchsorted(line_row, np.arange(j - i))
                     take = pa.array(row + i)
-                    yield pa.RecordBatch.from_arrays([batch.column("_key").take(take), batch.column("h").take(take), pa.array((line - start[row]).astype(np.int32)), pa.array((last - start[row]).astype(np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["_key", "h", "line", "last", "a", "b"])
+                    yield pa.RecordBatch.from_arrays([batch.column("key").take(take), batch.column("h").take(take), pa.array((line - start[row]).astype(np.int32)), pa.array((last - start[row]).astype(np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["key", "h", "line", "last", "a", "b"])
 
-        flat_keys = own.select("_key", F.col("_row.h").alias("h"), F.col("text").cast("binary").alias("text")).mapInArrow(keys, "_key long, h string, line int, last int, a long, b long")
-        hits = flat_keys.join(found, ["a", "b"]).where("first < _key").groupBy("_key", "h").agg(F.collect_set(F.struct("line", "last")).alias("_gone"))
-        source = wide.withColumn("_h", F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256)).join(hits.withColumnRenamed("h", "_h"), ["_key", "_h"], "left").drop("_h")
+        hits = own.mapInArrow(keys, "key long, h string, line int, last int, a long, b long").join(found, ["a", "b"]).where("first < key")
+        hits = hits.groupBy(F.col("key").alias(key), F.col("h").alias(digest)).agg(F.collect_set(F.struct("line", "last")).alias(marks))
+        source = wide.join(hits, [key, digest], "left")
 
         def mark(batch, buf, offs):
             _, _, _, _, line_row, ends = spans(buf, offs, params)
             start = np.searchsorted(line_row, np.arange(len(offs) - 1))
-            hits = [(start[r] + x["line"], start[r] + x["last"]) for r, found in enumerate(batch.column("_gone").to_pylist()) for x in found or ()]
+            hits = [(start[r] + x["line"], start[r] + x["last"]) for r, found in enumerate(batch.column(marks).to_pylist()) for x in found or ()]
             first, last = np.array(hits, np.int64).reshape(-1, 2).T
             gone = _gone(first, last, buf, ends)
             return _stripped(buf, offs, gone, line_row, ends)
@@ -311,33 +319,24 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
                 import pyarrow.compute as pc
 
                 new = pc.if_else(old.is_valid(), new, old)
-            yield pa.RecordBatch.from_arrays([*[new if c == "text" else batch.column(c) for c in names], pa.array(lines.astype(np.int32)), pa.array(lost.astype(np.int32))], [*names, "_lines", "_lost"])
+            yield pa.RecordBatch.from_arrays([*[new if c == "text" else batch.column(c) for c in names], pa.array(lines.astype(np.int32)), pa.array(lost.astype(np.int32))], [*names, n_lines, n_lost])
 
-    return source.mapInArrow(job, StructType(list(schema.fields)).add("_lines", IntegerType()).add("_lost", IntegerType()))
+    return source.mapInArrow(job, StructType(list(schema.fields)).add(n_lines, IntegerType()).add(n_lost, IntegerType()))
 
 
 def deduplicated(documents: DataFrame, params: TemplateParams = TemplateParams()) -> DataFrame:
     """The documents without recurring lines, in their own columns; those left blank by it go."""
-    out = cleaned(documents, params)
+    out, lost = cleaned(documents, params), F.col(told(documents)[1])
     if "n_chars" in documents.columns:
         kind = documents.schema["n_chars"].dataType
-        out = out.withColumn("n_chars", F.when(F.col("_lost") > 0, F.char_length("text").cast(kind)).otherwise(F.col("n_chars")))
-    return out.where("_lost = 0 OR text RLIKE '[^ \\\\t\\\\n\\\\x0B\\\\f\\\\r]'").select(documents.columns)
+        out = out.withColumn("n_chars", F.when(lost > 0, F.char_length("text").cast(kind)).otherwise(F.col("n_chars")))
+    return out.where((lost == 0) | F.col("text").rlike(r"[^ \t\n\x0B\f\r]")).select(documents.columns)
 
 
 def op4_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Templates alone, as its SQL twin says them."""
-    return _told(spark, sf_dir, TemplateParams())
-
-
-def op4_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole job: templates, and passages of 50 words from two documents on."""
-    return _told(spark, sf_dir, PASSAGES)
-
-
-def _told(spark: SparkSession, sf_dir: str, params: TemplateParams) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    out = cleaned(docs, params)
+    out = cleaned(docs, PASSAGES)
     return out.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("_lines").cast("long").alias("n_lines"), F.col("_lost").cast("long").alias("n_dropped"), F.coalesce("text", F.lit("")).alias("text"))
 
 

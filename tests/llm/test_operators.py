@@ -130,8 +130,12 @@ def test_templates_against_strings(spark, docs):
     for q in (p, templates.TemplateParams(min_docs=3, broadcast_most=0)):
         out = templates.cleaned(d, q).select("doc_id", F.col("_lines").cast("long"), F.col("_lost").cast("long"), F.coalesce("text", F.lit(""))).collect()
         assert sorted((tuple(r) for r in out), key=str) == want
-    kept = templates.deduplicated(docs, p)
-    assert kept.columns == docs.columns
+    clash = docs.withColumns({c: F.lit(7) for c in ("_key", "_lines", "_lost", "_gone", "_digest", "__lost")})
+    for q in (p, templates.TemplateParams(min_docs=3, broadcast_most=0)):
+        kept = templates.deduplicated(clash, q)
+        assert kept.columns == clash.columns
+        assert sorted(map(str, kept.select("doc_id", "text", "_lost").collect())) == sorted(map(str, templates.deduplicated(docs, q).select("doc_id", "text", F.lit(7).alias("_lost")).collect()))
+    assert templates.deduplicated(docs.limit(0)).count() == 0
 
 
 def test_passages_with_production_parameters(spark, docs):
