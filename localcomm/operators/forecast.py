@@ -1,7 +1,7 @@
 """Edge completion by attribute similarity, and the forecast of a community's growth.
 
 Pairs are found per seed inside its subgraph, or on the whole graph: by comparing all pairs, by an exact prefix join
-(rarest members first, length filter, full check), or by min-hash buckets with a full check, whose recall is measured.
+(rarest members first, length filter, full check), or by min-hash buckets with a full check, which miss some pairs.
 """
 
 from __future__ import annotations
@@ -66,30 +66,40 @@ def complete_edges(sub: SubgraphSet, nodes: DataFrame, t_e: float = 0.7, strateg
 def forecast_community(combined: DataFrame, nodes: DataFrame, seeds: DataFrame, n: int, p: Params, strategy: str = "pairs", rewalk: bool = False) -> PartitionResult:
     """The partition that the completed subgraph gives; `sub_edges` of the result tells predicted edges apart.
 
-    With `rewalk` a second subgraph is drawn inside the completed first one before ranking, seed by seed.
+    With `rewalk` a second subgraph is drawn inside the completed first one before ranking.
     """
     m, total = combined.agg(F.count(F.lit(1)), 2 * F.coalesce(F.sum("w"), F.lit(0.0))).first()
     d = derive_params(m, p)
     sub = proximity_subgraph(combined, seeds, n, p)
     done = staged(complete_edges(sub, nodes, p.t_e if p.t_e is not None else 0.7, strategy), "completed")
     if rewalk:
-        parts = None
-        for r in seeds.select("seed").distinct().collect():  # the caller's few seeds
-            one = done.where(F.col("seed") == r["seed"])
-            again = proximity_subgraph(one.select("src", "dst", "w"), seeds.where(F.col("seed") == r["seed"]), n, p)
-            kept = again.sub_edges.select("seed", "src", "dst").join(one, ["seed", "src", "dst"])
-            parts = kept if parts is None else parts.unionByName(kept)
-        done = staged(parts.select("seed", "src", "dst", "w", "is_predicted"), "completed") if parts is not None else done
-    # Degrees grow by the predicted weight, which differs from seed to seed.
-    extra = both_ways(done.where("is_predicted").select("src", "dst", "seed", "w")).groupBy("seed", "src").agg(F.sum("w").alias("more"))
-    base = degrees(combined, "w")
-    rows = both_ways(done.select("src", "dst", "seed", "w")).join(base.withColumnRenamed("node", "src"), "src", "left").join(extra, ["seed", "src"], "left")
-    rows = rows.select("seed", "src", "dst", "w", (F.coalesce("deg", F.lit(0.0)) + F.coalesce("more", F.lit(0.0))).alias("deg"))
-    from localcomm.operators import ranking
-
-    curve = staged(rows.groupBy("seed").applyInPandas(lambda key, f: ranking.local_curve(int(key[0]), f, p, d, total), ranking.CURVE).replace(float("nan"), None), "curve")
-    members, summary = ranking.choose_partition(curve, seeds, p)
-    return PartitionResult(members, summary, curve, sub.sub_nodes, done)
+        done = rewalked(done, seeds, n, p)
+    return ranked_and_swept(done, sub.sub_nodes, grown_degrees(done, combined), seeds, p, d, total)
+
+
+def rewalked(done: DataFrame, seeds: DataFrame, n: int, p: Params) -> DataFrame:
+    """The completed subgraphs cut by walks once more, inside each.
+
+    All seeds walk in one job: a vertex goes by the place of its seed among them and its own id, so subgraphs don't touch.
+    """
+    from localcomm.operators.walks import relevant, walk_visits
+
+    place = staged(seeds.select("seed").distinct().withColumn("k", F.row_number().over(Window.orderBy("seed")).cast("long")), "places")  # the caller's seeds, one row each
+    span = 1 << 40
+    mine = done.join(F.broadcast(place), "seed") if place.count() <= 100_000 else done.join(place, "seed")
+    apart = mine.select((F.col("k") * span + F.col("src")).alias("src"), (F.col("k") * span + F.col("dst")).alias("dst"), "w")
+    visits = walk_visits(apart, place.select((F.col("k") * span + F.col("seed")).alias("seed")), p)
+    kept = relevant(visits, n, p).select(F.expr(f"seed % {span}").alias("seed"), F.expr(f"node % {span}").alias("node"))
+    kept = staged(kept, "rewalked")
+    inside = done.join(kept.select("seed", F.col("node").alias("src")), ["seed", "src"], "left_semi").join(kept.select("seed", F.col("node").alias("dst")), ["seed", "dst"], "left_semi")
+    return staged(inside.select("seed", "src", "dst", "w", "is_predicted"), "completed")
+
+
+def grown_degrees(done: DataFrame, combined: DataFrame) -> DataFrame:
+    """seed, node, deg: degrees in the whole graph and the weight that a seed's predicted edges add, which differs by seed."""
+    ends = both_ways(done.select("src", "dst", "seed", F.when(F.col("is_predicted"), F.col("w")).otherwise(0.0).alias("w")))
+    more = ends.groupBy("seed", F.col("src").alias("node")).agg(F.sum("w").alias("more"))
+    return more.join(degrees(combined, "w"), "node", "left").select("seed", "node", (F.coalesce("deg", F.lit(0.0)) + F.col("more")).alias("deg"))
 
 
 def predicted_links(result: PartitionResult, top: int = 20) -> DataFrame:

@@ -19,42 +19,68 @@ class PartitionResult:
     members: DataFrame
     summary: DataFrame
     curve: DataFrame
-    sub_nodes: DataFrame
+    sub_nodes: DataFrame | None
     sub_edges: DataFrame
 
 
-def ranked_and_swept(sub_edges: DataFrame, sub_nodes: DataFrame, deg: DataFrame, seeds: DataFrame, p: Params, d: Derived, total: float) -> PartitionResult:
-    """Rank, order, sweep and choose on given subgraphs; one task per seed while the largest is small, joins beyond."""
-    sub_edges = staged(sub_edges, "ranked-edges")
-    largest = sub_edges.groupBy("seed").count().agg(F.max("count")).first()[0] or 0
-    if p.engine == "relational" or (p.engine == "auto" and largest > ranking.LOCAL_MOST):
-        order = ranking.rank_order(ranking.seed_rank(sub_edges, seeds, p, d), p.n_s)
-        curve = ranking.sweep_curve(staged(order, "order"), sub_edges, deg, p, total)
-    else:
-        curve = ranking.curves(sub_edges, deg, p, d, total)
+def _chosen(curve: DataFrame, seeds: DataFrame, p: Params, sub_nodes: DataFrame | None, sub_edges: DataFrame) -> PartitionResult:
     curve = staged(curve, "curve")
     members, summary = ranking.choose_partition(curve, seeds, p)
     return PartitionResult(members, summary, curve, sub_nodes, sub_edges)
 
 
-def _whole(combined: DataFrame, seeds: DataFrame) -> DataFrame:
-    """The full graph once for each seed: seeds are few and the caller's choice."""
-    return combined.select("src", "dst", "w").join(F.broadcast(seeds.select("seed").distinct()))
+def ranked_and_swept(sub_edges: DataFrame, sub_nodes: DataFrame, deg: DataFrame, seeds: DataFrame, p: Params, d: Derived, total: float) -> PartitionResult:
+    """Rank, order, sweep and choose on given subgraphs; one task per seed while the largest is small, joins beyond.
+
+    Both ways stop, truncate and cut alike. `deg` may have a seed column, if degrees differ by seed.
+    """
+    sub_edges = staged(sub_edges, "ranked-edges")
+    local = p.engine == "local"
+    if p.engine == "auto":
+        largest = sub_edges.groupBy("seed").count().agg(F.max("count")).first()[0] or 0
+        local = largest <= ranking.LOCAL_MOST
+    if local:
+        curve = ranking.curves(sub_edges, deg, [(p, d)], total)
+    else:
+        curve = ranking.sweep_curve(staged(ranking.rank_order(ranking.seed_rank(sub_edges, seeds, p, d), p.n_s), "order"), sub_edges, deg, p, total)
+    return _chosen(curve, seeds, p, sub_nodes, sub_edges)
+
+
+def scenarios_swept(sub_edges: DataFrame, sub_nodes: DataFrame, deg: DataFrame, seeds: DataFrame, scenarios: ranking.Scenarios, total: float) -> PartitionResult:
+    """The same for a grid of parameters in one job: seeds go by `ranking.scenario_seeds`; `target_met` is that of the first."""
+    sub_edges = staged(sub_edges, "ranked-edges")
+    return _chosen(ranking.curves(sub_edges, deg, scenarios, total), seeds, scenarios[0][0], sub_nodes, sub_edges)
+
+
+def whole_swept(edges: DataFrame, deg: DataFrame, seeds: DataFrame, scenarios: ranking.Scenarios, total: float, m: int) -> PartitionResult:
+    """Rank, order, sweep and choose on one whole graph of m edges for all seeds; the graph is never copied for each.
+
+    Up to `ranking.SEND_MOST` edges it is sent to all tasks; beyond, ranks are joined with one table of transitions.
+    """
+    p, d = scenarios[0]
+    edges = edges.select("src", "dst", "w")
+    if p.engine == "local" or (p.engine == "auto" and m <= ranking.SEND_MOST):
+        return _chosen(ranking.whole_curves(edges, deg, seeds, scenarios, total), seeds, p, None, edges)
+    found = None
+    for i, (q, e) in enumerate(scenarios):
+        mine = seeds.where(F.expr(f"seed DIV {ranking.SCENARIO}") == i).select(F.pmod("seed", F.lit(ranking.SCENARIO)).alias("seed"))
+        order = staged(ranking.rank_order(ranking.seed_rank(edges, mine, q, e), q.n_s), "order")
+        one = ranking.sweep_curve(order, edges, deg, q, total).withColumn("seed", F.col("seed") + F.lit(i * ranking.SCENARIO))
+        found = one if found is None else found.unionByName(one)
+    return _chosen(found, seeds, p, None, edges)
 
 
 def attributed_partition(combined: DataFrame, seeds: DataFrame, n: int, p: Params = Params(), use_proximity: bool = True) -> PartitionResult:
     """The partition around each seed of a combined graph of n vertices.
 
-    Without the walk subgraph the whole graph is ranked, by joins unless it is small. Isolated seeds are alone.
+    Without the walk subgraph the whole graph is ranked (`sub_nodes` is None then). Isolated seeds are alone.
     """
     m, total = combined.agg(F.count(F.lit(1)), 2 * F.coalesce(F.sum("w"), F.lit(0.0))).first()
     d, deg = derive_params(m, p), degrees(combined, "w")
     if use_proximity:
         sub = proximity_subgraph(combined, seeds, n, p)
         return ranked_and_swept(sub.sub_edges.select("seed", "src", "dst", "w"), sub.sub_nodes, deg, seeds, p, d, total)
-    edges = _whole(combined, seeds)
-    nodes = seeds.select("seed").distinct().join(F.broadcast(deg.select("node")) if m < 100_000 else deg.select("node"))
-    return ranked_and_swept(edges, nodes, deg, seeds, p, d, total)
+    return whole_swept(combined, deg, seeds, [(p, d)], total, m)
 
 
 def structural_partition(edges: DataFrame, seeds: DataFrame, n: int, p: Params = Params()) -> PartitionResult:
@@ -71,14 +97,14 @@ def truncated_walk_partition(edges: DataFrame, seeds: DataFrame, n: int, p: Para
     d = derive_params(m, p)
     d = Derived(d.l, d.t_last, d.b, d.eps, d.t_last if t_cap is None else min(d.t_last, t_cap))
     g = plain_graph(edges)
-    return ranked_and_swept(_whole(g, seeds), seeds.select("seed", F.col("seed").alias("node")), degrees(g, "w"), seeds, p.but(alpha_n=0.0, measure="classic", stop="fixed", truncate="feedback"), d, 2.0 * m)
+    return whole_swept(g, degrees(g, "w"), seeds, [(p.but(alpha_n=0.0, measure="classic", stop="fixed", truncate="feedback"), d)], 2.0 * m, m)
 
 
 def attributed_rank(combined: DataFrame, seeds: DataFrame, p: Params = Params(), top: int = 20) -> DataFrame:
     """seed, position, node, rank, share: the top vertices by rank on the attributed graph, without any sweep."""
     m = combined.count()
     d = derive_params(m, p)
-    if p.engine != "relational" and m <= ranking.LOCAL_MOST:
-        c = ranking.curves(_whole(combined, seeds), degrees(combined, "w"), p.but(n_s=top), d, 1.0)
+    if p.engine == "local" or (p.engine == "auto" and m <= ranking.SEND_MOST):
+        c = ranking.whole_curves(combined, degrees(combined, "w"), seeds, [(p.but(n_s=top), d)], 1.0)
         return c.select("seed", "position", "node", "rank", "share")
-    return ranking.rank_order(ranking.seed_rank(_whole(combined, seeds), seeds, p, d), top)
+    return ranking.rank_order(ranking.seed_rank(combined.select("src", "dst", "w"), seeds, p, d), top)

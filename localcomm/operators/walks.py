@@ -87,9 +87,9 @@ def walked(csr: Csr, seed: int, walks: np.ndarray, p: Params) -> tuple[np.ndarra
     return np.unique(n[once], return_counts=True)
 
 
-def walk_visits(combined: DataFrame, seeds: DataFrame, p: Params = Params()) -> DataFrame:
-    """seed, node, hits: trials of n_w that visit the node."""
-    adj = staged(adjacency(combined, p.weighted), "adjacency")
+def walk_visits(combined: DataFrame, seeds: DataFrame, p: Params = Params(), adj: DataFrame | None = None) -> DataFrame:
+    """seed, node, hits: trials of n_w that visit the node. `adj`: the graph's `adjacency`, if a caller has it already."""
+    adj = staged(adjacency(combined, p.weighted), "adjacency") if adj is None else adj
     seeds = seeds.select(F.col("seed").cast("long").alias("seed")).where("seed IS NOT NULL").distinct()
     local = p.engine == "local" or (p.engine == "auto" and adj.limit(SEND_MOST + 1).count() <= SEND_MOST)
     return _local_visits(adj, seeds, p) if local else _relational_visits(adj, seeds, p)

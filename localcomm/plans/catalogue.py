@@ -39,7 +39,7 @@ def query(name: str, oracle: str | None = None):
 
 
 class World:
-    """A graph's tables, staged once per session and folder, and counts that several queries need."""
+    """A graph's tables, staged once per session and state of the folder, and counts that several queries need."""
 
     def __init__(self, spark: SparkSession, sf_dir: str, name: str):
         g = sources.GRAPHS[name](spark, sf_dir)
@@ -51,16 +51,25 @@ class World:
         return gr.sample_seeds(self.edges, k)
 
 
+def _version(spark: SparkSession, sf_dir: str) -> tuple:
+    """The tables under a folder as they are now: names, sizes and times of change."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    files = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listStatus(where)
+    return (spark.sparkContext.applicationId, sf_dir, *sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in files))
+
+
+def forget() -> None:
+    """Drop what queries share, so that the next one pays for all it needs."""
+    _made.clear()
+
+
 def world(spark: SparkSession, sf_dir: str, name: str = "parts") -> World:
-    key = (spark.sparkContext.applicationId, sf_dir, name)
-    if key not in _made:
-        _made[key] = World(spark, sf_dir, name)
-    return _made[key]
+    return made(spark, sf_dir, f"world-{name}", lambda: World(spark, sf_dir, name))
 
 
 def made(spark, sf_dir, what: str, build):
     """An intermediate result that several queries share."""
-    key = (spark.sparkContext.applicationId, sf_dir, what)
+    key = (*_version(spark, sf_dir), what)
     if key not in _made:
         _made[key] = build()
     return _made[key]

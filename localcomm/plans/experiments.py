@@ -16,6 +16,7 @@ from localcomm.operators import forecast as fc
 from localcomm.operators import graph as gr
 from localcomm.operators import metrics as me
 from localcomm.operators import partition as pa
+from localcomm.operators import ranking as rk
 from localcomm.operators import walks as wa
 from localcomm.params import EFFECTIVENESS, Params, derive_params
 from localcomm.plans.stages import staged
@@ -32,30 +33,40 @@ def _all(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
+def _scenario(df: DataFrame, i: int) -> DataFrame:
+    return df.withColumn("seed", F.lit(i).cast("long") * rk.SCENARIO + F.col("seed"))
+
+
 def _tag(df: DataFrame, **tags) -> DataFrame:
     return df.select(*[F.lit(v).alias(k) for k, v in tags.items()], *df.columns)
 
 
 def subgraph_accuracy(w, grid=FULL_GRID, k: int = 10, p: Params = Params(stop="fixed")) -> DataFrame:
-    """parameter, value, partition_difference, top20_difference, p: means over seeds, with against without the subgraph."""
-    seeds = staged(w.seeds(k), "seeds")
+    """parameter, value, partition_difference, top20_difference, p: means over seeds, with against without the subgraph.
+
+    The whole grid is one job: each row is a scenario. Rows that differ in the walks alone share the whole graph's answer.
+    """
+    spark, seeds = w.edges.sparkSession, staged(w.seeds(k), "seeds")
     m, total = w.combined.agg(F.count(F.lit(1)), 2 * F.sum("w")).first()
-    deg, visits, full, out = staged(gr.degrees(w.combined, "w"), "deg"), {}, {}, []
-    for name, value in grid:
-        q = p.but(**{name: value})
-        d = derive_params(m, q)
-        if (q.alpha_r, q.n_w) not in visits:
-            visits[q.alpha_r, q.n_w] = staged(wa.walk_visits(w.combined, seeds, q), "visits")
-        nodes = staged(wa.relevant(visits[q.alpha_r, q.n_w], w.n, q), "relevant")
-        ours = pa.ranked_and_swept(gr.induced(w.combined, nodes).select("seed", "src", "dst", "w"), nodes, deg, seeds, q, d, total)
-        if (q.alpha_n, d.steps, q.phi_o) not in full:
-            full[q.alpha_n, d.steps, q.phi_o] = pa.attributed_partition(w.combined, seeds, w.n, q, use_proximity=False)
-        theirs = full[q.alpha_n, d.steps, q.phi_o]
-        diff = me.set_difference_size(ours.members, theirs.members).agg(F.avg("symmetric").alias("partition_difference"), F.lit(1).alias("one"))
-        top = me.topk_difference(ours.curve, theirs.curve).agg(F.avg("difference").alias("top20_difference"), F.lit(1).alias("one"))
-        size = nodes.groupBy("seed").count().agg(F.avg("count").alias("p"), F.lit(1).alias("one"))
-        out.append(_tag(diff.join(top, "one").join(size, "one").drop("one"), parameter=name, value=float(value)))
-    return _all(out)
+    deg, adj = staged(gr.degrees(w.combined, "w"), "deg"), staged(gr.adjacency(w.combined, p.weighted), "adjacency")
+    rows = [p.but(**{name: value}) for name, value in grid]
+    visits = {q.alpha_r: q for q in rows}
+    visits = {a: staged(wa.walk_visits(w.combined, seeds, q, adj), "visits") for a, q in visits.items()}
+    nodes = staged(_all([_scenario(wa.relevant(visits[q.alpha_r], w.n, q), i) for i, q in enumerate(rows)]), "relevant")
+    ours = pa.scenarios_swept(gr.induced(w.combined, nodes).select("seed", "src", "dst", "w"), nodes, deg, rk.scenario_seeds(seeds, range(len(rows))), [(q, derive_params(m, q)) for q in rows], total)
+    ranked = list(dict.fromkeys((q.alpha_n, q.phi_o) for q in rows))
+    whole = [p.but(alpha_n=a, phi_o=f) for a, f in ranked]
+    theirs = pa.whole_swept(w.combined, deg, rk.scenario_seeds(seeds, range(len(whole))), [(q, derive_params(m, q)) for q in whole], total, m)
+    of = spark.createDataFrame([(i, ranked.index((q.alpha_n, q.phi_o)), *grid[i][:1], float(grid[i][1])) for i, q in enumerate(rows)], "i long, whole long, parameter string, value double")
+
+    def spread(df: DataFrame) -> DataFrame:
+        return df.join(F.broadcast(of), F.expr(f"seed DIV {rk.SCENARIO}") == F.col("whole")).withColumn("seed", F.col("i") * rk.SCENARIO + F.expr(f"seed % {rk.SCENARIO}"))  # a row for each grid row
+
+    mean = lambda df, c, name: df.groupBy(F.expr(f"seed DIV {rk.SCENARIO}").alias("i")).agg(F.avg(c).alias(name))
+    diff = mean(me.set_difference_size(ours.members, spread(theirs.members)), "symmetric", "partition_difference")
+    top = mean(me.topk_difference(ours.curve, spread(theirs.curve)), "difference", "top20_difference")
+    size = mean(nodes.groupBy("seed").count(), "count", "p")
+    return F.broadcast(of).join(diff, "i").join(top, "i").join(size, "i").select("parameter", "value", "partition_difference", "top20_difference", "p")
 
 
 def rank_times(w, k: int = 10, p: Params = Params(stop="fixed")) -> DataFrame:
@@ -73,7 +84,8 @@ def rank_times(w, k: int = 10, p: Params = Params(stop="fixed")) -> DataFrame:
 def trial_insensitivity(w, trials=TRIALS, k: int = 10, p: Params = Params()) -> DataFrame:
     """n_w, p: mean size of the subgraph by number of trials."""
     seeds = staged(w.seeds(k), "seeds")
-    return _all([_tag(wa.relevant(wa.walk_visits(w.combined, seeds, p.but(n_w=t)), w.n, p.but(n_w=t)).groupBy("seed").count().agg(F.avg("count").alias("p")), n_w=t) for t in trials])
+    adj = staged(gr.adjacency(w.combined, p.weighted), "adjacency")
+    return _all([_tag(wa.relevant(wa.walk_visits(w.combined, seeds, p.but(n_w=t), adj), w.n, p.but(n_w=t)).groupBy("seed").count().agg(F.avg("count").alias("p")), n_w=t) for t in trials])
 
 
 def size_independence(w, tenths=range(1, 11), k: int = 3, p: Params = Params()) -> DataFrame:
@@ -111,21 +123,44 @@ def scalability(w, tenths=range(1, 11), k: int = 3, p: Params = Params(stop="fix
     return w.edges.sparkSession.createDataFrame(rows, "tenth int, m long, attributed_s double, structural_s double, ratio double")
 
 
-def forecast_sweep(w, name: str, values, k: int = 20, p: Params = Params(t_s=5.0, t_e=0.7, stop="fixed"), removed: float = 0.15) -> DataFrame:
-    """value, gain_v, gain_e: mean gain of the forecast on the graph without `removed` of its edges."""
-    seeds = staged(w.seeds(k), "seeds")
-    less = staged(sources.Graph(w.nodes, gr.drop_edges(w.edges, removed)).combined(), "removed")
-    a, b, out = None, None, []
-    for v in values:
-        q = p.but(**{name: float(v)})
-        if a is None or name != "t_e":
-            a, b = pa.attributed_partition(w.combined, seeds, w.n, q), pa.attributed_partition(less, seeds, w.n, q)
-        c = fc.forecast_community(less, w.nodes, seeds, w.n, q)
-        f = c.sub_edges.select("seed", "src", "dst").join(c.members.select("seed", F.col("node").alias("src")), ["seed", "src"]).join(c.members.select("seed", F.col("node").alias("dst")), ["seed", "dst"])
-        inner = lambda e, m: gr.induced(e.select("src", "dst"), m)
-        g = me.forecast_gain(a.members, b.members, c.members, inner(w.edges, a.members), inner(less, b.members), f)
-        out.append(_tag(g.agg(F.avg("gain_v").alias("gain_v"), F.avg("gain_e").alias("gain_e"), F.max("gain_v").alias("best_v"), F.max("gain_e").alias("best_e")), parameter=name, value=float(v)))
-    return _all(out)
+def forecast_sweep(w, name: str, values, k: int = 20, p: Params = Params(t_s=5.0, t_e=0.7, stop="fixed"), removed: float = 0.15, less: DataFrame | None = None) -> DataFrame:
+    """parameter, value, gain_v, gain_e, best_v, best_e: gain of the forecast on the graph without `removed` of its edges.
+
+    Each value is a scenario of three jobs: original, graph with less, the same with the forecast. `less`: edges to keep instead.
+    Values of t_e, phi_o or another parameter of the ranking; the walks are the same for all.
+    """
+    seeds, rows = staged(w.seeds(k), "seeds"), [p.but(**{name: float(v)}) for v in values]
+    kept = staged(gr.drop_edges(w.edges, removed) if less is None else less, "kept")
+    less = staged(sources.Graph(w.nodes, kept).combined(), "removed")
+    every = rk.scenario_seeds(seeds, range(len(rows)))
+    each = F.explode(F.array(*[F.struct(F.lit(i).cast("long").alias("i"), F.lit(float(q.t_e if q.t_e is not None else 0.7)).alias("t_e")) for i, q in enumerate(rows)]))
+    spread = lambda df: df.withColumn("x", each).withColumn("seed", F.col("x.i") * rk.SCENARIO + F.col("seed"))
+
+    def swept(combined: DataFrame, sub: wa.SubgraphSet, edges: DataFrame | None = None) -> pa.PartitionResult:
+        m, total = combined.agg(F.count(F.lit(1)), 2 * F.coalesce(F.sum("w"), F.lit(0.0))).first()
+        own = spread(sub.sub_edges).select("seed", "src", "dst", "w") if edges is None else edges
+        deg = gr.degrees(combined, "w") if edges is None else fc.grown_degrees(edges, combined)
+        return pa.scenarios_swept(own, sub.sub_nodes, deg, every, [(q, derive_params(m, q)) for q in rows], total)
+
+    first, second = wa.proximity_subgraph(w.combined, seeds, w.n, p), wa.proximity_subgraph(less, seeds, w.n, p)
+    done = spread(fc.complete_edges(second, w.nodes, min(q.t_e if q.t_e is not None else 0.7 for q in rows)))
+    done = staged(done.where("NOT is_predicted OR w > x.t_e").select("seed", "src", "dst", "w", "is_predicted"), "completed")
+    a, b, c = swept(w.combined, first), swept(less, second), swept(less, second, done)
+    inner = lambda e, m: gr.induced(e.select("src", "dst"), m)
+    ends = lambda end: c.members.select("seed", F.col("node").alias(end))
+    g = me.forecast_gain(a.members, b.members, c.members, inner(w.edges, a.members), inner(kept, b.members), done.select("seed", "src", "dst").join(ends("src"), ["seed", "src"]).join(ends("dst"), ["seed", "dst"]))
+    g = g.groupBy(F.expr(f"seed DIV {rk.SCENARIO}").alias("i")).agg(F.avg("gain_v").alias("gain_v"), F.avg("gain_e").alias("gain_e"), F.max("gain_v").alias("best_v"), F.max("gain_e").alias("best_e"))
+    told = w.edges.sparkSession.createDataFrame([(i, name, float(v)) for i, v in enumerate(values)], "i long, parameter string, value double")
+    return F.broadcast(told).join(g, "i").drop("i")
+
+
+def parts_before(spark, sf_dir: str, quantile: float = 0.85) -> DataFrame:
+    """Edges of `parts` that the orders up to a date give: the graph as it was when so many of its orders were in."""
+    o = sources.table(spark, sf_dir, "orders").select("o_orderkey", F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("t"))
+    cut = o.approxQuantile("t", [quantile], 0.001)[0]
+    lines = sources.table(spark, sf_dir, "lineitem").where("l_returnflag = 'R'").select("l_partkey", "l_orderkey")
+    early = lines.join(o.where(F.col("t") <= cut), F.col("l_orderkey") == F.col("o_orderkey"))
+    return gr.project_bipartite(early, "l_partkey", "l_orderkey").select("src", "dst")
 
 
 def temporal(spark, sf_dir: str, quantile: float = 0.85) -> DataFrame:
@@ -191,6 +226,10 @@ def register(query) -> None:
         query(f"experiment_effectiveness_{g}")(lambda s, d, g=g, k=k: effectiveness(cat.world(s, d, g), k, EFFECTIVENESS))
     query("experiment_scalability_parts")(lambda s, d: scalability(cat.world(s, d)))
     query("experiment_seed_latency_parts")(lambda s, d: seed_latency(cat.world(s, d), p=Params(stop="fixed")))
+    # The forecast on a real snapshot: the graph of the orders up to a date, against that of all orders.
+    query("experiment_temporal_parts")(lambda s, d: forecast_sweep(cat.world(s, d), "t_e", T_E, less=parts_before(s, d)))
+    for g in ("parts", "pages"):
+        query(f"experiment_walk_counts_{g}")(lambda s, d, g=g: wa.visit_histogram(wa.walk_visits(cat.world(s, d, g).combined, cat.world(s, d, g).seeds(1), Params())))
     query("temporal_snapshot_users")(lambda s, d: temporal(s, d))
     query("graph_vectors")(lambda s, d: sources.vectors(s, d).edges)
     query(

@@ -158,8 +158,8 @@ def register(query) -> None:
     add("udaf_curve_median", sql.query(*cat._A, select="SELECT CAST(position AS INTEGER) AS position, round(median(score), 6) AS median_score FROM curve GROUP BY position"), lambda s, d: cat.attributed(s, d).curve.groupBy("position").agg(F.round(F.percentile("score", 0.5), 6).alias("median_score")))
     add(
         "length_filtered_pairs",
-        sql.query(sql.PARTS, select="SELECT a.node AS src, b.node AS dst FROM attrs a JOIN attrs b ON a.node < b.node AND a.x[1] = b.x[1] AND len(b.x) >= 0.8 * len(a.x) AND len(a.x) >= 0.8 * len(b.x)"),
-        lambda s, d: _banded(cat.world(s, d).nodes),
+        sql.query(sql.PAGES, select="SELECT a.node AS src, b.node AS dst FROM attrs a JOIN attrs b ON a.node < b.node AND 10 * len(b.x) >= 8 * len(a.x) AND 10 * len(a.x) >= 8 * len(b.x)"),
+        lambda s, d: _banded(cat.world(s, d, "pages").nodes),
     )
 
     def csv_json(s, d):
@@ -211,8 +211,7 @@ def _asof(ev: DataFrame) -> DataFrame:
 
 
 def _banded(nodes: DataFrame) -> DataFrame:
-    x = nodes.select("node", F.element_at("attrs", 1).alias("head"), F.size("attrs").alias("size"))
-    a, b = x.select("head", F.col("node").alias("src"), F.col("size").alias("sa")), x.select("head", F.col("node").alias("dst"), F.col("size").alias("sb"))
-    return a.join(b, "head").where("src < dst AND sb >= 0.8 * sa AND sa >= 0.8 * sb").select("src", "dst")
-
-
+    """All pairs of sets whose sizes are within four fifths of each other: one side lists the sizes that it can meet."""
+    x = nodes.select("node", F.size("attrs").cast("long").alias("size"))
+    a = x.select(F.col("node").alias("src"), F.explode(F.sequence(F.expr("(8 * size + 9) DIV 10"), F.expr("10 * size DIV 8"))).alias("size"))
+    return a.join(x.select(F.col("node").alias("dst"), "size"), "size").where("src < dst").select("src", "dst")

@@ -90,12 +90,101 @@ def test_walk_engines_agree(spark):
         assert a == b and a
 
 
-def test_rank_engines_agree(spark):
+@pytest.mark.parametrize("p", [Params(), Params(stop="mass"), Params(stop="fixed", eps_t=0.3), Params(eps=1e-2), Params(eps=1e-2, truncate="output", stop="mass"), Params(cut_scope="subgraph"), Params(measure="classic", cut_scope="subgraph", eps_t=0.1)])
+@pytest.mark.parametrize("whole", [True, False])
+def test_rank_engines_agree(spark, p, whole):
     nodes, edges = toy(spark)
     c = gr.combined_graph(gr.attribute_graph(nodes, edges))
-    seeds = spark.createDataFrame([(1,), (8,)], "seed long")
-    out = [pa.attributed_partition(c, seeds, 10, Params(stop="fixed", eps_t=0.3, engine=e), use_proximity=False) for e in ("local", "relational")]
-    assert rows(out[0].members, "seed", "node", "position") == rows(out[1].members, "seed", "node", "position")
+    seeds = spark.createDataFrame([(1,), (8,), (77,)], "seed long")
+    p, out = p.but(n_w=300), []
+    for e in ("local", "relational"):
+        if whole:
+            out.append(pa.attributed_partition(c, seeds, 10, p.but(engine=e), use_proximity=False))
+        else:  # two subgraphs, one of them a part
+            sub = gr.induced(c, spark.createDataFrame([(1, n) for n in range(1, 11)] + [(8, n) for n in range(4, 11)], "seed long, node long")).select("seed", "src", "dst", "w")
+            out.append(pa.ranked_and_swept(sub, None, gr.degrees(c, "w"), seeds, p.but(engine=e), derive_params(12, p), 26.7))
+    a, b = (rows(r.curve, "seed", "position", "node", "rank", "cut", "vol", "score") for r in out)
+    assert [x[:3] for x in a] == [x[:3] for x in b] and a
+    for x, y in zip(a, b, strict=True):
+        assert all((u is None) == (v is None) and (u is None or abs(u - v) < 1e-9) for u, v in zip(x[3:], y[3:], strict=True))
+    assert rows(out[0].summary, "seed", "size", "target_met") == rows(out[1].summary, "seed", "size", "target_met")
+
+
+def test_truncation_and_stops_change_ranks(spark):
+    """The variants above are no idle switches: they give other ranks on the toy graph."""
+    nodes, edges = toy(spark)
+    c = gr.combined_graph(gr.attribute_graph(nodes, edges))
+    seeds = spark.createDataFrame([(1,)], "seed long")
+    seen = {tuple(x[1] for x in rows(pa.attributed_partition(c, seeds, 10, p, use_proximity=False).curve, "node", "rank")) for p in (Params(), Params(stop="fixed"), Params(eps=1e-2), Params(eps=1e-2, truncate="output"), Params(eps_t=0.1))}
+    assert len(seen) == 5
+
+
+def test_forecast_engines_and_second_walk(spark):
+    nodes, edges = toy(spark)
+    c, seeds = gr.combined_graph(gr.attribute_graph(nodes, edges)), spark.createDataFrame([(1,), (5,)], "seed long")
+    p = Params(n_w=400, t_e=0.2, t_s=5.0)
+    a, b = (rows(fc.forecast_community(c, nodes, seeds, 10, p.but(engine=e)).summary, "seed", "size", "target_met") for e in ("local", "relational"))
+    assert a == b and len(a) == 2
+    once, twice = (fc.forecast_community(c, nodes, seeds, 10, p, rewalk=r).sub_edges for r in (False, True))
+    kept = set(rows(twice, "seed", "src", "dst"))
+    assert kept <= set(rows(once, "seed", "src", "dst")) and kept
+
+
+def test_push_matches_a_direct_solve(spark):
+    e = [(1, 2), (2, 3), (3, 1), (3, 4), (4, 5)]
+    got = {r["node"]: (r["rank"], r["residual"]) for r in ranking.push_rank(gr.plain_graph(spark.createDataFrame(e, "src long, dst long")), spark.createDataFrame([(1,)], "seed long"), eps=1e-7).collect()}
+    a = np.zeros((5, 5))
+    for x, y in e:
+        a[x - 1, y - 1] = a[y - 1, x - 1] = 1
+    lazy = 0.5 * (np.eye(5) + a / a.sum(1, keepdims=True))
+    want = 0.2 * np.linalg.inv(np.eye(5) - 0.8 * lazy)[0]
+    assert np.allclose([got[n][0] for n in range(1, 6)], want, atol=1e-5)
+    assert all(got[n][1] <= 1e-7 * a.sum(1)[n - 1] for n in got)
+    with pytest.raises(RuntimeError):
+        ranking.push_rank(gr.plain_graph(spark.createDataFrame(e, "src long, dst long")), spark.createDataFrame([(1,)], "seed long"), eps=1e-7, rounds=2)
+
+
+def test_ratio_components_add_up(spark):
+    nodes, edges = toy(spark)
+    c = gr.combined_graph(gr.attribute_graph(nodes, edges))
+    got = {r["node"]: r for r in me.ratio_components(spark.createDataFrame([(1, n) for n in (1, 2, 3, 4)], "seed long, node long"), c).collect()}
+    for n, r in got.items():
+        own = [x for x in c.collect() if n in (x["src"], x["dst"])]
+        inside = [x for x in own if {x["src"], x["dst"]} <= {1, 2, 3, 4}]
+        assert (r["int_g"], r["ext_g"]) == (len(inside), len(own) - len(inside))
+        assert math.isclose(r["int_a"], sum(x["w_a"] for x in inside)) and math.isclose(r["int_a"] + r["ext_a"], sum(x["w_a"] for x in own))
+
+
+def test_gain_counts_vertices_and_edges(spark):
+    m = lambda xs: spark.createDataFrame([(1, x) for x in xs], "seed long, node long")
+    e = lambda xs: spark.createDataFrame([(1, *x) for x in xs], "seed long, src long, dst long")
+    g = me.forecast_gain(m([1, 2, 3]), m([1, 9]), m([1, 2]), e([(1, 2), (2, 3)]), e([(1, 9)]), e([(1, 2)])).first()
+    assert (g["dv_removed"], g["dv_forecast"], g["gain_v"], g["gain_e"]) == (3, 1, 2, 2)
+
+
+def test_grids_in_one_job_equal_single_runs(spark):
+    from localcomm.plans import experiments as ex
+    from localcomm.sources import Graph
+
+    nodes, edges = toy(spark)
+    w = type("W", (), {})()
+    w.nodes, w.edges, w.n, w.combined = nodes, edges, 10, Graph(nodes, edges).combined()
+    w.seeds = lambda k: gr.sample_seeds(edges, k)
+    p = Params(stop="fixed", n_w=200)
+    grid = (("alpha_r", 0.3), ("alpha_n", 0.5), ("t_s", 5.0))
+    got = {(r["parameter"], r["value"]): (r["partition_difference"], r["top20_difference"]) for r in ex.subgraph_accuracy(w, grid, 3, p).collect()}
+    for name, value in grid:
+        q = p.but(**{name: value})
+        a, b = (pa.attributed_partition(w.combined, w.seeds(3), 10, q, use_proximity=u) for u in (True, False))
+        mean = lambda df, c: float(np.mean([r[c] for r in df.collect()]))
+        assert got[name, value] == (mean(me.set_difference_size(a.members, b.members), "symmetric"), mean(me.topk_difference(a.curve, b.curve), "difference"))
+    gains = {r["value"]: (r["gain_v"], r["gain_e"]) for r in ex.forecast_sweep(w, "t_e", (0.1, 0.5), 3, p.but(t_s=5.0)).collect()}
+    less = Graph(nodes, gr.drop_edges(edges, 0.15)).combined()
+    for t_e in (0.1, 0.5):
+        q = p.but(t_s=5.0, t_e=t_e)
+        a, b, c = pa.attributed_partition(w.combined, w.seeds(3), 10, q), pa.attributed_partition(less, w.seeds(3), 10, q), fc.forecast_community(less, nodes, w.seeds(3), 10, q)
+        x = me.set_difference_size(a.members, b.members).toPandas().set_index("seed")["symmetric"] - me.set_difference_size(a.members, c.members).toPandas().set_index("seed")["symmetric"]
+        assert gains[t_e][0] == float(x.mean())
 
 
 def test_isolated_seed_is_alone(spark):
@@ -109,7 +198,8 @@ def test_completion_strategies_agree(spark):
     for t in (0.3, 0.6, 0.8):
         a, b = (rows(fc.similar_pairs(nodes, t, s), "src", "dst") for s in ("pairs", "prefix"))
         assert a == b
-        assert set(rows(fc.similar_pairs(nodes, t, "minhash"), "src", "dst")) <= set(a)
+        found = set(rows(fc.similar_pairs(nodes, t, "minhash"), "src", "dst"))
+        assert found <= set(a) and len(found) >= 0.9 * len(a)
 
 
 def test_planted_blocks(spark):
@@ -171,6 +261,7 @@ def test_experiments_are_registered_whole(monkeypatch):
 
     calls = {}
     monkeypatch.setattr(cat, "world", lambda s, d, name="parts": name)
+    monkeypatch.setattr(ex, "parts_before", lambda s, d: None)
     for f in ("subgraph_accuracy", "trial_insensitivity", "size_independence", "effectiveness", "forecast_sweep", "rank_times", "scalability", "seed_latency"):
         sig = inspect.signature(getattr(ex, f))
 
@@ -181,7 +272,7 @@ def test_experiments_are_registered_whole(monkeypatch):
 
         monkeypatch.setattr(ex, f, note)
     for name, run in cat.QUERIES.items():
-        if name.startswith("experiment_"):
+        if name.startswith("experiment_") and "walk_counts" not in name:
             run(None, "")
     assert all(c["p"].n_w == 10_000 and c["p"].max_hops == 50 for cs in calls.values() for c in cs)
     assert len(calls) == 8 and all(len(c["grid"]) == 31 and c["k"] == 10 for c in calls["subgraph_accuracy"])
