@@ -17,7 +17,7 @@ DEFAULT = "byte_bpe_50k.json"
 GENERATION = 400_000
 #: White space other than the blank and the line end; a text with any goes to the library whole.
 _OTHER_SPACE = [chr(c) for c in (9, 11, 12, 13, 28, 29, 30, 31, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
-_open: dict[str, "WordCache"] = {}
+_open: dict[tuple[str, int], "WordCache"] = {}
 
 
 def tokenizer_path(name: str = DEFAULT) -> str:
@@ -29,11 +29,12 @@ def tokenizer_path(name: str = DEFAULT) -> str:
 class WordCache:
     """Ids of blank-led words (`young`, `old`) and of words at a line's start (`first`)."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, words: int = GENERATION):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
+        self.words = words
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.first: dict[str, bytes] = {}
@@ -46,7 +47,7 @@ class WordCache:
 
     def _learn(self, words: set[str]) -> None:
         """Words are encoded as one line of blank-led words, cut again where an id begins with the blank."""
-        if len(self.young) > GENERATION:
+        if len(self.young) > self.words:
             self.young, self.old = {}, self.young
         young, old, new = self.young, self.old, []
         for w in words:
@@ -77,7 +78,7 @@ class WordCache:
                     heads.add(ws[0])
                     words.update(ws[1:])
             self._learn(words)
-            if len(self.first) > GENERATION // 4:
+            if len(self.first) > self.words // 4:
                 self.first = {}
             fresh = [w for w in heads if w not in self.first]
             self.first.update(zip(fresh, self._plain(fresh), strict=True))
@@ -101,7 +102,7 @@ class WordCache:
         return [line.split(" ") for line in text.split("\n")]
 
 
-def opened(path: str) -> WordCache:
-    if path not in _open:
-        _open[path] = WordCache(path)
-    return _open[path]
+def opened(path: str, words: int = GENERATION) -> WordCache:
+    if (path, words) not in _open:
+        _open[path, words] = WordCache(path, words)
+    return _open[path, words]

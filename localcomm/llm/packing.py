@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.bpe import opened, tokenizer_path
+from localcomm.llm.bpe import GENERATION, opened, tokenizer_path
 from localcomm.llm.common import staged, texts
 
 CAPACITY = 2048
@@ -123,12 +123,12 @@ def packed(lengths: list[int], capacity: int = CAPACITY) -> list[list[int]]:
     return exchanged(lengths, best_fit(lengths, capacity), capacity)
 
 
-def pieces(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, end_id: int = 0) -> DataFrame:
+def pieces(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, end_id: int = 0, cached_words: int = GENERATION) -> DataFrame:
     """Pieces of every document in tokens, with a checksum of their ids; `row` tells apart rows that share a doc_id."""
     path = tokenizer or tokenizer_path()
 
     def job(batches):
-        enc, tail = opened(path), np.array([end_id], "<u4").tobytes()
+        enc, tail = opened(path, cached_words), np.array([end_id], "<u4").tobytes()
         row = TaskContext.get().partitionId() << 33
         for batch in batches:
             for lo in range(0, batch.num_rows, 512):
@@ -192,9 +192,9 @@ def assigned(items: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rou
     return out.select("row", "piece", "sequence_id", "offset")
 
 
-def packed_documents(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None) -> DataFrame:
+def packed_documents(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, cached_words: int = GENERATION) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
-    cut = staged(pieces(documents, capacity, tokenizer), "pieces")
+    cut = staged(pieces(documents, capacity, tokenizer, cached_words=cached_words), "pieces")
     short, whole = cut.where(F.col("length") < capacity), cut.where(F.col("length") == capacity)
     spots = assigned(short, capacity)
     columns = ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]

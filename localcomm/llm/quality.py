@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from localcomm.llm.common import flat, mixed, run_hashes, slices, texts
 
 SPACE_BITS = 22
-CHUNK = 1 << 20
+CHUNK = 1 << 18
 #: Bytes of a long word that make a feature of their own, so that inflected forms share a weight.
 STEM = 5
 

@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from localcomm.llm.common import Scratch, flat, mixed, run_hashes, slices, texts
 
-CHUNK = 1 << 19
+CHUNK = 1 << 18
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -201,7 +201,7 @@ class Chosen:
         return batch.filter(pa.array(ids.is_null().to_numpy(zero_copy_only=False) | self.ids.has(np.asarray(ids.fill_null(0)).view(np.uint64))))
 
 
-def _once(chosen: Chosen, batches, words: int, seen_most: int = 500_000):
+def _once(chosen: Chosen, batches, words: int, seen_most: int = 100_000):
     """(set, digest) of chosen rows, a set that a task meets again left out."""
     seen: set[bytes] = set()
     for batch in batches:

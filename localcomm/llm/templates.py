@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from localcomm.llm.common import MULT, flat, fresh, mixed, run_hashes, slices, staged, texts
 
-CHUNK = 1 << 20
+CHUNK = 1 << 18
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
 _DIGIT = np.zeros(256, bool)
