@@ -12,8 +12,9 @@ that of the query set against all rows in blocks.
 Scores add products in order of the components in double precision, so equal vectors tie exactly; ties go to the
 smaller id.
 
-Cases: null, zero, non-finite vectors, those holding nulls and those of another than the commonest length take no
-part; repeated ids are kept as rows of their own but never answer for their own id; a table of fewer than k + 1 rows gives all.
+Cases: null ids, null, zero and non-finite vectors and those holding nulls take no part; vectors of several lengths are
+searched length by length; repeated ids are rows of their own: each asks for itself, and the others may answer it; a table of
+fewer than k + 1 rows gives all; an empty one gives none.
 """
 
 from __future__ import annotations
@@ -82,12 +83,12 @@ class Curve:
 
 
 def vectors(table: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding") -> DataFrame:
-    """vec_id and vector (array<double>) of the rows that take part."""
+    """row, vec_id and vector (array<double>) of the rows that take part; `row` tells apart rows that repeat an id."""
     v = F.col("vector")
     rows = table.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast("array<double>").alias("vector")).where(
         F.col("vec_id").isNotNull() & v.isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))) & F.exists(v, lambda x: x != 0)
     )
-    return rows
+    return staged(rows.withColumn("row", F.monotonically_increasing_id()), "vectors")
 
 
 def _matrix(batch: pa.RecordBatch, name: str = "vector") -> np.ndarray:
@@ -103,26 +104,48 @@ def exact_scores(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     return s
 
 
-def nearest(q: np.ndarray, own: int, rough: np.ndarray, x: np.ndarray, ids: np.ndarray, k: int, least: float = -np.inf) -> tuple[np.ndarray, np.ndarray]:
-    """The k best rows by exact score and id, from rough scores (own id left out, those below `least` too)."""
-    rough = np.where(ids == own, -np.inf, rough)
-    slack = 1e-9 * max(1.0, float(np.abs(q).sum()) * float(np.abs(x).max(initial=0)))
+class Rows:
+    """Vectors with their ids and rows."""
+
+    def __init__(self, x: np.ndarray, ids: np.ndarray, rows: np.ndarray):
+        self.x, self.ids, self.rows = x, ids, rows
+
+    @staticmethod
+    def of(batch: pa.RecordBatch) -> "Rows":
+        return Rows(_matrix(batch), np.asarray(batch.column("vec_id")), np.asarray(batch.column("row")))
+
+    def __getitem__(self, at) -> "Rows":
+        return Rows(self.x[at], self.ids[at], self.rows[at])
+
+    def __add__(self, more: "Rows") -> "Rows":
+        return Rows(np.concatenate([self.x, more.x]), np.concatenate([self.ids, more.ids]), np.concatenate([self.rows, more.rows]))
+
+    def __len__(self) -> int:
+        return len(self.ids)
+
+
+def nearest(q: np.ndarray, own: int, rough: np.ndarray, near: Rows, k: int, least: float = -np.inf) -> tuple[Rows, np.ndarray]:
+    """The k best rows by exact score and id, from rough scores (the query's own row left out, those below `least` too)."""
+    rough = np.where(near.rows == own, -np.inf, rough)
+    slack = 1e-9 * max(1.0, float(np.abs(q).sum()) * float(np.abs(near.x).max(initial=0)))
     floor = max(least - slack, np.partition(rough, len(rough) - k)[len(rough) - k] - slack if len(rough) > k else -np.inf)
-    pick = np.flatnonzero((rough >= floor) & (rough > -np.inf))
-    s = exact_scores(q, x[pick])
-    order = np.lexsort((ids[pick], -s))[:k]
-    return ids[pick][order], s[order]
+    some = near[np.flatnonzero((rough >= floor) & (rough > -np.inf))]
+    s = exact_scores(q, some.x)
+    order = np.lexsort((some.rows, some.ids, -s))[:k]
+    return some[order], s[order]
 
 
-FOUND = "query_id long, vec_id long, score double"
+FOUND = "query_row long, query_id long, row long, vec_id long, score double"
 
 
-def _found(rows: list[tuple[int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.full(len(i), q) for q, i, _ in rows]).astype(np.int64)), pa.array(np.concatenate([i for _, i, _ in rows])), pa.array(np.concatenate([s for _, _, s in rows]))], ["query_id", "vec_id", "score"])
+def _found(got: list[tuple[int, int, Rows, np.ndarray]]) -> pa.RecordBatch:
+    each = [len(s) for *_, s in got]
+    repeated = lambda i: pa.array(np.repeat(np.array([g[i] for g in got], np.int64), each))
+    return pa.RecordBatch.from_arrays([repeated(0), repeated(1), pa.array(np.concatenate([g[2].rows for g in got])), pa.array(np.concatenate([g[2].ids for g in got])), pa.array(np.concatenate([g[3] for g in got]))], [x.split()[0] for x in FOUND.split(", ")])
 
 
 def keyed(rows: DataFrame, dim: int, scale: float, curves: range, params: CurveParams) -> DataFrame:
-    """curve, key, vec_id, vector: one row per curve."""
+    """curve, key, vec_id, row, vector: one row per curve."""
 
     def job(batches):
         made = [Curve(dim, c, scale, params) for c in curves]
@@ -131,65 +154,64 @@ def keyed(rows: DataFrame, dim: int, scale: float, curves: range, params: CurveP
                 part = batch.slice(lo, 4096)
                 x = _matrix(part)
                 for c, curve in zip(curves, made, strict=True):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), c, np.int32)), pa.array(curve.keys(x)), part.column("vec_id"), part.column("vector")], ["curve", "key", "vec_id", "vector"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), c, np.int32)), pa.array(curve.keys(x)), part.column("vec_id"), part.column("row"), part.column("vector")], ["curve", "key", "vec_id", "row", "vector"])
 
-    return rows.mapInArrow(job, "curve int, key long, vec_id long, vector array<double>")
+    return rows.mapInArrow(job, "curve int, key long, vec_id long, row long, vector array<double>")
 
 
 def windows(ordered: DataFrame, params: CurveParams) -> DataFrame:
     """Each query's best among its neighbours on each curve; rows come sorted by (curve, key, vec_id)."""
     w, step = params.window, params.query_every
 
-    def scored(x, ids, lo, hi):
-        """Answers of the queries at rows lo..hi of a stretch of one curve."""
-        out, at = [], lo + np.flatnonzero(ids[lo:hi] % step == 0)
+    def scored(rows, lo, hi):
+        """Answers of the queries at places lo..hi of a stretch of one curve."""
+        out, at = [], lo + np.flatnonzero(rows.ids[lo:hi] % step == 0)
         for g in range(0, len(at), 32):
             some = at[g : g + 32]
-            a, b = max(0, some[0] - w), min(len(ids), some[-1] + w + 1)
-            rough = x[some] @ x[a:b].T
+            a, b = max(0, some[0] - w), min(len(rows), some[-1] + w + 1)
+            rough = rows.x[some] @ rows.x[a:b].T
             for r, i in enumerate(some):
                 l, h = max(a, i - w), min(b, i + w + 1)
-                out.append((int(ids[i]), *nearest(x[i], ids[i], rough[r, l - a : h - a], x[l:h], ids[l:h], params.k)))
+                out.append((int(rows.rows[i]), int(rows.ids[i]), *nearest(rows.x[i], rows.rows[i], rough[r, l - a : h - a], rows[l:h], params.k)))
         return out
 
     def job(batches):
         # A stretch holds the last rows that are still a neighbour of later ones.
-        curve, x, ids, done = None, None, None, 0
+        curve, rows, done = None, None, 0
         for batch in batches:
             cs = np.asarray(batch.column("curve"))
             bounds = [0, *(np.flatnonzero(np.diff(cs)) + 1).tolist(), len(cs)]
             for s, e in zip(bounds, bounds[1:], strict=False):
-                part = batch.slice(s, e - s)
                 if e == s:
                     continue
-                nx, ni = _matrix(part), np.asarray(part.column("vec_id"))
+                new = Rows.of(batch.slice(s, e - s))
                 if curve is not None and curve != cs[s]:
-                    if out := scored(x, ids, done, len(ids)):
+                    if out := scored(rows, done, len(rows)):
                         yield _found(out)
                     curve = None
                 if curve is None:
-                    curve, x, ids, done = cs[s], nx, ni, 0
+                    curve, rows, done = cs[s], new, 0
                 else:
-                    x, ids = np.concatenate([x, nx]), np.concatenate([ids, ni])
-                ready = len(ids) - w
+                    rows = rows + new
+                ready = len(rows) - w
                 if ready > done:
-                    if out := scored(x, ids, done, ready):
+                    if out := scored(rows, done, ready):
                         yield _found(out)
                     cut = max(0, ready - w)
-                    x, ids, done = x[cut:], ids[cut:], ready - cut
-        if curve is not None and (out := scored(x, ids, done, len(ids))):
+                    rows, done = rows[cut:], ready - cut
+        if curve is not None and (out := scored(rows, done, len(rows))):
             yield _found(out)
 
     return ordered.mapInArrow(job, FOUND)
 
 
 def merged(found: DataFrame, k: int) -> DataFrame:
-    """query_id, rank, vec_id, score: the k best of what several searches found."""
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.dropDuplicates(["query_id", "vec_id"]).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    """FOUND columns and rank: the k best of what several searches found for each query row."""
+    order = Window.partitionBy("query_row").orderBy(F.desc("score"), "vec_id", "row")
+    return found.dropDuplicates(["query_row", "row"]).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-BLOCK = "block long, n int, centre array<double>, radius double, least double, ids array<long>, least_each array<double>, vectors array<double>"
+BLOCK = "block long, n int, centre array<double>, radius double, least double, ids array<long>, rows array<long>, least_each array<double>, vectors array<double>"
 
 
 def blocks(ordered: DataFrame, size: int) -> DataFrame:
@@ -197,37 +219,32 @@ def blocks(ordered: DataFrame, size: int) -> DataFrame:
     from pyspark import TaskContext
 
     def job(batches):
-        at, held, number = TaskContext.get().partitionId() << 32, [], 0
-
-        def row(ids, x, least):
-            centre = x.mean(0)
-            return {"block": at + number, "n": len(ids), "centre": centre.tolist(), "radius": float(np.sqrt(((x - centre) ** 2).sum(1)).max()) * (1 + 1e-9) + 1e-12, "least": float(least.min()), "ids": ids, "least_each": least, "vectors": x.ravel()}
+        at, held, number = TaskContext.get().partitionId() << 32, None, 0
 
-        def batch_of(d):
-            return pa.RecordBatch.from_arrays([pa.array([d["block"]]), pa.array([d["n"]], pa.int32()), pa.array([d["centre"]], pa.list_(pa.float64())), pa.array([d["radius"]]), pa.array([d["least"]]), *[pa.ListArray.from_arrays(pa.array([0, len(d[c])], pa.int32()), pa.array(d[c])) for c in ("ids", "least_each", "vectors")]], [x.split()[0] for x in BLOCK.split(", ")])
+        def batch_of(part, least):
+            centre = part.x.mean(0)
+            radius = float(np.sqrt(((part.x - centre) ** 2).sum(1)).max()) * (1 + 1e-9) + 1e-12
+            lists = [pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), pa.array(v)) for v in (part.ids, part.rows, least, part.x.ravel())]
+            return pa.RecordBatch.from_arrays([pa.array([at + number]), pa.array([len(part)], pa.int32()), pa.array([centre.tolist()], pa.list_(pa.float64())), pa.array([radius]), pa.array([float(least.min())]), *lists], [x.split()[0] for x in BLOCK.split(", ")])
 
         for batch in batches:
-            held.append((np.asarray(batch.column("vec_id")), _matrix(batch), np.asarray(batch.column("least"))))
-            if sum(len(h[0]) for h in held) >= size:
-                ids, x, least = (np.concatenate(z) for z in zip(*held, strict=True))
-                whole = len(ids) - len(ids) % size
-                for s in range(0, whole, size):
-                    yield batch_of(row(ids[s : s + size], x[s : s + size], least[s : s + size]))
-                    number += 1
-                held = [(ids[whole:], x[whole:], least[whole:])]
-        if held and sum(len(h[0]) for h in held):
-            ids, x, least = (np.concatenate(z) for z in zip(*held, strict=True))
-            yield batch_of(row(ids, x, least))
+            new = Rows.of(batch), np.asarray(batch.column("least"))
+            held = new if held is None else (held[0] + new[0], np.concatenate([held[1], new[1]]))
+            while len(held[0]) >= size:
+                yield batch_of(held[0][:size], held[1][:size])
+                held, number = (held[0][size:], held[1][size:]), number + 1
+        if held is not None and len(held[0]):
+            yield batch_of(*held)
 
     return ordered.mapInArrow(job, BLOCK)
 
 
 def completed(first_curve: DataFrame, found: DataFrame, params: CurveParams) -> DataFrame:
     """What the windows may have missed: answers from every pair of blocks whose bound reaches the k-th best."""
-    kth = found.groupBy("query_id").agg(F.max("rank").alias("n"), F.min("score").alias("least"))
-    kth = kth.select(F.col("query_id").alias("vec_id"), F.when(F.col("n") >= params.k, F.col("least")).otherwise(F.lit(float("-inf"))).alias("least"))
-    asked = first_curve.where(F.pmod("vec_id", F.lit(params.query_every)) == 0).join(kth, "vec_id", "left").withColumn("least", F.coalesce("least", F.lit(float("-inf"))))
-    order = ["curve", "key", "vec_id"]
+    kth = found.groupBy("query_row").agg(F.max("rank").alias("n"), F.min("score").alias("least"))
+    kth = kth.select(F.col("query_row").alias("row"), F.when(F.col("n") >= params.k, F.col("least")).otherwise(F.lit(float("-inf"))).alias("least"))
+    asked = first_curve.where(F.pmod("vec_id", F.lit(params.query_every)) == 0).join(kth, "row", "left").withColumn("least", F.coalesce("least", F.lit(float("-inf"))))
+    order = ["curve", "key", "vec_id", "row"]
     by_row = staged(blocks(first_curve.withColumn("least", F.lit(0.0)), params.row_block), "row-blocks")
     by_query = staged(blocks(asked.repartitionByRange(*order).sortWithinPartitions(*order), params.query_block), "query-blocks")
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, v: s + v)
@@ -237,24 +254,26 @@ def completed(first_curve: DataFrame, found: DataFrame, params: CurveParams) ->
     asks = by_query.select(F.col("block").alias("q"), F.col("centre").alias("qc"), F.col("radius").alias("qr"), "least").withColumn("slot", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(15).cast("long"))))
     bound = dot(F.col("qc"), F.col("rc")) + norm(F.col("qc")) * F.col("rr") + norm(F.col("rc")) * F.col("qr") + F.col("qr") * F.col("rr")
     pairs = asks.join(heads, "slot").where(bound * F.lit(1 + 1e-9) + F.lit(1e-9) >= F.col("least")).select("q", "r")
-    wide = pairs.join(by_row.select(F.col("block").alias("r"), "centre", "radius", F.col("ids").alias("row_ids"), F.col("vectors").alias("row_vectors")), "r").join(by_query.select(F.col("block").alias("q"), "ids", "least_each", "vectors"), "q")
+    # Query blocks are the smaller ones: they travel to the row blocks, which are dealt once.
+    asked = pairs.join(by_query.select(F.col("block").alias("q"), "ids", "rows", "least_each", "vectors"), "q")
+    wide = asked.join(by_row.select(F.col("block").alias("r"), "centre", "radius", F.col("ids").alias("row_ids"), F.col("rows").alias("row_rows"), F.col("vectors").alias("row_vectors")), "r")
 
     def job(batches):
         for batch in batches:
             for i in range(batch.num_rows):
                 get = lambda c: np.asarray(batch.column(c).slice(i, 1).flatten())  # noqa: B023, E731
-                ids, least, rows = get("ids"), get("least_each"), get("row_ids")
-                q, x, centre = get("vectors").reshape(len(ids), -1), get("row_vectors").reshape(len(rows), -1), get("centre")
+                ids, rows, least, centre = get("ids"), get("rows"), get("least_each"), get("centre")
+                q, near = get("vectors").reshape(len(ids), -1), Rows(get("row_vectors").reshape(-1, len(centre)), get("row_ids"), get("row_rows"))
                 radius = batch.column("radius")[i].as_py()
                 may = np.flatnonzero(q @ centre + np.sqrt((q**2).sum(1)) * radius + 1e-9 >= least)
                 out = []
                 for g in range(0, len(may), 64):
                     some = may[g : g + 64]
-                    rough = q[some] @ x.T
+                    rough = q[some] @ near.x.T
                     for a, r in zip(some, rough, strict=True):
-                        got, s = nearest(q[a], ids[a], r, x, rows, params.k, least[a])
+                        got, s = nearest(q[a], rows[a], r, near, params.k, least[a])
                         if len(got):
-                            out.append((int(ids[a]), got, s))
+                            out.append((int(rows[a]), int(ids[a]), got, s))
                 if out:
                     yield _found(out)
 
@@ -264,19 +283,23 @@ def completed(first_curve: DataFrame, found: DataFrame, params: CurveParams) ->
 def searched(table: DataFrame, params: CurveParams = CurveParams(), id_col: str = "vec_id", vec_col: str = "embedding") -> DataFrame:
     """query_id, rank, vec_id, score of the k nearest rows of every query (ids divisible by `query_every`)."""
     rows = vectors(table, id_col, vec_col)
-    sizes = rows.groupBy(F.size("vector").alias("dim")).agg(F.count(F.lit(1)).alias("n"), F.avg(F.aggregate("vector", F.lit(0.0), lambda s, v: s + v * v)).alias("square")).orderBy(F.desc("n"), "dim").limit(1).collect()
-    if not sizes:
-        return table.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    dim, scale = sizes[0]["dim"], float(np.sqrt(sizes[0]["square"] / sizes[0]["dim"]))
-    rows = rows.where(F.size("vector") == dim)
-    order = ["curve", "key", "vec_id"]
+    sizes = rows.groupBy(F.size("vector").alias("dim")).agg(F.avg(F.aggregate("vector", F.lit(0.0), lambda s, v: s + v * v)).alias("square")).orderBy("dim").collect()  # one row a length
+    out = table.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    for size in sizes:
+        one = rows if len(sizes) == 1 else rows.where(F.size("vector") == size["dim"])
+        out = out.unionByName(_searched(one, size["dim"], float(np.sqrt(size["square"] / size["dim"])), params).select(out.columns))
+    return out
+
+
+def _searched(rows: DataFrame, dim: int, scale: float, params: CurveParams) -> DataFrame:
+    order = ["curve", "key", "vec_id", "row"]
     sort = lambda d: d.repartitionByRange(*order).sortWithinPartitions(*order)
     found = merged(windows(sort(keyed(rows, dim, scale, range(params.curves), params)), params), params.k)
     if not params.complete:
         return found
     found = staged(found, "curve-answers")
     more = completed(sort(keyed(rows, dim, scale, range(1), params)), found, params)
-    return merged(found.select("query_id", "vec_id", "score").unionByName(more), params.k)
+    return merged(found.drop("rank").unionByName(more), params.k)
 
 
 def op5_curves(spark: SparkSession, sf_dir: str) -> DataFrame:

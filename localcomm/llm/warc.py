@@ -31,6 +31,10 @@ from localcomm.llm.files import Reader, Roller
 TABLE_MAGIC, FOOTER_MAGIC = 0x184D2A5E, 0x8F92EAB1
 FRAME_BYTES, BUNDLE_BYTES = 256 << 10, 64 << 20
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
+#: Payloads that occur again, up to which their digests are sent to all tasks.
+SEND_MOST = 200_000
+#: Ranges of frames in which a bundle is read back, and tasks at most.
+RANGES, TASKS_MOST = 4, 50_000
 INDEX = "record_id string, page_id long, bundle string, frame_start long, frame_bytes long, offset long, length long"
 
 
@@ -117,7 +121,12 @@ def classified(pages: DataFrame, min_revisit: int = 1000) -> DataFrame:
     payload = F.coalesce(F.col("html").cast("string"), F.lit("")).cast("binary")
     own = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), payload.alias("payload")).withColumn("digest", F.sha1("payload"))
     often = own.where(F.octet_length("payload") >= min_revisit).groupBy("digest").agg(F.max("page_id").alias("first_of"), F.count(F.lit(1)).alias("n")).where("n > 1").select("digest", "first_of")
-    joined = own.join(often.hint("shuffle_hash"), "digest", "left")
+    often = staged(often, "repeated-payloads")
+    if often.limit(SEND_MOST + 1).count() <= SEND_MOST:
+        joined = own.join(F.broadcast(often), "digest", "left")  # payloads stay where they are
+    else:  # only payloads that may be revisits travel
+        large = F.octet_length("payload") >= min_revisit
+        joined = own.where(large).join(often, "digest", "left").unionByName(own.where(~large).withColumn("first_of", F.lit(None).cast("long")))
     return joined.select("page_id", "url", "payload", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("first_of")), F.col("first_of")).alias("refers_to"))
 
 
@@ -154,20 +163,27 @@ def _page(urn: str):
 
 
 def read_back(bundles: DataFrame) -> DataFrame:
-    """Every record of the bundles (column `bundle`), frame by frame by the seek table; digests are checked."""
+    """Every record of the bundles (column `bundle`), frame by frame by the seek table; digests are checked.
+
+    A bundle is read in RANGES ranges of its frames, dealt evenly: Spark would gather so short a list of names in one task.
+    """
+    names = staged(bundles.select("bundle").distinct(), "bundles")
+    tasks = min(TASKS_MOST, max(1, RANGES * names.count()))
+    dealt = names.select("bundle", F.explode(F.sequence(F.lit(0), F.lit(RANGES - 1))).alias("part")).repartition(tasks)
 
     def job(batches):
         reader, unzip = Reader(), zstandard.ZstdDecompressor()
         for batch in batches:
-            for path in batch.column("bundle").to_pylist():
-                for start, packed, plain in seek_table(reader, path):
+            for path, part in zip(batch.column("bundle").to_pylist(), batch.column("part").to_pylist(), strict=True):
+                frames = seek_table(reader, path)
+                for start, packed, plain in frames[len(frames) * part // RANGES : len(frames) * (part + 1) // RANGES]:
                     data, at, rows = unzip.decompress(reader.read(path, start, packed), max_output_size=plain), 0, []
                     while at < len(data):
                         head, block, at = parsed(data, at)
                         rows.append(_described(head, block))
                     yield pa.RecordBatch.from_arrays([pa.array(c, pa.string() if k in (2, 3, 5) else pa.int64()) for k, c in enumerate(zip(*rows, strict=True))], [x.split()[0] for x in READ.split(", ")])
 
-    return bundles.select("bundle").mapInArrow(job, READ)
+    return dealt.mapInArrow(job, READ)
 
 
 def _described(head: dict[str, str], block: bytes) -> tuple:
@@ -206,7 +222,7 @@ def archived(pages: DataFrame, min_revisit: int = 1000) -> DataFrame:
 
 def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     index = archived(spark.read.parquet(f"{sf_dir}/pages.parquet"))
-    back = read_back(index.select("bundle").distinct())
+    back = read_back(index)
     return back.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 

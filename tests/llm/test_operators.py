@@ -42,6 +42,19 @@ def test_audio_round_trip(docs, empty):
         want.append((d, len(raw), len(pay), hashlib.sha256(pay).hexdigest(), zlib.crc32(pay[-32:])))
     assert sorted(((r["doc_id"], r["n_bytes"], r["payload_bytes"], r["payload_sha256"], r["tail_crc32"]) for r in got), key=str) == sorted(want, key=str)
     assert audio.inspected(audio.archived(empty)).count() == 0
+    media = audio.archived(docs)
+    pcm = {r["pcm"] for r in audio.pcm_archived(media).collect()}
+    for r in media.collect():
+        sound = audio.decoded([r["media"]])[0].astype(np.int64)
+        wide = []  # by the definition, sample by sample
+        for k, v in enumerate(sound.tolist()):
+            a, b, c = sound[max(0, k - 1)], sound[min(len(sound) - 1, k + 1)], sound[min(len(sound) - 1, k + 2)]
+            wide += [v, max(-32768, min(32767, int(9 * (v + b) - a - c + 8) >> 4))]
+        assert audio.wave(audio.PCM, np.array(wide, "<i2").tobytes(), 16000) in pcm
+        kind, _, _ = audio.parsed(r["media"])
+        changes = sum((x < 0) != (y < 0) for x, y in zip(wide, wide[1:], strict=False))
+        name = {audio.ULAW: "ulaw", audio.ALAW: "alaw", audio.IMA: "ima"}[kind]
+        assert audio.feature(kind, audio.decoded([r["media"]])[0]) == f"{name}:{len(wide)}:{max(map(abs, wide))}:{sum(map(abs, wide)) // len(wide)}:{changes}"
 
 
 def test_audio_codecs():
@@ -68,7 +81,7 @@ def test_warc_round_trip(spark):
     rows = [(1, "http://a b/\r\nX", big), (2, None, big), (3, "u", big), (4, "u", None), (5, "u", ""), (6, "u", "é" * 600), (7, "u", "small"), (8, "u", "small"), (None, "u", big)]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("digest", F.lit("clash"))
     index = warc.archived(pages)
-    got = {r["page_id"]: (r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in warc.read_back(index.select("bundle").distinct()).collect()}
+    got = {r["page_id"]: (r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in warc.read_back(index).collect()}
     for p, _, h in rows:
         raw = (h or "").encode()
         ref = 3 if h == big and p != 3 else None
@@ -163,13 +176,14 @@ def test_curves_against_brute_force(spark):
     rng = np.random.default_rng(2)
     x = rng.normal(size=(600, 16)).astype(np.float32)
     x[50:80] = x[40]
-    rows = [(i, [float(v) for v in x[i]]) for i in range(600)] + [(1000, None), (1020, [0.0] * 16), (1040, [float("nan")] * 16), (1060, [None] * 16), (1080, [1.0, 2.0])]
+    rows = [(i, [float(v) for v in x[i]]) for i in range(600)] + [(1000, None), (1020, [0.0] * 16), (1040, [float("nan")] * 16), (1060, [None] * 16), (None, [1.0] * 16), (1080, [1.0, 2.0]), (1100, [3.0, 1.0])]
     t = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumn("key", F.lit(1))
     got = {}
     for r in sorted(curves.searched(t, curves.CurveParams(window=8, curves=2, row_block=100, query_block=10)).collect(), key=lambda r: r["rank"]):
         got.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
     y = x.astype(np.float64)
-    assert set(got) == set(range(0, 600, 20))
+    assert set(got) == {*range(0, 600, 20), 1080, 1100}
+    assert got.pop(1080) == [(1100, 5.0)] and got.pop(1100) == [(1080, 5.0)]
     for q in got:
         s = np.zeros(600)
         for j in range(16):
@@ -180,6 +194,30 @@ def test_curves_against_brute_force(spark):
     assert curves.searched(t.limit(0)).count() == 0
 
 
+def test_curves_keep_repeated_ids(spark):
+    rows = [(0, [1.0, 0.0]), (7, [0.9, 0.0]), (7, [0.2, 0.0]), (7, [0.2, 0.0]), (0, [0.5, 0.0]), (3, [0.9, 0.0])]
+    got = curves.searched(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), curves.CurveParams(window=2, curves=2, row_block=2, query_block=1)).collect()
+    mine = sorted([(r["rank"], r["vec_id"], r["score"]) for r in got if r["query_id"] == 0])
+    assert mine == sorted([(1, 3, 0.9), (2, 7, 0.9), (3, 0, 0.5), (4, 7, 0.2), (5, 7, 0.2), (1, 0, 0.5), (2, 3, 0.45), (3, 7, 0.45), (4, 7, 0.1), (5, 7, 0.1)])
+
+
+@pytest.mark.parametrize(("n", "window"), [(500, 256), (4000, 256)])
+def test_recall_of_windows_alone_on_clustered_vectors(spark, n, window):
+    """Where vectors have structure the windows alone find nearly all; the given embeddings have none (README)."""
+    rng = np.random.default_rng(3)
+    x = (rng.normal(size=(n // 50, 32))[rng.integers(0, n // 50, n)] + 0.2 * rng.normal(size=(n, 32))).astype(np.float64)
+    t = spark.createDataFrame([(i, v) for i, v in enumerate(x.tolist())], "vec_id long, embedding array<double>")
+    got = {}
+    for r in curves.searched(t, curves.CurveParams(window=window, complete=False)).collect():
+        got.setdefault(r["query_id"], set()).add(r["vec_id"])
+    hits = 0
+    for q in range(0, n, 20):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits += len(set(np.argsort(-s)[:20].tolist()) & got[q])
+    assert hits >= 0.9 * 20 * len(range(0, n, 20))
+
+
 def test_quality_learns(spark):
     rng = np.random.default_rng(4)
     words = ["lorem", "ipsum", "dolor", "sit", "amet", "elit", "sed", "magna"]
