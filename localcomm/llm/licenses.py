@@ -7,12 +7,15 @@ blank lines always cut. Of sentences that start at one place the longest counts.
 ordered rules then consume it, the longest grants first, and name the licences. The plan is one projection over
 the scan: no shuffle, no Python.
 
-Cases: null or empty text has no identifiers and no licence; repeated rows give repeated results; the order of
+Cases: null or empty text has no identifiers and no licence; a null id is kept; repeated rows give repeated results; an
+empty table gives none; other columns are ignored; the order of
 licences follows the rules, not the text; sentences that are cited twice count twice in `sentences`.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -59,17 +62,62 @@ SENTENCES: list[tuple[str, str, tuple[str, ...]]] = [
     ("licensed under the mozilla public license version 2 0", "MplRef", ()),
     ("permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted provided that the above copyright notice and this permission notice appear in all copies", "IscGrant", ()),
     ("all rights reserved", "AllRights", ()),
+    ("in no event shall the authors or copyright holders be liable for any claim damages or other liability whether in an action of contract tort or otherwise arising from out of or in connection with the software or the use or other dealings in the software", "MitLiable", ()),
+    ("this software is provided by the copyright holders and contributors as is and any express or implied warranties including but not limited to the implied warranties of merchantability and fitness for a particular purpose are disclaimed", "BsdAsIs", ()),
+    ("in no event shall the copyright holder or contributors be liable for any direct indirect incidental special exemplary or consequential damages including but not limited to procurement of substitute goods or services loss of use data or profits or business interruption however caused and on any theory of liability whether in contract strict liability or tort including negligence or otherwise arising in any way out of the use of this software even if advised of the possibility of such damage", "BsdLiable", ()),
+    ("the software is provided as is and the author disclaims all warranties with regard to this software including all implied warranties of merchantability and fitness", "IscAsIs", ()),
+    ("in no event shall the author be liable for any special direct indirect or consequential damages or any damages whatsoever resulting from loss of use data or profits whether in an action of contract negligence or other tortious action arising out of or in connection with the use or performance of this software", "IscLiable", ()),
+    ("licensed under the isc license", "IscRef", ()),
+    ("isc license", "IscRef", ()),
+    ("this program is free software you can redistribute it and or modify it under the terms of the gnu general public license version {v} as published by the free software foundation", "GplOnly", ("2", "3")),
+    ("see the gnu general public license for more details", "GplSee", ()),
+    ("this library is free software you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation either version {v} of the license or at your option any later version", "LgplLater", ("2 1", "3")),
+    ("this program is free software you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation either version {v} of the license or at your option any later version", "LgplLater", ("2 1", "3")),
+    ("this library is distributed in the hope that it will be useful but without any warranty without even the implied warranty of merchantability or fitness for a particular purpose", "LgplHope", ()),
+    ("see the gnu lesser general public license for more details", "LgplSee", ()),
+    ("gnu lesser general public license version {v}", "LgplRef", ("2 1", "3")),
+    ("this program is free software you can redistribute it and or modify it under the terms of the gnu affero general public license as published by the free software foundation either version {v} of the license or at your option any later version", "AgplLater", ("3",)),
+    ("see the gnu affero general public license for more details", "AgplSee", ()),
+    ("gnu affero general public license version {v}", "AgplRef", ("3",)),
+    ("if a copy of the mpl was not distributed with this file you can obtain one at http mozilla org mpl 2 0", "MplCopy", ()),
+    ("if a copy of the mpl was not distributed with this file you can obtain one at https mozilla org mpl 2 0", "MplCopy", ()),
+    ("mozilla public license version 2 0", "MplRef", ()),
+    ("permission is hereby granted free of charge to any person or organization obtaining a copy of the software and accompanying documentation covered by this license the software to use reproduce display distribute execute and transmit the software and to prepare derivative works of the software and to permit third parties to whom the software is furnished to do so all subject to the following", "BoostGrant", ()),
+    ("distributed under the boost software license version 1 0", "BoostRef", ()),
+    ("boost software license version 1 0", "BoostRef", ()),
+    ("this software is provided as is without any express or implied warranty", "ZlibAsIs", ()),
+    ("permission is granted to anyone to use this software for any purpose including commercial applications and to alter it and redistribute it freely subject to the following restrictions", "ZlibGrant", ()),
+    ("anyone is free to copy modify publish use compile sell or distribute this software either in source code form or as a compiled binary for any purpose commercial or non commercial and by any means", "UnlicenseGrant", ()),
+    ("this work is licensed under a creative commons attribution {v} international license", "CcByRef", ("4 0",)),
+    ("this work is licensed under a creative commons attribution sharealike {v} international license", "CcBySaRef", ("4 0",)),
+    ("this work is licensed under a creative commons attribution noncommercial {v} international license", "CcByNcRef", ("4 0",)),
+    ("this work is licensed under a creative commons attribution noderivatives {v} international license", "CcByNdRef", ("4 0",)),
+    ("eclipse public license version {v}", "EplRef", ("1 0", "2 0")),
+    ("licensed under the eclipse public license version {v}", "EplRef", ("1 0", "2 0")),
 ]
 
+#: Identifiers that may follow a short tag in a file's head, each its own sentence after normalisation.
+TAGGED = ["MIT", "ISC", "Apache-2.0", "BSD-2-Clause", "BSD-3-Clause", "GPL-2.0-only", "GPL-2.0-or-later", "GPL-3.0-only", "GPL-3.0-or-later", "LGPL-2.1-only", "LGPL-2.1-or-later", "LGPL-3.0-only", "LGPL-3.0-or-later", "AGPL-3.0-only", "AGPL-3.0-or-later", "MPL-2.0", "BSL-1.0", "Zlib", "EPL-2.0", "CC0-1.0", "CC-BY-4.0", "CC-BY-SA-4.0", "Unlicense"]
+
 #: Ordered rules over ",Id,Id," sequences: the earlier rule takes its identifiers before a later one looks.
 RULES: list[tuple[str, str]] = [
-    (",MitGrant,MitNotice,(MitAsIs,)?", "MIT"),
-    (",IscGrant,", "ISC"),
-    (",BsdGrant,BsdSource,BsdBinary,BsdNames,", "BSD-3-Clause"),
-    (",BsdGrant,BsdSource,BsdBinary,", "BSD-2-Clause"),
+    *[(f",Tag-{name.replace('.', '-')},", name) for name in TAGGED],
+    (",MitGrant,MitNotice,(MitAsIs,)?(MitLiable,)?", "MIT"),
+    (",IscGrant,(IscAsIs,)?(IscLiable,)?", "ISC"),
+    (",BsdGrant,BsdSource,BsdBinary,BsdNames,(BsdAsIs,)?(BsdLiable,)?", "BSD-3-Clause"),
+    (",BsdGrant,BsdSource,BsdBinary,(BsdAsIs,)?(BsdLiable,)?", "BSD-2-Clause"),
+    (",(BoostRef,)?BoostGrant,", "BSL-1.0"),
+    (",ZlibAsIs,ZlibGrant,", "Zlib"),
+    (",Unlicense,(UnlicenseGrant,)?", "Unlicense"),
+    (",MplRef,MplCopy,", "MPL-2.0"),
     (",ApacheRef-2-0,ApacheComply,ApacheCopy,ApacheAsIs,(ApacheSee,)?", "Apache-2.0"),
-    (",GplLater-3,(GplHope,)?", "GPL-3.0-or-later"),
-    (",GplLater-2,(GplHope,)?", "GPL-2.0-or-later"),
+    (",AgplLater-3,(GplHope,)?(AgplSee,)?", "AGPL-3.0-or-later"),
+    (",LgplLater-3,((GplHope|LgplHope),)?(LgplSee,)?", "LGPL-3.0-or-later"),
+    (",LgplLater-2-1,((GplHope|LgplHope),)?(LgplSee,)?", "LGPL-2.1-or-later"),
+    (",GplLater-3,(GplHope,)?(GplSee,)?", "GPL-3.0-or-later"),
+    (",GplLater-2,(GplHope,)?(GplSee,)?", "GPL-2.0-or-later"),
+    (",GplOnly-3,(GplHope,)?(GplSee,)?", "GPL-3.0-only"),
+    (",GplOnly-2,(GplHope,)?(GplSee,)?", "GPL-2.0-only"),
     (",ApacheRef-2-0,", "Apache-2.0"),
     (",ApacheRef-1-1,", "Apache-1.1"),
     (",(MitRef|MitTitle),", "MIT"),
@@ -79,11 +127,15 @@ RULES: list[tuple[str, str]] = [
     (",LgplRef-2-1,", "LGPL-2.1-only"),
     (",AgplRef-3,", "AGPL-3.0-only"),
     (",MplRef,", "MPL-2.0"),
+    (",IscRef,", "ISC"),
+    (",BoostRef,", "BSL-1.0"),
+    (",EplRef-2-0,", "EPL-2.0"),
+    (",EplRef-1-0,", "EPL-1.0"),
     (",BsdRef-3,", "BSD-3-Clause"),
     (",BsdRef-2,", "BSD-2-Clause"),
     *[(f",Cc{k}Ref-{v}-0,", f"CC-{name}-{v}.0") for k, name in (("By", "BY"), ("BySa", "BY-SA"), ("ByNc", "BY-NC"), ("ByNd", "BY-ND"), ("ByNcSa", "BY-NC-SA"), ("ByNcNd", "BY-NC-ND")) for v in (4, 3, 2)],
     (",Cc0Ref-1-0,", "CC0-1.0"),
-    (",(PublicDomain|Unlicense),", "Public-Domain"),
+    (",PublicDomain,", "Public-Domain"),
 ]
 
 #: Where a sentence ends for the SQL twin, which knows sentences on one line only: a line end, or a stop, colon or semicolon before a blank or the end.
@@ -96,11 +148,13 @@ def sentence_ids() -> dict[str, str]:
     for text, ident, versions in SENTENCES:
         for v in versions or ("",):
             out[text.replace("{v}", v)] = f"{ident}-{v.replace(' ', '-')}" if v else ident
+    for name in TAGGED:
+        out["spdx license identifier " + re.sub(OTHER, " ", name.lower())] = f"Tag-{name.replace('.', '-')}"
     return out
 
 
 #: A text without any of these words holds no known sentence; found from the sentences themselves.
-ANCHOR = r"licen|permission|copyright|redistribut|warrant|public[^a-z0-9]+domain|rights[^a-z0-9]+reserved"
+ANCHOR = r"licen|permission|anyone[^a-z0-9]+is|liable|disclaim|mpl|as[^a-z0-9]+is|copyright|redistribut|warrant|public[^a-z0-9]+domain|rights[^a-z0-9]+reserved"
 
 
 #: Marks in a lower-case text, by order: line ends lose the comment marks after them; S cuts always, L may stand inside a sentence.
