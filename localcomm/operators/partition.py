@@ -4,12 +4,13 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from localcomm.operators import ranking
-from localcomm.operators.graph import degrees, plain_graph
-from localcomm.operators.walks import proximity_subgraph
+from localcomm.operators.graph import adjacency, both_ways, degrees, plain_graph
+from localcomm.operators.walks import Csr, proximity_subgraph, relevant_mask, walked
 from localcomm.params import Derived, Params, derive_params
 from localcomm.plans.stages import staged
 
@@ -20,7 +21,11 @@ class PartitionResult:
     summary: DataFrame
     curve: DataFrame
     sub_nodes: DataFrame | None
-    sub_edges: DataFrame
+    sub_edges: DataFrame | None
+
+
+#: Trials up to which one task walks them all for a seed.
+FUSED_TRIALS = 200_000
 
 
 def _chosen(curve: DataFrame, seeds: DataFrame, p: Params, sub_nodes: DataFrame | None, sub_edges: DataFrame) -> PartitionResult:
@@ -70,13 +75,54 @@ def whole_swept(edges: DataFrame, deg: DataFrame, seeds: DataFrame, scenarios: r
     return _chosen(found, seeds, p, None, edges)
 
 
+def fused_curves(combined: DataFrame, deg: DataFrame, seeds: DataFrame, n: int, p: Params, d: Derived, total: float) -> DataFrame:
+    """CURVE rows of every seed: walks, relevance, subgraph, rank and sweep in one task, on a graph sent to all tasks (checked by the caller)."""
+    adj = adjacency(combined, p.weighted).select("src", "dst", "hi")
+    ends = both_ways(combined.select("src", "dst", "w")).join(deg.select(F.col("node").alias("src"), "deg"), "src")
+    table = ends.join(adj, ["src", "dst"]).select("src", "dst", "w", "deg", "hi").toArrow()
+    sent = combined.sparkSession.sparkContext.broadcast(SentGraph(table))
+
+    def job(frames):
+        for f in frames:
+            for seed in f["seed"].tolist():
+                yield sent.value.partition(seed, n, p, d, total)
+
+    return seeds.select(F.col("seed").cast("long").alias("seed")).where("seed IS NOT NULL").distinct().repartition("seed").mapInPandas(job, ranking.CURVE).replace(float("nan"), None)
+
+
+class SentGraph:
+    """A whole graph in one task: rows for walkers, weights and degrees for the subgraph."""
+
+    def __init__(self, table):
+        self.csr = Csr(table)
+        order = np.lexsort((np.asarray(table["hi"]), np.asarray(table["src"])))
+        self.w, self.deg = (np.asarray(table[c])[order] for c in ("w", "deg"))
+        self.first = np.append(0, self.csr.end[:-1]) if len(self.csr.end) else self.csr.end
+
+    def partition(self, seed: int, n: int, p: Params, d: Derived, total: float):
+        node, hits = walked(self.csr, seed, np.arange(p.n_w, dtype=np.int64), p)
+        node = node[relevant_mask(node, hits, seed, n, p)]
+        at = np.searchsorted(self.csr.nodes, node)
+        at, node = (x[(at < len(self.csr.nodes)) & (self.csr.nodes[np.minimum(at, len(self.csr.nodes) - 1)] == node)] for x in (at, node)) if len(self.csr.nodes) else (at[:0], node[:0])
+        size = self.csr.end[at] - self.first[at]
+        rows = np.repeat(self.first[at] - (np.cumsum(size) - size), size) + np.arange(size.sum())
+        src, dst = np.repeat(node, size), self.csr.dst[rows]
+        both = np.isin(dst, node)
+        rows = rows[both]
+        return ranking.Compact(src[both], dst[both], self.w[rows], self.deg[rows]).curve(seed, seed, p, d, total)
+
+
 def attributed_partition(combined: DataFrame, seeds: DataFrame, n: int, p: Params = Params(), use_proximity: bool = True) -> PartitionResult:
     """The partition around each seed of a combined graph of n vertices.
 
     Without the walk subgraph the whole graph is ranked (`sub_nodes` is None then). Isolated seeds are alone.
+    On a graph that can be sent to all tasks a seed walks, ranks and sweeps in one task, which keeps its subgraph to itself:
+    `sub_nodes` and `sub_edges` are None; `proximity_subgraph` gives them.
     """
     m, total = combined.agg(F.count(F.lit(1)), 2 * F.coalesce(F.sum("w"), F.lit(0.0))).first()
     d, deg = derive_params(m, p), degrees(combined, "w")
+    if use_proximity and p.engine == "auto" and m <= ranking.SEND_MOST and p.n_w <= FUSED_TRIALS:
+        return _chosen(fused_curves(combined, deg, seeds, n, p, d, total), seeds, p, None, None)
     if use_proximity:
         sub = proximity_subgraph(combined, seeds, n, p)
         return ranked_and_swept(sub.sub_edges.select("seed", "src", "dst", "w"), sub.sub_nodes, deg, seeds, p, d, total)

@@ -148,6 +148,15 @@ def relevant(visits: DataFrame, n: int, p: Params = Params()) -> DataFrame:
     return visits.join(cut, "seed").where((F.col("hits") > F.col("cut")) | (F.col("node") == F.col("seed"))).select("seed", "node", "hits")
 
 
+def relevant_mask(node: np.ndarray, hits: np.ndarray, seed: int, n: int, p: Params) -> np.ndarray:
+    """`relevant` for the visits of one seed."""
+    if p.rule == "count":
+        return (hits >= p.min_hits) | (node == seed)
+    h = hits.astype(np.float64)
+    mu, sq = h.sum() / n, (h * h).sum() / n
+    return (h > mu + np.sqrt(max(sq - mu * mu, 0.0)) / p.t_s) | (node == seed)
+
+
 @dataclass
 class SubgraphSet:
     sub_nodes: DataFrame

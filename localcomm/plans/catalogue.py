@@ -58,9 +58,10 @@ def _version(spark: SparkSession, sf_dir: str) -> tuple:
     return (spark.sparkContext.applicationId, sf_dir, *sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in files))
 
 
-def forget() -> None:
-    """Drop what queries share, so that the next one pays for all it needs."""
-    _made.clear()
+def forget(graphs: bool = True) -> None:
+    """Drop the results that queries share, and the staged graphs if asked, so that the next one pays for what it needs."""
+    for key in [k for k in _made if graphs or not k[-1].startswith("world-")]:
+        del _made[key]
 
 
 def world(spark: SparkSession, sf_dir: str, name: str = "parts") -> World:

@@ -187,6 +187,19 @@ def test_grids_in_one_job_equal_single_runs(spark):
         assert gains[t_e][0] == float(x.mean())
 
 
+@pytest.mark.parametrize("p", [Params(n_w=500), Params(n_w=500, rule="count", min_hits=40, measure="classic"), Params(n_w=300, walk_mode="fixed_length", max_hops=6, weighted=False)])
+def test_one_task_a_seed_equals_the_steps(spark, p):
+    rng = np.random.default_rng(5)
+    pairs = {(int(min(a, b)), int(max(a, b))) for a, b in rng.integers(0, 40, (120, 2)) if a != b}
+    nodes = spark.createDataFrame([(i, [f"v{k}" for k in rng.integers(0, 9, 4)]) for i in range(42)], "node long, attrs array<string>")
+    c = gr.combined_graph(gr.attribute_graph(nodes, spark.createDataFrame(sorted(pairs), "src long, dst long")))
+    seeds = spark.createDataFrame([(1,), (7,), (41,), (None,)], "seed long").where("seed IS NOT NULL")
+    a, b = (pa.attributed_partition(c, seeds, 42, p.but(engine=e)) for e in ("auto", "relational"))
+    assert a.sub_edges is None and b.sub_edges is not None
+    assert rows(a.members, "seed", "node", "position") == rows(b.members, "seed", "node", "position")
+    assert rows(a.summary, "seed", "size", "target_met") == rows(b.summary, "seed", "size", "target_met")
+
+
 def test_isolated_seed_is_alone(spark):
     c = gr.plain_graph(spark.createDataFrame([(1, 2)], "src long, dst long"))
     r = pa.attributed_partition(c, spark.createDataFrame([(9,)], "seed long"), 3, Params(n_w=50))
