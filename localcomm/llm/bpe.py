@@ -102,6 +102,11 @@ class WordCache:
         return [line.split(" ") for line in text.split("\n")]
 
 
+def closed(path: str, words: int = GENERATION) -> None:
+    """Forget a tokenizer and its words, for workers that go on to other stages."""
+    _open.pop((path, words), None)
+
+
 def opened(path: str, words: int = GENERATION) -> WordCache:
     if (path, words) not in _open:
         _open[path, words] = WordCache(path, words)

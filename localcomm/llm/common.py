@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import re
 import tempfile
 import uuid
@@ -95,6 +97,20 @@ def fresh(df: DataFrame, *names: str) -> list[str]:
     return out
 
 
+def tidy(job):
+    """The job of a mapInArrow, after which its worker gives freed memory back to the system: it serves tasks of many stages."""
+
+    def run(batches):
+        try:
+            yield from job(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):  # not every C library has it
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return run
+
+
 def flat(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """A string or binary Arrow array as (bytes, offsets) without copying; nulls count as empty."""
     if isinstance(arr, pa.ChunkedArray):

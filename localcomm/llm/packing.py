@@ -22,8 +22,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.bpe import GENERATION, opened, tokenizer_path
-from localcomm.llm.common import staged, texts
+from localcomm.llm.bpe import GENERATION, closed, opened, tokenizer_path
+from localcomm.llm.common import staged, texts, tidy
 
 CAPACITY = 2048
 GROUP = 4000
@@ -123,8 +123,11 @@ def packed(lengths: list[int], capacity: int = CAPACITY) -> list[list[int]]:
     return exchanged(lengths, best_fit(lengths, capacity), capacity)
 
 
-def pieces(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, end_id: int = 0, cached_words: int = GENERATION) -> DataFrame:
-    """Pieces of every document in tokens, with a checksum of their ids; `row` tells apart rows that share a doc_id."""
+def pieces(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, end_id: int = 0, cached_words: int = GENERATION, keep: bool = True) -> DataFrame:
+    """Pieces of every document in tokens, with a checksum of their ids; `row` tells apart rows that share a doc_id.
+
+    Without `keep` a task forgets the tokenizer when it ends, for workers that need the memory for other stages.
+    """
     path = tokenizer or tokenizer_path()
 
     def job(batches):
@@ -143,8 +146,11 @@ def pieces(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None
                     row += 1
                 cols = list(zip(*out, strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int32() if i == 2 else pa.int64()) for i, c in enumerate(cols)], [x.split()[0] for x in PIECES.split(", ")])
+        if not keep:
+            del enc
+            closed(path, cached_words)
 
-    return texts(documents).mapInArrow(job, PIECES)
+    return texts(documents).mapInArrow(tidy(job), PIECES)
 
 
 def _packer(capacity: int, turn: int, final: bool):
@@ -192,9 +198,9 @@ def assigned(items: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rou
     return out.select("row", "piece", "sequence_id", "offset")
 
 
-def packed_documents(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, cached_words: int = GENERATION) -> DataFrame:
+def packed_documents(documents: DataFrame, capacity: int = CAPACITY, tokenizer: str | None = None, cached_words: int = GENERATION, keep: bool = True) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
-    cut = staged(pieces(documents, capacity, tokenizer, cached_words=cached_words), "pieces")
+    cut = staged(pieces(documents, capacity, tokenizer, cached_words=cached_words, keep=keep), "pieces")
     short, whole = cut.where(F.col("length") < capacity), cut.where(F.col("length") == capacity)
     spots = assigned(short, capacity)
     columns = ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]

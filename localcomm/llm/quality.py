@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import flat, mixed, run_hashes, slices, texts
+from localcomm.llm.common import flat, mixed, run_hashes, slices, texts, tidy
 
 SPACE_BITS = 22
 CHUNK = 1 << 18
@@ -191,7 +191,7 @@ def train(documents: DataFrame, ratings: DataFrame, params: QualityParams = Qual
     chosen = ratings.orderBy(F.xxhash64("doc_id", F.lit(params.seed)), "doc_id").limit(params.max_labelled)
     body = texts(documents, binary=True).join(F.broadcast(chosen), "doc_id")  # bounded by max_labelled rows
     one = body.groupBy("doc_id").agg(F.min("text").alias("text"), F.min("grade").alias("grade"))  # of rows that repeat an id, the smallest text
-    got = one.select("text", "grade").mapInArrow(_features_job, "grade int, places array<long>").toArrow()
+    got = one.select("text", "grade").mapInArrow(tidy(_features_job), "grade int, places array<long>").toArrow()
     if not got.num_rows:
         return OrdinalModel()
     lists = got["places"].combine_chunks()
@@ -222,7 +222,7 @@ def score(documents: DataFrame, model: OrdinalModel, params: QualityParams = Qua
             cols = [pa.array(tails[:, c]) if c < cuts else pa.nulls(n, pa.float64()) for c in range(len(names))]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.round(tails.sum(1), 6)), *cols, pa.array(tails[:, k - 1] < params.min_tail)], ["doc_id", "expected_grade", *names, "rejected"])
 
-    return texts(documents, binary=True).mapInArrow(job, schema)
+    return texts(documents, binary=True).mapInArrow(tidy(job), schema)
 
 
 def selected(documents: DataFrame, model: OrdinalModel, params: QualityParams = QualityParams()) -> DataFrame:
@@ -241,7 +241,7 @@ def selected(documents: DataFrame, model: OrdinalModel, params: QualityParams =
             tails = np.round(model.tails(np.bincount(rows, weights=w[places], minlength=batch.num_rows)), 6)
             yield batch.filter(pa.array(tails[:, k - 1] >= params.min_tail))
 
-    return documents.mapInArrow(job, documents.schema)
+    return documents.mapInArrow(tidy(job), documents.schema)
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

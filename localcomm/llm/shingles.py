@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import Scratch, flat, mixed, run_hashes, slices, texts
+from localcomm.llm.common import Scratch, flat, mixed, run_hashes, slices, texts, tidy
 
 CHUNK = 1 << 18
 _BLANK = np.zeros(256, bool)
@@ -46,6 +46,8 @@ _LOWER[65:91] += 32
 SEND_MOST = 200_000
 #: Classes, and members of all its sets together, that meet in one group.
 GROUP_MOST, GROUP_MEMBERS = 1024, 1 << 21
+#: Rows of an Arrow batch of texts, and of sets that are compared.
+SCANNED, COMPARED = 1000, 500
 #: Parts up to which all parts of a family meet.
 PARTS_MOST = 32
 #: A member that more texts than these hold moves one level back in the common order each.
@@ -145,7 +147,7 @@ def summaries(documents: DataFrame, p: JoinParams) -> DataFrame:
             ends = np.cumsum([0, *[p.hashes * (k > 0) for k in n]])
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(digests, pa.binary()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(values))], ["doc_id", "n", "digest", "mins"])
 
-    return texts(documents, binary=True).mapInArrow(job, "doc_id long, n long, digest binary, mins array<long>")
+    return texts(documents, binary=True).mapInArrow(tidy(job), "doc_id long, n long, digest binary, mins array<long>")
 
 
 class BitFilter:
@@ -185,7 +187,7 @@ def bit_filter(values: DataFrame, least_log: int = 16, most_log: int = 27) -> Bi
 
     out = BitFilter(log)
     if count:
-        for row in values.coalesce(16).mapInArrow(job, "bits binary").toLocalIterator():
+        for row in values.coalesce(16).mapInArrow(tidy(job), "bits binary").toLocalIterator():
             out.bits |= np.frombuffer(row["bits"], np.uint8)
     return out
 
@@ -261,7 +263,7 @@ def fetched(documents: DataFrame, ends: DataFrame, routes: DataFrame, p: JoinPar
         if rows:
             yield table(rows)
 
-    return texts(documents, binary=True).mapInArrow(job, "digest binary, members binary").join(_sent_if_few(routes), "digest")
+    return texts(documents, binary=True).mapInArrow(tidy(job), "digest binary, members binary").join(_sent_if_few(routes), "digest")
 
 
 def _grouped(batches, keys: list[str], rest: list[str]):
@@ -344,8 +346,8 @@ def family_links(documents: DataFrame, members: DataFrame, ends: DataFrame, p: J
                 yield _overlap_rows(out)
 
     found = fetched(documents, ends, members, p).repartition(*keys).sortWithinPartitions(*keys, "own", "digest")
-    with _batches_of(documents.sparkSession, 500):
-        return scratch.staged(found.select(*keys, "own", "digest", "members").mapInArrow(job, OVERLAPS), "family-links")
+    with _batches_of(documents.sparkSession, COMPARED):
+        return scratch.staged(found.select(*keys, "own", "digest", "members").mapInArrow(tidy(job), OVERLAPS), "family-links")
 
 
 OVERLAPS = "a binary, b binary, common long"
@@ -388,8 +390,8 @@ def overlaps(documents: DataFrame, classes: DataFrame, pairs: DataFrame, p: Join
 
     order = ["hub", "part", "side", "digest", "straight"]
     dealt = fetched(documents, ends, routes, p).repartition("hub", "part").sortWithinPartitions(*order)
-    with _batches_of(documents.sparkSession, 500):
-        return scratch.staged(dealt.select(*order, "members").mapInArrow(job, OVERLAPS), "overlaps")
+    with _batches_of(documents.sparkSession, COMPARED):
+        return scratch.staged(dealt.select(*order, "members").mapInArrow(tidy(job), OVERLAPS), "overlaps")
 
 
 def similar(common: Column, na: Column, nb: Column, percent: int) -> Column:
@@ -459,7 +461,7 @@ def counted_members(documents: DataFrame, chosen, p: JoinParams) -> DataFrame:
         if held:
             yield _tally(held)
 
-    rows = texts(documents, binary=True).mapInArrow(job, "h long, n long")
+    rows = texts(documents, binary=True).mapInArrow(tidy(job), "h long, n long")
     return rows.groupBy("h").agg(F.sum("n").alias("n")).where("n > 1")
 
 
@@ -511,7 +513,7 @@ def indexed(documents: DataFrame, chosen, multi: BitFilter, levels: list[BitFilt
         if sets:
             yield table(sets, digests)
 
-    return texts(documents, binary=True).mapInArrow(job, "token long, digest binary, n int, at int")
+    return texts(documents, binary=True).mapInArrow(tidy(job), "token long, digest binary, n int, at int")
 
 
 def candidate_pairs(index: DataFrame, p: JoinParams) -> DataFrame:
@@ -562,7 +564,8 @@ class Join:
     def __init__(self, documents: DataFrame, p: JoinParams, whole: bool = False):
         self.documents, self.p = documents, p
         self.scratch = Scratch(documents.sparkSession)
-        self.rows = self.scratch.staged(summaries(documents, p), "rows")
+        with _batches_of(documents.sparkSession, SCANNED):
+            self.rows = self.scratch.staged(summaries(documents, p), "rows")
         held = self.rows.where("n > 0").groupBy("digest").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"), F.max("mins").alias("mins"))
         self.classes = self.scratch.staged(held, "classes")
         self.groups = self.scratch.staged(families(self.classes, p), "families")
@@ -582,7 +585,8 @@ class Join:
         """Pairs that the index leaves, of classes of different groups and, with components (node, root), of different ones."""
         p, spark = self.p, self.documents.sparkSession
         chosen = spark.sparkContext.broadcast(Chosen(self.classes))
-        counts = self.scratch.staged(counted_members(self.documents, chosen, p), "counts")
+        with _batches_of(spark, SCANNED):
+            counts = self.scratch.staged(counted_members(self.documents, chosen, p), "counts")
         multi = bit_filter(counts.select("h"))
         levels = [bit_filter(counts.where(F.col("n") > k).select("h")) for k in p.levels]
         self.scratch.drop(counts)
@@ -593,7 +597,9 @@ class Join:
             label = label.join(comp.select(F.col("node").alias("digest"), F.xxhash64("root").alias("comp")), "digest", "full_outer")
         own = F.xxhash64("digest")
         index = indexed(self.documents, chosen, multi, levels, p).join(_sent_if_few(self.scratch.staged(label, "labels")), "digest", "left")
-        index = self.scratch.staged(index.select("token", "digest", "n", "at", F.coalesce("met", own).alias("met"), F.coalesce("comp", own).alias("comp")), "index")
+        index = index.select("token", "digest", "n", "at", F.coalesce("met", own).alias("met"), F.coalesce("comp", own).alias("comp"))
+        with _batches_of(spark, SCANNED):
+            index = self.scratch.staged(index, "index")
         found = self.scratch.staged(candidate_pairs(index, p), "candidates")
         self.scratch.drop(index)
         return found

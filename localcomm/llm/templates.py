@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localcomm.llm.common import MULT, flat, fresh, mixed, run_hashes, slices, staged, texts
+from localcomm.llm.common import MULT, flat, fresh, mixed, run_hashes, slices, staged, texts, tidy
 
 CHUNK = 1 << 18
 _BLANK = np.zeros(256, bool)
@@ -204,7 +204,7 @@ def _counts(params: TemplateParams):
 
 def recurring(documents: DataFrame, params: TemplateParams = TemplateParams()) -> DataFrame:
     """a, b, n, first: the templates of at least `min_docs` documents and the passages of `passage_docs`, by key."""
-    rows = texts(documents, binary=True).mapInArrow(_counts(params), "a long, b long, n long, first long")
+    rows = texts(documents, binary=True).mapInArrow(tidy(_counts(params)), "a long, b long, n long, first long")
     return rows.groupBy("a", "b").agg(F.sum("n").alias("n"), F.min("first").alias("first")).where(F.col("n") >= F.when(F.col("a").bitwiseAND(1) == 1, params.passage_docs).otherwise(params.min_docs))
 
 
@@ -293,7 +293,7 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
                     take = pa.array(row + i)
                     yield pa.RecordBatch.from_arrays([batch.column("key").take(take), batch.column("h").take(take), pa.array((line - start[row]).astype(np.int32)), pa.array((last - start[row]).astype(np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["key", "h", "line", "last", "a", "b"])
 
-        hits = own.mapInArrow(keys, "key long, h string, line int, last int, a long, b long").join(found, ["a", "b"]).where("first < key")
+        hits = own.mapInArrow(tidy(keys), "key long, h string, line int, last int, a long, b long").join(found, ["a", "b"]).where("first < key")
         hits = hits.groupBy(F.col("key").alias(key), F.col("h").alias(digest)).agg(F.collect_set(F.struct("line", "last")).alias(marks))
         source = wide.join(hits, [key, digest], "left")
 
@@ -321,7 +321,7 @@ def cleaned(documents: DataFrame, params: TemplateParams = TemplateParams()) ->
                 new = pc.if_else(old.is_valid(), new, old)
             yield pa.RecordBatch.from_arrays([*[new if c == "text" else batch.column(c) for c in names], pa.array(lines.astype(np.int32)), pa.array(lost.astype(np.int32))], [*names, n_lines, n_lost])
 
-    return source.mapInArrow(job, StructType(list(schema.fields)).add(n_lines, IntegerType()).add(n_lost, IntegerType()))
+    return source.mapInArrow(tidy(job), StructType(list(schema.fields)).add(n_lines, IntegerType()).add(n_lost, IntegerType()))
 
 
 def deduplicated(documents: DataFrame, params: TemplateParams = TemplateParams()) -> DataFrame:
