@@ -33,8 +33,8 @@ def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
     Passages shared by documents that are no near copies go first: before that stage they would leave scraps of copies.
     """
-    # The workers still hold what earlier stages left, so the tokenizer keeps fewer words.
-    return packing.packed_documents(templates.deduplicated(docs, templates.ONLY_PASSAGES), cached_words=60_000)
+    # Workers serve all stages, so the tokenizer keeps fewer words, and goes when its task ends.
+    return packing.packed_documents(templates.deduplicated(docs, templates.ONLY_PASSAGES), cached_words=60_000, keep=False)
 
 
 STAGES = [("quality", quality_stage), ("line dedup", line_stage), ("near copies", near_copy_stage), ("packing", packing_stage)]
