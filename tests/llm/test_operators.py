@@ -402,16 +402,95 @@ def test_unigram_against_plain_viterbi(docs, empty):
     assert all(r["decoded_equal"] for r in unigram.digested(docs).collect()) and unigram.digested(empty).count() == 0
 
 
-def test_pipeline_stages(spark, docs, tmp_path):
+def test_ordinal_fit_against_a_plain_one():
+    """The fit's weighted, penalised likelihood is that of a descent by numeric slopes on the same few features."""
+    rng = np.random.default_rng(12)
+    n, d = 400, 3
+    x = rng.random((n, d)) < 0.5
+    grades = np.digitize(x @ np.array([2.0, -1.5, 1.0]) + rng.logistic(size=n), [-0.5, 1.5])
+    p = quality.QualityParams(min_rows=1, min_z=0.0, steps=2000, rate=0.02)
+    rows, places = np.nonzero(x)
+    model = quality.fit_ordinal(rows, places.astype(np.int64), grades, p)
+    weight = np.sqrt(n / (3 * np.bincount(grades, minlength=3)))[grades]
+
+    def loss(v):
+        w, cut = v[:d], np.array([v[d], v[d] + np.exp(v[d + 1])])
+        tail = 1 / (1 + np.exp(-((x @ w)[:, None] - cut[None, :])))
+        full = np.hstack([np.ones((n, 1)), tail, np.zeros((n, 1))])
+        like = full[np.arange(n), grades] - full[np.arange(n), grades + 1]
+        return float((weight * -np.log(np.maximum(like, 1e-12))).mean() + p.l2 / 2 * (w**2).sum())
+
+    v = np.zeros(d + 2)
+    for _ in range(1500):
+        slope = np.array([(loss(v + e) - loss(v - e)) / 2e-5 for e in 1e-5 * np.eye(d + 2)])
+        v -= 0.3 * slope
+    w = np.zeros(d)
+    w[model.places] = model.weights
+    mine = np.array([*w, model.thresholds[0], np.log(np.diff(model.thresholds)[0])])
+    assert abs(loss(mine) - loss(v)) < 1e-4 and np.allclose(w, v[:d], atol=0.05)
+
+
+def test_pipeline_against_brute_force(spark, docs, tmp_path):
+    """Each stage on what the one before kept: row-by-row scores, strings in SQL, all pairs, and plain tokens."""
     import corpus_pipeline as cp
+    import duckdb
 
-    spark.createDataFrame([(5, 1, 0), (8, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
-    d = docs
-    for name, stage in cp.STAGES[:-1]:
-        d = stage(spark, d, str(tmp_path))
-        assert d.columns == docs.columns, name
-    last = cp.STAGES[-1][1](spark, d, str(tmp_path))
-    assert last.count() >= d.count() > 0
+    rng = np.random.default_rng(21)
+    words = [f"w{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(200)]
+    texts, grades = [], []
+    for i in range(360):
+        g = int(rng.integers(0, 3))
+        w = rng.choice(words, 60).tolist()
+        texts.append(" ".join(x.upper() + "!!" for x in w) if g == 0 else " ".join(["stupid", *w] if g == 1 else w))
+        grades.append(g)
+    clean = [t for t, g in zip(texts, grades, strict=True) if g == 2]
+    passage = " ".join(rng.choice(words, 70).tolist())
+    extra = [clean[0], clean[1].replace(clean[1].split()[5], "changed", 1), clean[2] + "\n" + passage, clean[3] + "\n" + passage, *(f"{c}\nOrder {k} was shipped to our dear customer in town" for k, c in enumerate(clean[4:16]))]
+    rows = [(i, t, "en", "s", len(t), "d", 1) for i, t in enumerate([*texts, *extra], 1000)]
+    d = spark.createDataFrame(rows, SCHEMA).unionByName(docs)
+    spark.createDataFrame([(1000 + i, int(g > 0), int(g == 1)) for i, g in enumerate(grades)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+
+    kept = cp.quality_stage(spark, d, str(tmp_path))
+    assert kept.columns == d.columns
+    model = quality.train(d, quality.graded(spark.read.parquet(f"{tmp_path}/labels.parquet")))
+    dense = model.dense()
+
+    def stays(t):
+        from localcomm.llm.common import flat
+        import pyarrow as pa
+
+        _, places = quality.featurised(*flat(pa.array([t or ""])))
+        return 1 / (1 + np.exp(model.thresholds[1] - dense[places].sum(dtype=np.float64))) >= 0.5
+
+    have = sorted(((r["doc_id"], r["text"]) for r in kept.collect()), key=str)
+    assert have == sorted(((r["doc_id"], r["text"]) for r in d.collect() if stays(r["text"])), key=str) and len(have) < d.count()
+
+    def by_sql(frame, query):
+        con = duckdb.connect()
+        con.register("docs_in", frame.toArrow())
+        rows = con.execute(query).fetchall()
+        return sorted(((r[0], r[3]) for r in rows if not r[2] or r[3].strip()), key=str)
+
+    lines = cp.line_stage(spark, kept, str(tmp_path))
+    assert lines.columns == d.columns
+    assert sorted(((r["doc_id"], r["text"] or "") for r in lines.collect()), key=str) == by_sql(kept, templates.oracle(templates.TemplateParams(), "docs_in"))
+    near = cp.near_copy_stage(spark, lines, str(tmp_path))
+    assert near.columns == d.columns
+    flat_rows = by_row(lines)
+    groups = {}
+    for i, _, c in _brute(flat_rows, 5, 80):
+        groups.setdefault(i, c)
+    assert sorted(map(str, by_row(near))) == sorted(str(r) for r in flat_rows if r[0] is None or groups[r[0]] is None or groups[r[0]] >= r[0])
+    assert near.count() < lines.count()
+    last = cp.packing_stage(spark, near, str(tmp_path)).collect()
+    tok = opened(tokenizer_path()).tok
+    p = templates.ONLY_PASSAGES
+    query = templates.passages_oracle(templates.TemplateParams(passage_words=p.passage_words, min_docs=10**9), "docs_in")
+    want = sorted((i, n) for i, n in ((i, len(tok.encode(t, add_special_tokens=False).ids) + 1) for i, t in by_sql(near, query) if i is not None))
+    lengths = {}
+    for r in last:
+        lengths.setdefault(r["doc_id"], []).append(r["length"])
+    assert sorted((i, sum(v)) for i, v in lengths.items() if i is not None) == sorted((i, sum(n for j, n in want if j == i)) for i in {j for j, _ in want})
 
 
 MIT = """Permission is hereby granted, free of charge, to any person obtaining a copy
