@@ -6,7 +6,7 @@ null attribute sets are empty. Extra columns are ignored.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from localcomm.functions.sets import PRIME, canonical, draw, jaccard
@@ -18,15 +18,24 @@ def structure_graph(pairs: DataFrame, src: str = "src", dst: str = "dst", direct
     return pairs.where(a != b).select(F.least(a, b).alias("src"), F.greatest(a, b).alias("dst")).distinct()
 
 
+#: Members of a group that meet in one key.
+PART = 1000
+
+
 def project_bipartite(members: DataFrame, member: str, group: str, min_support: int = 1, max_group: int | None = None) -> DataFrame:
     """Members that share a group, with the number of groups shared.
 
     `max_group` leaves out groups beyond a size, whose pairs grow with its square; None keeps all.
     """
     m = members.select(F.col(member).cast("long").alias("m"), F.col(group).alias("g")).where("m IS NOT NULL AND g IS NOT NULL").distinct()
+    size = m.groupBy("g").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
     if max_group is not None:
-        m = m.join(m.groupBy("g").count().where(F.col("count") <= max_group).select("g"), "g", "left_semi")
-    pairs = m.select("g", F.col("m").alias("src")).join(m.select("g", F.col("m").alias("dst")), "g").where("src < dst")
+        size = size.where(F.col("size") <= max_group)
+    # A large group meets in parts, so that its pairs are made by many tasks: one side lists all parts, the other lies in one.
+    own = m.join(size.select("g", F.ceil(F.col("size") / PART).alias("parts")), "g")
+    left = own.select("g", F.col("m").alias("src"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"))
+    right = own.select("g", F.col("m").alias("dst"), F.pmod(F.xxhash64("m"), F.col("parts")).alias("part"))
+    pairs = left.join(right, ["g", "part"]).where("src < dst")
     return pairs.groupBy("src", "dst").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= min_support)
 
 
@@ -100,6 +109,13 @@ def adjacency(combined: DataFrame, weighted: bool = True) -> DataFrame:
     return e.select("src", "dst", (F.sum("wi").over(up) - F.col("wi")).alias("lo"), F.sum("wi").over(up).alias("hi"), F.sum("wi").over(Window.partitionBy("src")).alias("total"))
 
 
+def chunked(adj: DataFrame, size: int = 256) -> DataFrame:
+    """src, lo, hi, total, nbrs: rows of `adjacency` in arrays of at most `size` neighbours (hi, dst), so that a hub's are few."""
+    place = F.row_number().over(Window.partitionBy("src").orderBy("dst"))
+    rows = adj.withColumn("chunk", F.floor((place - 1) / size)).groupBy("src", "chunk")
+    return rows.agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.max("total").alias("total"), F.array_sort(F.collect_list(F.struct("hi", "dst"))).alias("nbrs")).drop("chunk")
+
+
 def to_csr(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     """node, row_ptr, columns: compressed rows as a table, one row a vertex, isolated ones included.
 
@@ -170,8 +186,3 @@ def validated(nodes: DataFrame, combined: DataFrame) -> DataFrame:
     )
     loose = both_ways(combined.select("src", "dst")).join(n.withColumnRenamed("node", "src"), "src", "left_anti").agg(F.count(F.lit(1)).alias("loose_ends"))
     return bad.withColumn("one", F.lit(1)).join(loose.withColumn("one", F.lit(1)), "one").drop("one")
-
-
-def split_weight(weight: Column) -> tuple[Column, Column]:
-    """The structural and the similarity part of a combined weight."""
-    return F.floor(weight), weight - F.floor(weight)

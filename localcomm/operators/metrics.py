@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -99,24 +100,23 @@ def subgraph_size(sub_nodes: DataFrame, sub_edges: DataFrame, n: int) -> DataFra
 
 
 def compare(ours: DataFrame, theirs: DataFrame) -> DataFrame:
-    """Mean density, nodes and triangles of two methods and their ratios: one row."""
+    """Mean density, nodes and triangles of two methods and the ratio of their densities: one row."""
     a = ours.agg(F.avg("density").alias("density_a"), F.avg("nodes").alias("nodes_a"), F.avg("triangles_x3").alias("triangles_a"), F.lit(1).alias("one"))
     b = theirs.agg(F.avg("density").alias("density_b"), F.avg("nodes").alias("nodes_b"), F.avg("triangles_x3").alias("triangles_b"), F.lit(1).alias("one"))
     return a.join(b, "one").drop("one").withColumn("density_ratio", F.col("density_a") / F.col("density_b"))
 
 
-def cost_model(n: int, m: int, p: int, m_p: int, m_e: int, n_w: int) -> dict[str, int]:
-    """Operation counts of the three methods as their complexities state them, and of the sweep done here."""
-    extract = n + m_p + n_w
-    return {"subgraph": extract, "partition": p * p + p * m_p + n + n_w, "forecast": p * p + p * m_e + n + n_w, "event_sweep": m_p + p, "csr_cells": space_cells(n, m)["csr"]}
+def cost_model(n, m, p, m_p, m_e, n_w) -> dict:
+    """Operation counts of the three methods as their complexities state them, of the sweep done here, and cells of the graph's forms; of numbers or columns."""
+    return {"subgraph": n + m_p + n_w, "partition": p * p + p * m_p + n + n_w, "forecast": p * p + p * m_e + n + n_w, "event_sweep": m_p + p, "csr_cells": space_cells(n, m)["csr"], "adjacency_cells": space_cells(n, m)["adjacency"]}
 
 
-def space_cells(n: int, m: int) -> dict[str, int]:
+def space_cells(n, m) -> dict:
     return {"csr": 2 * m + n + 1, "adjacency": n + m}
 
 
-def timed(df: DataFrame) -> float:
-    """Seconds to make all rows of a DataFrame, written nowhere."""
+def timed(run: Callable[[], DataFrame]) -> float:
+    """Seconds to plan and make all rows of a DataFrame, written nowhere."""
     began = time.perf_counter()
-    df.write.format("noop").mode("overwrite").save()
+    run().write.format("noop").mode("overwrite").save()
     return time.perf_counter() - began

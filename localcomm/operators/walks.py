@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from localcomm.functions.sets import PRIME, draw
-from localcomm.operators.graph import adjacency, induced
+from localcomm.operators.graph import adjacency, chunked, induced
 from localcomm.params import Params
 from localcomm.plans.stages import staged
 
@@ -111,6 +111,7 @@ def _local_visits(adj: DataFrame, seeds: DataFrame, p: Params) -> DataFrame:
 
 
 def _relational_visits(adj: DataFrame, seeds: DataFrame, p: Params) -> DataFrame:
+    near = staged(chunked(adj), "chunks").withColumnRenamed("src", "node")
     walkers = seeds.select("seed", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(p.n_w - 1).cast("long"))).alias("walk"))
     live = walkers.withColumn("node", F.col("seed"))
     seen, coin = [live], int(p.alpha_r * PRIME)
@@ -119,7 +120,9 @@ def _relational_visits(adj: DataFrame, seeds: DataFrame, p: Params) -> DataFrame
         pick = draw("seed", "walk", 2 * hop + 1, salt=p.salt)
         asked = live.where(~stop) if p.walk_mode == "until_restart" else live.withColumn("stop", stop)
         asked = asked.withColumn("u", pick)
-        step = asked.join(adj.select(F.col("src").alias("node"), F.col("dst").alias("to"), "lo", "hi", "total"), "node", "inner").where("u * total div 2147483647 >= lo AND u * total div 2147483647 < hi")
+        # First the chunk of a vertex's neighbours, then the one inside it.
+        step = asked.join(near, "node", "inner").withColumn("at", F.expr("u * total div 2147483647")).where("at >= lo AND at < hi")
+        step = step.withColumn("to", F.expr("element_at(filter(nbrs, x -> x.hi > at), 1).dst"))
         if p.walk_mode == "until_restart":
             live = step.select("seed", "walk", F.col("to").alias("node"))
         else:

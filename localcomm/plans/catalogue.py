@@ -161,10 +161,17 @@ SELECT '{g}' AS graph, count(*) AS n, CAST(sum(deg) / 2 AS BIGINT) AS m, round(a
 (SELECT count(DISTINCT label) FROM lab) AS components, (SELECT max(c) FROM (SELECT count(*) AS c FROM lab GROUP BY label)) AS largest FROM deg)"""
 
 
-@query("network_stats_all", _stats_sql("docs") + " UNION ALL " + _stats_sql("pages"))
-def _(s, d):
-    one = lambda g: rounded(gr.network_stats(world(s, d, g).nodes, world(s, d, g).edges), "mean_deg").select(F.lit(g).alias("graph"), "n", "m", "mean_deg", "max_deg", "isolated", "components", "largest")
-    return one("docs").unionByName(one("pages"))
+def _stats(s, d, *names: str) -> DataFrame:
+    out = None
+    for g in names:
+        one = rounded(gr.network_stats(world(s, d, g).nodes, world(s, d, g).edges), "mean_deg").select(F.lit(g).alias("graph"), "n", "m", "mean_deg", "max_deg", "isolated", "components", "largest")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+query("network_stats_all", _stats_sql("docs") + " UNION ALL " + _stats_sql("pages"))(lambda s, d: _stats(s, d, "docs", "pages"))
+# SQL spreads labels too slowly over graphs of one large component.
+query("network_stats_connected")(lambda s, d: _stats(s, d, "parts", "users", "customers"))
 
 
 @query("validate_parts", sql.query(sql.PARTS, select="SELECT CAST(0 AS BIGINT) AS null_ids, CAST(0 AS BIGINT) AS unordered, CAST(0 AS BIGINT) AS not_positive, CAST(0 AS BIGINT) AS loose_ends"))
@@ -172,6 +179,15 @@ def _(s, d):
     return gr.validated(world(s, d).nodes, world(s, d).combined)
 
 
+@query("validate_broken_parts", sql.query(sql.combined(), "bad AS (SELECT dst AS src, src AS dst, w FROM combined WHERE src % 7 = 0 UNION ALL SELECT src, dst, -w FROM combined WHERE src % 5 = 0 UNION ALL SELECT NULL, dst, w FROM combined WHERE src % 11 = 0)", select="SELECT count(*) FILTER (src IS NULL OR dst IS NULL) AS null_ids, count(*) FILTER (src >= dst) AS unordered, count(*) FILTER (w <= 0) AS not_positive, (SELECT count(*) FROM (SELECT src AS v FROM bad UNION ALL SELECT dst FROM bad) WHERE v IS NULL OR v % 3 = 0) AS loose_ends FROM bad"))
+def _(s, d):
+    w = world(s, d)
+    c = w.combined.select("src", "dst", "w")
+    turned = c.where("src % 7 = 0").select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")
+    bad = turned.unionAll(c.where("src % 5 = 0").withColumn("w", -F.col("w"))).unionAll(c.where("src % 11 = 0").withColumn("src", F.lit(None).cast("long")))
+    return gr.validated(w.nodes.where("node % 3 <> 0"), bad)
+
+
 # Walk subgraph ------------------------------------------------------------------------------------------------------
 
 _W = (sql.combined(), sql.seeds(SEEDS), sql.walks(P))
@@ -374,9 +390,25 @@ def _(s, d):
 def _(s, d):
     w, x = world(s, d), _sub(s, d)
     size = me.subgraph_size(x.sub_nodes, x.sub_edges, w.n)
-    n, m, n_w = w.n, w.edges.count(), P.n_w
-    p, mp = F.col("p"), F.col("m_p")
-    return size.select("seed", "p", "m_p", (F.lit(n + n_w) + mp).alias("subgraph"), (p * p + p * mp + F.lit(n + n_w)).alias("partition"), (mp + p).alias("event_sweep"), F.lit(me.space_cells(n, m)["csr"]).alias("csr_cells"), F.lit(me.space_cells(n, m)["adjacency"]).alias("adjacency_cells"))
+    grown = fc.complete_edges(x, w.nodes, 0.3).groupBy("seed").agg(F.count(F.lit(1)).alias("m_e"))
+    seen = x.visits.groupBy("seed").agg(F.count(F.lit(1)).alias("visited"), F.sum("hits").alias("visits"))
+    swept = attributed(s, d).curve.groupBy("seed").agg(F.count(F.lit(1)).alias("swept"))
+    counts = me.cost_model(F.lit(w.n), F.lit(w.edges.count()), F.col("p"), F.col("m_p"), F.col("m_e"), F.lit(P.n_w))
+    # Beside what the complexities say: vertices and visits the walks made, and prefixes swept.
+    return size.join(grown, "seed", "left").na.fill(0, ["m_e"]).join(seen, "seed").join(swept, "seed").select("seed", "p", "m_p", "m_e", "visited", "visits", "swept", *[c.alias(k) for k, c in counts.items()])
+
+
+@query("volume_parts", sql.query(*_A, select="SELECT m.seed, round(sum(d.deg), 6) AS vol FROM members m JOIN deg_b d ON d.node = m.node GROUP BY m.seed"))
+def _(s, d):
+    return rounded(gr.volume(attributed(s, d).members, gr.degrees(world(s, d).combined, "w")), "vol")
+
+
+@query("graph_snapshot_parts", "WITH member AS (SELECT DISTINCT l_orderkey AS g, l_partkey AS m, o_orderdate AS ts FROM lineitem JOIN orders ON o_orderkey = l_orderkey WHERE l_returnflag = 'R') SELECT DISTINCT a.m AS src, b.m AS dst FROM member a JOIN member b ON a.g = b.g AND a.m < b.m WHERE a.ts <= TIMESTAMP '1998-04-25 00:00:00'")
+def _(s, d):
+    lines = sources.table(s, d, "lineitem").where("l_returnflag = 'R'").select("l_partkey", "l_orderkey")
+    dated = lines.join(sources.table(s, d, "orders").select("o_orderkey", "o_orderdate"), F.col("l_orderkey") == F.col("o_orderkey"))
+    pairs = dated.select("l_orderkey", F.col("l_partkey").alias("src"), F.col("o_orderdate").alias("ts")).join(lines.select("l_orderkey", F.col("l_partkey").alias("dst")), "l_orderkey")
+    return gr.snapshot(pairs, F.to_timestamp_ntz(F.lit("1998-04-25 00:00:00")))
 
 
 # Completion and forecast --------------------------------------------------------------------------------------------

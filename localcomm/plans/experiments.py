@@ -71,13 +71,8 @@ def subgraph_accuracy(w, grid=FULL_GRID, k: int = 10, p: Params = Params(stop="f
 
 def rank_times(w, k: int = 10, p: Params = Params(stop="fixed")) -> DataFrame:
     """method, seconds: ranking inside the subgraph and on the whole graph."""
-    import time
-
-    seeds, spark, rows = staged(w.seeds(k), "seeds"), w.edges.sparkSession, []
-    for name, use in (("subgraph", True), ("whole", False)):
-        began = time.perf_counter()
-        pa.attributed_partition(w.combined, seeds, w.n, p, use_proximity=use).summary.write.format("noop").mode("overwrite").save()
-        rows.append((name, time.perf_counter() - began))
+    seeds, spark = staged(w.seeds(k), "seeds"), w.edges.sparkSession
+    rows = [(name, me.timed(lambda: pa.attributed_partition(w.combined, seeds, w.n, p, use_proximity=use).summary)) for name, use in (("subgraph", True), ("whole", False))]  # noqa: B023
     return spark.createDataFrame(rows, "method string, seconds double")
 
 
@@ -109,17 +104,13 @@ def effectiveness(w, k: int, p: Params) -> DataFrame:
 
 def scalability(w, tenths=range(1, 11), k: int = 3, p: Params = Params(stop="fixed")) -> DataFrame:
     """tenth, m, seconds of both methods on nested parts of the graph, loading left out, and their ratio."""
-    import time
-
     rows = []
     for t in tenths:
         e = staged(gr.edge_fraction(w.edges, t), "tenth")
-        c, seeds, took = staged(sources.Graph(w.nodes, e).combined(), "tenth-combined"), staged(gr.sample_seeds(e, k), "seeds"), []
-        for run in (lambda: pa.attributed_partition(c, seeds, w.n, p), lambda: pa.structural_partition(e, seeds, w.n, p)):  # noqa: B023
-            began = time.perf_counter()
-            run().summary.write.format("noop").mode("overwrite").save()
-            took.append(time.perf_counter() - began)
-        rows.append((t, e.count(), *took, took[1] / took[0]))
+        c, seeds = staged(sources.Graph(w.nodes, e).combined(), "tenth-combined"), staged(gr.sample_seeds(e, k), "seeds")
+        ours = me.timed(lambda: pa.attributed_partition(c, seeds, w.n, p).summary)  # noqa: B023
+        theirs = me.timed(lambda: pa.structural_partition(e, seeds, w.n, p).summary)  # noqa: B023
+        rows.append((t, e.count(), ours, theirs, theirs / ours))
     return w.edges.sparkSession.createDataFrame(rows, "tenth int, m long, attributed_s double, structural_s double, ratio double")
 
 
@@ -176,14 +167,10 @@ def temporal(spark, sf_dir: str, quantile: float = 0.85) -> DataFrame:
 
 def seed_latency(w, counts=(1, 10, 100, 1000), p: Params = Params(stop="fixed", n_w=2000)) -> DataFrame:
     """seeds, seconds of one batch of partitions."""
-    import time
-
     rows = []
     for k in counts:
         seeds = staged(w.seeds(k), "seeds")
-        began = time.perf_counter()
-        pa.attributed_partition(w.combined, seeds, w.n, p).summary.write.format("noop").mode("overwrite").save()
-        rows.append((k, time.perf_counter() - began))
+        rows.append((k, me.timed(lambda: pa.attributed_partition(w.combined, seeds, w.n, p).summary)))  # noqa: B023
     return w.edges.sparkSession.createDataFrame(rows, "seeds int, seconds double")
 
 

@@ -75,10 +75,14 @@ def customers(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph(nodes, project_bipartite(g, "c_custkey", "g").select("src", "dst"))
 
 
+#: Rows of a block of vectors.
+BLOCK = 2048
+
+
 def vectors(spark: SparkSession, sf_dir: str, k: int = 5, top: int = 8) -> Graph:
     """Each vector's k nearest by cosine, made undirected; sets of the signed places of its largest components.
 
-    A stated query set against all rows: blocks of rows are scored by matrix products in the tasks.
+    All rows are asked against all rows, in blocks of about BLOCK: a task holds two blocks and the matrix of their scores.
     """
     import numpy as np
     import pandas as pd
@@ -86,9 +90,9 @@ def vectors(spark: SparkSession, sf_dir: str, k: int = 5, top: int = 8) -> Graph
     v = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("node"), F.col("embedding").cast("array<double>").alias("x"))
     size = F.transform("x", lambda a, i: F.struct(F.round(-F.abs(a), 9).alias("m"), i.alias("i"), F.when(a < 0, "-").otherwise("+").alias("s")))
     attrs = F.transform(F.slice(F.array_sort(size), 1, top), lambda t: F.concat(t["s"], t["i"].cast("string")))
-    blocks = 8
-    left = v.withColumn("b", F.pmod("node", F.lit(blocks))).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    right = v.withColumn("c", F.pmod("node", F.lit(blocks))).select("c", "node", "x")
+    v = v.withColumn("block", F.pmod(F.xxhash64("node"), F.lit(max(1, -(-v.count() // BLOCK)))).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(max(0, -(-v.count() // BLOCK) - 1))))
+    left, right = v.select(F.col("block").alias("b"), every.alias("c"), "node", "x"), v.select(every.alias("b"), F.col("block").alias("c"), "node", "x")
 
     def near(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if not len(a) or not len(b):
@@ -100,7 +104,7 @@ def vectors(spark: SparkSession, sf_dir: str, k: int = 5, top: int = 8) -> Graph
         order = np.argsort(-s, axis=1, kind="stable")[:, : k + 1]
         return pd.DataFrame({"src": np.repeat(a["node"].to_numpy(), order.shape[1]), "dst": ids[order].ravel(), "cos": np.take_along_axis(s, order, 1).ravel()})
 
-    found = left.groupBy("c").cogroup(right.groupBy("c")).applyInPandas(near, "src long, dst long, cos double").where("cos > -2")
+    found = left.groupBy("b", "c").cogroup(right.groupBy("b", "c")).applyInPandas(near, "src long, dst long, cos double").where("cos > -2")
     w = Window.partitionBy("src").orderBy(F.desc("cos"), "dst")
     best = found.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k)
     return Graph(v.select("node", canonical(attrs).alias("attrs")), structure_graph(best))
