@@ -28,6 +28,7 @@ from localcomm.llm.common import staged, texts, tidy
 CAPACITY = 2048
 GROUP = 4000
 ROUNDS = 4
+TASKS_MOST = 20_000
 PIECES = "row long, doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -185,6 +186,7 @@ def assigned(items: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rou
         final = groups == 1 or turn == rounds - 1
 
         dealt = pool.withColumn("g", F.pmod(F.xxhash64("row", "piece", F.lit(turn)), F.lit(groups)))
+        dealt = dealt.repartition(min(groups, TASKS_MOST), "g")  # a group is little to read and much to do: a count of our own keeps Spark from gathering them
         out = staged(dealt.groupBy("g").applyInPandas(_packer(capacity, turn, final), "row long, piece int, length long, sequence_id long, offset long, loose boolean"), f"packed-{turn}")
         done.append(out)
         pool, last = out.where("loose").select("row", "piece", "length"), n
