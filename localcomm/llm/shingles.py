@@ -48,6 +48,8 @@ SEND_MOST = 200_000
 GROUP_MOST, GROUP_MEMBERS = 1024, 1 << 21
 #: Rows of an Arrow batch of texts, and of sets that are compared.
 SCANNED, COMPARED = 1000, 500
+#: Times a family follows its anchor to that one's own.
+HOPS = 3
 #: Parts up to which all parts of a family meet.
 PARTS_MOST = 32
 #: A member that more texts than these hold moves one level back in the common order each.
@@ -407,6 +409,10 @@ def families(classes: DataFrame, p: JoinParams) -> DataFrame:
     anchors = keys.groupBy("i", "key").agg(F.min("digest").alias("anchor"), F.count(F.lit(1)).alias("m")).where("m > 1").select("i", "key", "anchor")
     shared = keys.join(anchors, ["i", "key"]).where(F.col("digest") != F.col("anchor")).groupBy("digest", "anchor").agg(F.count(F.lit(1)).alias("m")).where(F.col("m") >= p.agree)
     best = shared.groupBy("digest").agg(F.max(F.struct("m", "anchor")).alias("x")).select("digest", "x.anchor")
+    # An anchor that has an anchor itself brings its family along; anchors only ever get smaller.
+    up = _sent_if_few(best.select(F.col("digest").alias("anchor"), F.col("anchor").alias("up")))
+    for _ in range(HOPS):
+        best = best.join(up, "anchor", "left").select("digest", F.coalesce("up", "anchor").alias("anchor"))
     best = best.join(classes.select("digest", "n"), "digest")
     size = best.groupBy("anchor").agg(F.greatest(F.ceil(F.count(F.lit(1)) / p.group), F.ceil(F.sum("n") / GROUP_MEMBERS)).cast("int").alias("parts"))
     return best.join(size, "anchor").select("digest", "anchor", F.pmod(F.xxhash64("digest"), F.col("parts")).cast("int").alias("part"), "parts")
