@@ -85,6 +85,15 @@ def featurised(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return np.concatenate(rows_out), np.concatenate(places_out)
 
 
+def tails_of(buf: np.ndarray, offs: np.ndarray, model: OrdinalModel, w: np.ndarray) -> np.ndarray:
+    """P(grade >= k) of each row, rounded; features live only as long as their stretch of rows, however many a batch has."""
+    scores = np.zeros(len(offs) - 1)
+    for i, j in slices(offs, CHUNK):
+        rows, places = _chunk(buf[offs[i] : offs[j]], offs[i : j + 1] - offs[i])
+        scores[i:j] = np.bincount(rows, weights=w[places], minlength=j - i)
+    return np.round(model.tails(scores), 6)
+
+
 def _chunk(b: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     n, size = len(offs) - 1, len(b)
     if size:
@@ -217,8 +226,7 @@ def score(documents: DataFrame, model: OrdinalModel, params: QualityParams = Qua
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), none, *[none] * len(names), pa.array(np.zeros(n, bool))], ["doc_id", "expected_grade", *names, "rejected"])
                 continue
             buf, offs = flat(batch.column("text"))
-            rows, places = featurised(buf, offs)
-            tails = np.round(model.tails(np.bincount(rows, weights=w[places], minlength=n)), 6)
+            tails = tails_of(buf, offs, model, w)
             cols = [pa.array(tails[:, c]) if c < cuts else pa.nulls(n, pa.float64()) for c in range(len(names))]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.round(tails.sum(1), 6)), *cols, pa.array(tails[:, k - 1] < params.min_tail)], ["doc_id", "expected_grade", *names, "rejected"])
 
@@ -237,8 +245,7 @@ def selected(documents: DataFrame, model: OrdinalModel, params: QualityParams =
         w = model.dense()
         for batch in batches:
             buf, offs = flat(batch.column("text"))
-            rows, places = featurised(buf, offs)
-            tails = np.round(model.tails(np.bincount(rows, weights=w[places], minlength=batch.num_rows)), 6)
+            tails = tails_of(buf, offs, model, w)
             yield batch.filter(pa.array(tails[:, k - 1] >= params.min_tail))
 
     return documents.mapInArrow(tidy(job), documents.schema)
