@@ -1,6 +1,7 @@
 """The training-data operators against brute force, round trips, held-out accuracy, and odd inputs."""
 
 import hashlib
+import random
 import re
 import zlib
 
@@ -9,7 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from localcomm.llm import audio, chunks, curves, licenses, packing, quality, shingles, templates, unigram, warc
-from localcomm.llm.bpe import opened, tokenizer_path
+from localcomm.llm.bpe import WordCache, opened, tokenizer_path
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, digest string, row long"
 LONG = "the quick brown fox jumps over the lazy dog and runs far away from here " * 400
@@ -97,6 +98,16 @@ def test_tokenizer_cache_equals_library(docs):
     assert tok.encode(texts) == [np.array(tok.tok.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
 
 
+def test_tokenizer_cache_on_marks_and_odd_spaces():
+    letters, rng = "aBé ñ,.!*#_-'\"1 9ß×ƀɏ中\\ ~`|", random.Random(1)
+    some = ["".join(rng.choice(letters) for _ in range(rng.randrange(60))) for _ in range(4000)]
+    some = [" ".join(t.split()) if rng.random() < 0.8 else t for t in some] + [""]
+    enc = WordCache(tokenizer_path(), words=300)  # so few that words are forgotten on the way
+    for lo in range(0, len(some), 512):
+        part = some[lo : lo + 512]
+        assert enc.encode(part) == [np.array(e.ids, "<u4").tobytes() for e in enc.tok.encode_batch(part, add_special_tokens=False)]
+
+
 def test_packing(docs, empty):
     tok = opened(tokenizer_path()).tok
     rows = packing.packed_documents(docs).collect()
