@@ -293,3 +293,22 @@ def test_experiments_are_registered_whole(monkeypatch):
     assert [list(c["tenths"]) for c in calls["size_independence"] + calls["scalability"]] == [list(range(1, 11))] * 2
     assert {(c["w"], c["k"], c["p"].phi_o) for c in calls["effectiveness"]} == {("parts", 20, 0.05), ("pages", 20, 0.05), ("docs", 100, 0.05)}
     assert {(c["w"], c["name"], len(c["values"]), c["k"]) for c in calls["forecast_sweep"]} == {(g, n, v, 20) for g in ("parts", "docs") for n, v in (("t_e", 9), ("phi_o", 6))}
+
+
+def test_similar_pairs_meet_by_several_members_and_equal_sets_once(spark):
+    """Sets of a few frequent members, many of them equal: candidates are pairs of distinct sets that come near the threshold."""
+    import itertools
+
+    rng = np.random.default_rng(3)
+    sets = [sorted({f"b{rng.integers(5)}", f"t{rng.integers(3)}", f"s{rng.integers(3)}", *[f"w{v}" for v in rng.integers(6, size=rng.integers(1, 4))]}) for _ in range(120)] * 3
+    nodes = spark.createDataFrame(list(enumerate(sets)), "node long, attrs array<string>")
+    for t in (0.3, 0.5, 0.7, 1.0):
+        want = sorted((i, j) for (i, a), (j, b) in itertools.combinations(enumerate(sets), 2) if len(set(a) & set(b)) > t * len(set(a) | set(b)))
+        assert rows(fc.similar_pairs(nodes, t), "src", "dst") == want
+        found = rows(fc.similar_pairs(nodes, t, "minhash"), "src", "dst") if t < 1 else want
+        assert set(found) <= set(want) and len(found) >= 0.99 * len(want)
+    distinct = spark.createDataFrame(list(enumerate(sorted(set(map(tuple, sets))))), "node long, x array<string>")
+    near = {(r["src"], r["dst"]) for r in fc._prefix_pairs(distinct, 0.5, ()).collect()}
+    lists = [set(r["x"]) for r in distinct.orderBy("node").collect()]
+    exact = {(i, j) for i, j in itertools.combinations(range(len(lists)), 2) if len(lists[i] & lists[j]) >= 0.5 * len(lists[i] | lists[j])}
+    assert exact <= near and len(near) <= 1.2 * len(exact)  # one member to a key gave nearly all pairs
