@@ -312,3 +312,43 @@ def test_similar_pairs_meet_by_several_members_and_equal_sets_once(spark):
     lists = [set(r["x"]) for r in distinct.orderBy("node").collect()]
     exact = {(i, j) for i, j in itertools.combinations(range(len(lists)), 2) if len(lists[i] & lists[j]) >= 0.5 * len(lists[i] | lists[j])}
     assert exact <= near and len(near) <= 1.2 * len(exact)  # one member to a key gave nearly all pairs
+
+
+def test_members_of_the_same_groups_meet_as_one(spark, monkeypatch):
+    import itertools
+
+    held = [(m, g) for m in range(60) for g in range(12) if (m % 15 * 7 + g * g) % 4 == 0] + [(None, 1), (99, 77), (100, 5)]
+    df = spark.createDataFrame(held, "m long, g long")
+    of = {}
+    for m, g in held:
+        of.setdefault(m, set()).add(g)
+    want = sorted((a, b, len(of[a] & of[b])) for a, b in itertools.combinations(sorted(x for x in of if x is not None), 2) if of[a] & of[b])
+    cols = ("src", "dst", "support")
+    plain, calls = rows(gr.project_bipartite(df, "m", "g"), *cols), []
+    real = gr._projected_classes
+    monkeypatch.setattr(gr, "DENSE", 1)
+    monkeypatch.setattr(gr, "_projected_classes", lambda *a: calls.append(1) or real(*a))
+    assert rows(gr.project_bipartite(df, "m", "g"), *cols) == plain == want and calls
+    assert rows(gr.project_bipartite(df, "m", "g", min_support=2), *cols) == [r for r in want if r[2] > 1]
+    assert rows(gr.project_bipartite(df, "m", "g", max_group=20), *cols) == rows(gr._met(df.where("m IS NOT NULL"), df.where("m IS NOT NULL").groupBy("g").count().where("count BETWEEN 2 AND 20").withColumnRenamed("count", "size")), *cols)
+
+
+def test_components_by_stars_are_those_of_spreading_labels(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    pairs = [tuple(map(int, p)) for p in rng.integers(400, size=(260, 2))] + [(i, i + 1) for i in range(1000, 1100)]  # many small ones, and a path
+    edges = gr.structure_graph(spark.createDataFrame(pairs, "src long, dst long").repartition(5))
+    nodes = spark.createDataFrame([(i,) for i in [*range(400), *range(1000, 1101), 5000]], "node long")
+    want = rows(gr._spread_labels(nodes, edges), "node", "label")
+    monkeypatch.setattr(gr, "_spread_labels", None)  # not needed while one task can end it
+    assert rows(gr.component_labels(nodes, edges), "node", "label") == want
+    monkeypatch.undo()
+    monkeypatch.setattr(gr, "LABEL_ROWS", 10)
+    assert rows(gr.component_labels(nodes, edges), "node", "label") == want
+
+
+def test_a_graph_is_combined_only_when_needed(spark, monkeypatch):
+    from localcomm import sources
+    from localcomm.plans import catalogue as cat
+
+    monkeypatch.setattr(sources.Graph, "combined", None)
+    assert cat.QUERIES["structure_graph_users"](spark, "/root/testdata/sf0.001").count() == cat.world(spark, "/root/testdata/sf0.001", "users").edges.count()
