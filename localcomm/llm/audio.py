@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from localcomm.llm.common import flat, slices, staged, texts
+from localcomm.llm.common import flat, new_folder, slices, texts
 
 UNIT = 576
 PCM, ALAW, ULAW, IMA = 1, 6, 7, 17
@@ -166,8 +166,12 @@ def padded(payload: bytes) -> bytes:
 
 
 def feature(kind: int, pcm: np.ndarray) -> str:
-    """Codec, samples, peak, mean size, sign changes of the resampled sound, all in whole numbers."""
-    sound = resampled(pcm)
+    """`described` of a sound that isn't resampled yet."""
+    return described(kind, resampled(pcm))
+
+
+def described(kind: int, sound: np.ndarray) -> str:
+    """Codec, samples, peak, mean size, sign changes of resampled sound, all in whole numbers."""
     wide = np.abs(sound.astype(np.int32))
     changes = int(np.count_nonzero((sound[1:] < 0) != (sound[:-1] < 0)))
     return f"{ {ULAW: 'ulaw', ALAW: 'alaw', IMA: 'ima', PCM: 'pcm'}[kind]}:{len(sound)}:{int(wide.max())}:{int(wide.sum()) // len(sound)}:{changes}"
@@ -186,33 +190,41 @@ def coded_files(documents: DataFrame) -> DataFrame:
     return texts(documents, binary=True).mapInArrow(job, "doc_id long, n_bytes long, media binary")
 
 
+#: Effort of compression: coded files and sound together take more than the input otherwise allows.
+ZSTD_LEVEL = 13
+
+
+def _stored(df: DataFrame, name: str) -> DataFrame:
+    path = new_folder(df.sparkSession, name)
+    df.write.option("compression", "zstd").option("parquet.compression.codec.zstd.level", ZSTD_LEVEL).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def archived(documents: DataFrame) -> DataFrame:
     """`coded_files`, written to the shared folder and read from there."""
-    return staged(coded_files(documents), "audio")
+    return _stored(coded_files(documents), "audio")
 
 
-def pcm_archived(media: DataFrame) -> DataFrame:
-    """doc_id and pcm, each stored file as 16-bit PCM at the doubled rate, written to the shared folder and read from there.
+def packed(sound: np.ndarray) -> tuple[bytes, bytes]:
+    """Doubled PCM without loss: every second sample, and by how much those between differ from `resampled`."""
+    kept = np.ascontiguousarray(sound[0::2])
+    return kept.astype("<i2").tobytes(), (sound[1::2] - resampled(kept)[1::2]).astype("<i2").tobytes()
 
-    PCM takes four bytes for a mu-law or A-law byte and eight for an ADPCM byte.
-    """
 
-    def job(batches):
-        for batch in batches:
-            buf, offs = flat(batch.column("media"))
-            for i, j in slices(offs, CHUNK):
-                sounds = decoded([buf[offs[k] : offs[k + 1]].tobytes() for k in range(i, j)])
-                pcm = [wave(PCM, resampled(x).astype("<i2").tobytes(), RATE_OUT) for x in sounds]
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), pa.array(pcm, pa.binary())], ["doc_id", "pcm"])
+def unpacked(kept: bytes, between: bytes) -> np.ndarray:
+    sound = resampled(np.frombuffer(kept, "<i2"))
+    sound[1::2] += np.frombuffer(between, "<i2")
+    return sound
 
-    return staged(media.select("doc_id", "media").mapInArrow(job, "doc_id long, pcm binary"), "pcm")
 
+DIGESTS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string"
 
-FIELDS = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
 
+def resampled_archive(media: DataFrame) -> DataFrame:
+    """Digests of the files of `archived`, read from their bytes, and their PCM at the doubled rate, written to the shared folder and read from there.
 
-def inspected(media: DataFrame) -> DataFrame:
-    """Digests and features of the files of `archived`, read from their bytes."""
+    Sound goes by format, `kept` and `between`, as `packed` says: as plain PCM it takes four to eight times the payload.
+    """
 
     def job(batches):
         for batch in batches:
@@ -220,7 +232,7 @@ def inspected(media: DataFrame) -> DataFrame:
             for i, j in slices(offs, CHUNK):
                 files = [buf[offs[k] : offs[k + 1]].tobytes() for k in range(i, j)]
                 bodies = [coded(f) for f in files]
-                sounds = decoded(files)
+                sounds = [packed(resampled(x)) for x in decoded(files)]
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column("doc_id").slice(i, j - i),
@@ -230,12 +242,50 @@ def inspected(media: DataFrame) -> DataFrame:
                         pa.array([zlib.crc32(b[-32:]) for _, b in bodies], pa.int64()),
                         pa.array([len(f) for f in files], pa.int64()),
                         pa.array([hashlib.sha256(f).hexdigest() for f in files]),
-                        pa.array([feature(k, s) for (k, _), s in zip(bodies, sounds, strict=True)]),
+                        pa.array([k for k, _ in bodies], pa.int32()),
+                        pa.array([k for k, _ in sounds], pa.binary()),
+                        pa.array([b for _, b in sounds], pa.binary()),
                     ],
-                    [x.split()[0] for x in FIELDS.split(", ")],
+                    [*(x.split()[0] for x in DIGESTS.split(", ")), "kind", "kept", "between"],
                 )
 
-    return media.mapInArrow(job, FIELDS)
+    schema = f"{DIGESTS}, kind int, kept binary, between binary"
+    return _stored(media.select("doc_id", "n_bytes", "media").mapInArrow(job, schema), "pcm")
+
+
+def _sounds(batch, i: int, j: int) -> list[np.ndarray]:
+    return [unpacked(k, b) for k, b in zip(batch.column("kept").slice(i, j - i).to_pylist(), batch.column("between").slice(i, j - i).to_pylist(), strict=True)]
+
+
+def pcm_archived(media: DataFrame) -> DataFrame:
+    """doc_id and pcm, each file of `archived` as 16-bit PCM at the doubled rate, from the bytes that `resampled_archive` wrote."""
+
+    def job(batches):
+        for batch in batches:
+            _, offs = flat(batch.column("kept"))
+            for i, j in slices(offs, CHUNK):
+                pcm = [wave(PCM, x.astype("<i2").tobytes(), RATE_OUT) for x in _sounds(batch, i, j)]
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), pa.array(pcm, pa.binary())], ["doc_id", "pcm"])
+
+    return resampled_archive(media).select("doc_id", "kept", "between").mapInArrow(job, "doc_id long, pcm binary")
+
+
+FIELDS = f"{DIGESTS}, feature string"
+
+
+def inspected(media: DataFrame) -> DataFrame:
+    """Digests of the files of `archived`, and features of the stored PCM that `resampled_archive` made of them."""
+    names = [x.split()[0] for x in DIGESTS.split(", ")]
+
+    def job(batches):
+        for batch in batches:
+            _, offs = flat(batch.column("kept"))
+            for i, j in slices(offs, CHUNK):
+                kinds = batch.column("kind").slice(i, j - i).to_pylist()
+                told = pa.array([described(k, s) for k, s in zip(kinds, _sounds(batch, i, j), strict=True)])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(i, j - i) for c in names), told], [*names, "feature"])
+
+    return resampled_archive(media).mapInArrow(job, FIELDS)
 
 
 def op1_audio(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -58,6 +58,20 @@ def test_audio_round_trip(docs, empty):
         assert audio.feature(kind, audio.decoded([r["media"]])[0]) == f"{name}:{len(wide)}:{max(map(abs, wide))}:{sum(map(abs, wide)) // len(wide)}:{changes}"
 
 
+def test_audio_stores_resampled_sound_without_loss(docs, monkeypatch):
+    any_sound = np.random.default_rng(2).integers(-32768, 32768, 400).astype(np.int16)  # not what resampling gives
+    assert audio.unpacked(*audio.packed(any_sound)).tolist() == any_sound.tolist()
+    media, kept = audio.archived(docs), []
+    real = audio.resampled_archive
+    monkeypatch.setattr(audio, "resampled_archive", lambda m: kept.append(real(m)) or kept[-1])
+    told = {(r["media_sha256"], r["feature"]) for r in audio.inspected(media).collect()}
+    assert kept and kept[0].inputFiles()  # features come from files
+    for r in kept[0].collect():
+        sound = audio.unpacked(r["kept"], r["between"])
+        assert (r["media_sha256"], audio.described(r["kind"], sound)) in told and len(sound) >= 2 * audio.UNIT
+    assert sorted(audio.unpacked(r["kept"], r["between"]).tobytes() for r in kept[0].collect()) == sorted(audio.resampled(audio.decoded([r["media"]])[0]).tobytes() for r in media.collect())
+
+
 def test_audio_codecs():
     assert audio.ULAW_TABLE[[0, 127, 128, 255]].tolist() == [-32124, 0, 32124, 0]
     assert audio.ALAW_TABLE[[0x55, 0xD5, 0x2A, 0xAA]].tolist() == [-8, 8, -32256, 32256]
