@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from localcomm import sources
 from localcomm.operators import graph as gr
@@ -71,3 +72,95 @@ def test_ranks_that_come_round_are_those_of_all_steps():
     p = Params(stop="fixed", alpha_n=0.0, truncate="output")
     q, steps = ranking.ranked(arriving, np.ones(7), 2, p, Derived(1, 10**6, 1.0, 0.0, 10**6))
     assert steps == 10**6 and np.flatnonzero(q).tolist() == [(2 + 10**6) % 7] and len(taken) < 50
+
+
+def test_a_walk_that_has_settled_is_the_one_of_all_steps():
+    # A path of 12 vertices: shares even out long before 20,000 steps.
+    src = np.concatenate([np.arange(11), np.arange(1, 12)])
+    dst = np.concatenate([np.arange(1, 12), np.arange(11)])
+    deg, taken = np.bincount(src).astype(float), []
+
+    def arriving(q):
+        taken.append(1)
+        return np.bincount(dst, weights=q[src] / deg[src], minlength=12)
+
+    d = Derived(1, 20_000, 1.0, 1e-9, 20_000)
+    p = Params(stop="fixed", alpha_n=0.0, truncate="feedback", measure="classic")
+    q, steps = ranking.ranked(arriving, deg, 3, p, d)
+    by_hand = np.zeros(12)
+    by_hand[3] = 1.0
+    for _ in range(20_000):
+        by_hand = 0.5 * (by_hand + arriving(by_hand))
+        by_hand[by_hand <= d.eps * deg] = 0.0
+    assert steps == 20_000 and len(taken) - 20_000 < 2500
+    np.testing.assert_array_equal(np.round(q / deg, ranking.DIGITS), np.round(by_hand / deg, ranking.DIGITS))
+    # A walk that has not filled its component isn't settled, though its shares are alike.
+    assert ranking.settled(np.array([1.0, 0.0]), np.array([0.5, 0.5]), np.ones(2), d) is None
+
+
+def test_steps_in_threads_are_those_of_one(parts, monkeypatch):
+    _, combined, seeds, _ = parts
+    g, d = mapped.MappedGraph(mapped.layout(combined)), derive_params(combined.count(), P)
+    monkeypatch.setattr(mapped, "OWN_ROWS", 0)
+    monkeypatch.setattr(mapped, "STEP_ROWS", 50)
+    seed = seeds.first()["seed"]
+    assert g.curve(seed, seed, P, d, 1e4).equals(g.curve(seed, seed, P, d, 1e4, threads=3)) and len(g.spans) > 10
+
+
+def arrays(where):
+    g = mapped.MappedGraph(where)
+    return {k: getattr(g, k).tolist() for k in ("node", "end", "deg", "dst", "w")}, g.moves(np.arange(g.n), np.arange(g.n) * 987_654_321 % 2_147_483_647).tolist()
+
+
+def test_parts_and_twins_of_a_mapped_graph_are_those_written_anew(parts, monkeypatch):
+    edges, combined, _, _ = parts
+    monkeypatch.setattr(mapped, "PART_ROWS", 100)
+    plain, anew = gr.plain_graph(edges), gr.plain_graph(edges)
+    mapped.layout(combined)
+    mapped.twins(plain, combined)
+    assert mapped.layout(plain).folder == mapped.layout(combined).folder
+    assert arrays(mapped.layout(plain)) == arrays(mapped.layout(anew))
+    for t in (3, 10):
+        part, again = (gr.edge_fraction(combined, t) for _ in range(2))
+        mapped.kept(part, combined, gr.fraction_mask(t))
+        assert arrays(mapped.layout(part)) == arrays(mapped.layout(again)) and mapped.layout(part).rows == 2 * part.count() > 0
+    with pytest.raises(ValueError):
+        mapped.kept(gr.edge_fraction(combined, 3), combined, gr.fraction_mask(4))
+
+
+def test_grids_and_sizes_on_mapped_graphs_are_those_on_sent_ones(spark, monkeypatch):
+    from localcomm.plans import catalogue as cat
+    from localcomm.plans import experiments as ex
+
+    w = cat.World(spark, "/root/testdata/sf0.001", "parts")
+    grid = [("alpha_r", 0.3), ("t_s", 4.0), ("phi_o", 0.4)]
+    runs = {
+        "accuracy": lambda: rows(ex.subgraph_accuracy(w, grid, 3, P), "parameter", "value", "partition_difference", "top20_difference", "p"),
+        "sizes": lambda: rows(ex.size_independence(w, (4, 10), 3, P), "tenth", "m", "p", "m_p"),
+        "trials": lambda: rows(ex.trial_insensitivity(w, (50, 200), 3, P), "n_w", "p"),
+    }
+    sent = {k: f() for k, f in runs.items()}
+    monkeypatch.setattr(mapped, "MAP_FROM", 0)
+    monkeypatch.setattr(gr, "adjacency", None)  # no table of transitions for a graph that is mapped
+    assert {k: f() for k, f in runs.items()} == sent
+    times = ex.scalability(w, (4, 10), 2, P).collect()
+    assert [r["tenth"] for r in times] == [4, 10] and times[1]["m"] == w.edges.count()
+
+
+def test_seeds_are_dealt_over_tasks(parts, spark):
+    edges, combined, _, n = parts
+    many = staged(gr.sample_seeds(edges, 60), "many")
+    m, total = combined.count(), 1e4
+    curves = pa.fused_curves(combined, gr.degrees(combined, "w"), many, n, P, derive_params(m, P), total)
+    tasks = curves.select("seed", F.spark_partition_id().alias("t")).agg(F.countDistinct("t"), F.countDistinct("seed")).first()
+    assert tasks[0] > 4 and tasks[1] == 60
+    assert curves.rdd.getNumPartitions() > 4
+
+
+def test_small_groups_meet_in_lists_as_in_joins(spark, monkeypatch):
+    members = spark.createDataFrame([(m, g) for g in range(40) for m in {g % 7, g % 5 + 3, g % 11, g % 3 + 20}] + [(None, 1), (3, None)], "m long, g long")
+    found = lambda least: rows(gr.project_bipartite(members, "m", "g", least), "src", "dst", "support")
+    in_lists = found(1), found(3)
+    monkeypatch.setattr(gr, "_met_in_lists", None)
+    monkeypatch.setattr(gr, "LISTED", 0)
+    assert (found(1), found(3)) == in_lists and in_lists[1]
