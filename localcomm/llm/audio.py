@@ -190,13 +190,14 @@ def coded_files(documents: DataFrame) -> DataFrame:
     return texts(documents, binary=True).mapInArrow(job, "doc_id long, n_bytes long, media binary")
 
 
-#: Effort of compression: coded files and sound together take more than the input otherwise allows.
-ZSTD_LEVEL = 13
+#: Effort of compression and bytes it sees at a time: coded files and sound together take more than the input otherwise allows.
+ZSTD_LEVEL = 12
+PAGE = 8 << 20
 
 
 def _stored(df: DataFrame, name: str) -> DataFrame:
     path = new_folder(df.sparkSession, name)
-    df.write.option("compression", "zstd").option("parquet.compression.codec.zstd.level", ZSTD_LEVEL).parquet(path)
+    df.write.option("compression", "zstd").option("parquet.compression.codec.zstd.level", ZSTD_LEVEL).option("parquet.page.size", PAGE).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
@@ -206,13 +207,22 @@ def archived(documents: DataFrame) -> DataFrame:
 
 
 def packed(sound: np.ndarray) -> tuple[bytes, bytes]:
-    """Doubled PCM without loss: every second sample, and by how much those between differ from `resampled`."""
+    """Doubled PCM without loss: every second sample, and by how much those between differ from `resampled`.
+
+    Up to 256 different samples are a table, after the number of its values, and a byte for each sample; beyond, they follow a zero as they are.
+    """
     kept = np.ascontiguousarray(sound[0::2])
-    return kept.astype("<i2").tobytes(), (sound[1::2] - resampled(kept)[1::2]).astype("<i2").tobytes()
+    between = (sound[1::2] - resampled(kept)[1::2]).astype("<i2").tobytes()
+    values, codes = np.unique(kept, return_inverse=True)
+    if len(values) > 256:
+        return struct.pack("<H", 0) + kept.astype("<i2").tobytes(), between
+    return struct.pack("<H", len(values)) + values.astype("<i2").tobytes() + codes.astype(np.uint8).tobytes(), between
 
 
 def unpacked(kept: bytes, between: bytes) -> np.ndarray:
-    sound = resampled(np.frombuffer(kept, "<i2"))
+    many = struct.unpack_from("<H", kept)[0]
+    told = np.frombuffer(kept, "<i2", many, 2)[np.frombuffer(kept, np.uint8, offset=2 + 2 * many)] if many else np.frombuffer(kept, "<i2", offset=2)
+    sound = resampled(told)
     sound[1::2] += np.frombuffer(between, "<i2")
     return sound
 
@@ -262,7 +272,7 @@ def pcm_archived(media: DataFrame) -> DataFrame:
 
     def job(batches):
         for batch in batches:
-            _, offs = flat(batch.column("kept"))
+            _, offs = flat(batch.column("between"))
             for i, j in slices(offs, CHUNK):
                 pcm = [wave(PCM, x.astype("<i2").tobytes(), RATE_OUT) for x in _sounds(batch, i, j)]
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), pa.array(pcm, pa.binary())], ["doc_id", "pcm"])
@@ -279,7 +289,7 @@ def inspected(media: DataFrame) -> DataFrame:
 
     def job(batches):
         for batch in batches:
-            _, offs = flat(batch.column("kept"))
+            _, offs = flat(batch.column("between"))
             for i, j in slices(offs, CHUNK):
                 kinds = batch.column("kind").slice(i, j - i).to_pylist()
                 told = pa.array([described(k, s) for k, s in zip(kinds, _sounds(batch, i, j), strict=True)])

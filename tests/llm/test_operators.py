@@ -72,6 +72,15 @@ def test_audio_stores_resampled_sound_without_loss(docs, monkeypatch):
     assert sorted(audio.unpacked(r["kept"], r["between"]).tobytes() for r in kept[0].collect()) == sorted(audio.resampled(audio.decoded([r["media"]])[0]).tobytes() for r in media.collect())
 
 
+def test_stored_sound_of_few_values_takes_a_byte_a_sample():
+    few = np.resize(np.arange(-128, 128, dtype=np.int16) * 200, 4000)
+    many = np.arange(4000, dtype=np.int16)
+    for sound, most in ((few, 4000 + 600), (many, 8000 + 2), (few[:0], 2)):
+        kept, between = audio.packed(audio.resampled(sound) if len(sound) else sound)
+        assert len(kept) <= most and not np.frombuffer(between, np.int16).any()
+        assert np.array_equal(audio.unpacked(kept, between)[0::2], sound)
+
+
 def test_audio_codecs():
     assert audio.ULAW_TABLE[[0, 127, 128, 255]].tolist() == [-32124, 0, 32124, 0]
     assert audio.ALAW_TABLE[[0x55, 0xD5, 0x2A, 0xAA]].tolist() == [-8, 8, -32256, 32256]
