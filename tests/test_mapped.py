@@ -164,3 +164,71 @@ def test_small_groups_meet_in_lists_as_in_joins(spark, monkeypatch):
     monkeypatch.setattr(gr, "_met_in_lists", None)
     monkeypatch.setattr(gr, "LISTED", 0)
     assert (found(1), found(3)) == in_lists and in_lists[1]
+
+
+def test_similarities_of_mapped_sets_are_those_of_joined_ones(spark, monkeypatch):
+    from localcomm.operators import overlap
+
+    rng = np.random.default_rng(3)
+    sets = [(i, [str(x) for x in rng.integers(0, 40, rng.integers(0, 12))] + [f"own{i}"] * (i % 2)) for i in range(60)]
+    nodes = spark.createDataFrame([*sets, (60, None), (61, []), (62, ["1", None]), (63, [None, "2", ""]), (64, [""])], "node long, attrs array<string>")
+    pairs = {(min(a, b), max(a, b)) for a, b in rng.integers(0, 66, (400, 2)).tolist() if a != b} | {(60, 61), (62, 63), (63, 64), (5, 99), (98, 99)}
+    edges = spark.createDataFrame(sorted(pairs), "src long, dst long")
+    cols = ("src", "dst", "sim", "is_structural")
+    joined = rows(gr.attribute_graph(nodes, edges), *cols)
+    monkeypatch.setattr(gr, "SETS_FROM", 0)
+    monkeypatch.setattr(gr, "with_sets", None)  # no set travels with an edge
+    assert rows(gr.attribute_graph(nodes, edges), *cols) == joined and len({r[2] for r in joined}) > 9
+    monkeypatch.setattr(overlap, "PART_MEMBERS", 50)  # many parts
+    where = overlap.written(nodes.selectExpr("node", "array_sort(array_distinct(attrs)) AS x").where("size(x) > 0"))
+    few, many = overlap.Sets(*where), overlap.Sets(*where)
+    ends = np.array(sorted(pairs)).T
+    monkeypatch.setattr(overlap, "MARKS", 1)  # one vertex's members at a time
+    one = few.similar(*ends)
+    monkeypatch.setattr(overlap, "MARKS", 10**6)
+    np.testing.assert_array_equal(one, many.similar(*ends))
+
+
+def test_a_mapped_graph_is_written_once_in_few_bytes(parts, monkeypatch):
+    import os
+
+    edges, combined, _, _ = parts
+    monkeypatch.setattr(mapped, "PART_ROWS", 100)
+    monkeypatch.setattr(mapped, "DEAL_ROWS", 70)
+    coded = mapped.layout(combined)
+    assert sum(os.path.getsize(f"{coded.folder}/{f}") for f in os.listdir(coded.folder)) <= 10 * coded.rows + 24 * coded.n + 16 * combined.select("w").distinct().count()
+    by_hand = sorted((a, b, w) for s, d, w in rows(combined, "src", "dst", "w") for a, b in ((s, d), (d, s)))
+    g = mapped.MappedGraph(coded)
+    assert [(int(g.node[i]), int(g.node[j]), round(w, 9)) for i, j, w in zip(np.repeat(np.arange(g.n), np.diff(g.end, prepend=0)), g.dst, g.w[:], strict=True)] == by_hand
+    monkeypatch.setattr(mapped, "CODES", 0)
+    plain = mapped.layout(combined.select("*"))
+    assert coded.coded and not plain.coded and arrays(coded) == arrays(plain)
+    assert mapped.layout(combined.where("src < 0")).rows == 0
+
+
+def test_moves_of_uneven_weights_are_those_of_a_plain_search(spark, monkeypatch):
+    hub = [(0, i, 1.0 if i % 50 else 900.0 * (i < 200) + 1) for i in range(1, 800)]
+    g = mapped.MappedGraph(mapped.layout(spark.createDataFrame(hub, "src long, dst long, w double")))
+    u = np.concatenate([np.linspace(0, 2_147_483_646, 5000).astype(np.int64), [0, 1, 2_147_483_646]])
+    hi = np.cumsum([round(1000 * w) for *_, w in hub])
+    want = np.searchsorted(hi, u * hi[-1] // 2_147_483_647, side="right") + 1
+    for near in (0, 16, 10_000):
+        monkeypatch.setattr(mapped, "NEAR", near)
+        assert g.node[g.moves(np.zeros(len(u), np.int64), u)].tolist() == want.tolist()
+
+
+def test_draws_and_counts_of_arrays(spark):
+    def plain(keys, x=42):
+        for k in keys:
+            x = (x * 48271 + k % 2147483647) % 2147483647
+            for c in (12345, 67891, 424243):
+                x = (x * x + x * 65537 + c) % 2147483647
+        return x
+
+    keys = [(-5, 3, 2147483646), (2**40, 0, 1), (2147483647, 2147483648, -1)]
+    assert walks.draw_numpy(list(np.array(keys).T), 42).tolist() == [plain(k) for k in keys]
+    w, n = np.array([3, 3, 4, 4, 4, 9]), np.array([7, 7, 7, -2, 7, -2])
+    want = ([-2, 7], [2, 2])
+    assert tuple(x.tolist() for x in walks._counted(w, n)) == want
+    far = np.where(n < 0, -(2**62), 2**62 - 1)  # pairs that don't fit one number
+    assert walks._counted(w, far)[1].tolist() == want[1]
